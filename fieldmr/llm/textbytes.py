@@ -54,6 +54,11 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
+def gram_power(t: int) -> np.uint64:
+    """The weight of word t in the hash of a run of words."""
+    return np.uint64(pow(_GRAM, t, 1 << 64))
+
+
 def text_column(batch: pa.RecordBatch, name: str = "text") -> pa.Array:
     col = batch.column(batch.schema.get_field_index(name))
     return col.fill_null("") if col.null_count else col
