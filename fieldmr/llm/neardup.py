@@ -8,8 +8,8 @@ group of any number of copies costs one signature in what follows.  Among class
 2. a pair's signatures are read in batches; after each batch it is dropped when the posterior
    probability that its similarity reaches the threshold falls below ``miss``;
 3. survivors are confirmed on full shingle sets, and confirmed links give components;
-4. members of a bucket that are still in different components are compared across components,
-   which loses no link and never enumerates pairs inside a component.
+4. members of a bucket that are still in different components are compared across components by an
+   exact prefix filter on rare shingles, which loses no link and never enumerates the pairs of a group.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ from math import lgamma
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textbytes as tb
@@ -132,12 +132,13 @@ def plausible(pairs: DataFrame, sigs: DataFrame, threshold: float, miss: float)
     return pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "sig_a", "sig_b").mapInArrow(lambda it: _plausible(it, threshold, miss), "a long, b long, matches long")
 
 
-def _full_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _full_sets(batches: Iterator[pa.RecordBatch], packed: bool) -> Iterator[pa.RecordBatch]:
+    """(rep, members): whole shingle sets, packed as bytes or as an array."""
     for batch in batches:
         ids = batch.column(batch.schema.get_field_index("rep"))
         for i, j, data, offsets in tb.slices(tb.text_column(batch)):
             sets = tb.shingle_sets(tb.Words(data, offsets, tb.NON_SPACE), K)
-            yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array([s.tobytes() for s in sets], pa.binary())], names=["rep", "members"])
+            yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array([s.tobytes() for s in sets], pa.binary()) if packed else pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], names=["rep", "members"])
 
 
 def _confirm(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
@@ -159,11 +160,34 @@ def confirmed(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
     """The pairs whose full shingle sets are similar enough; only documents in a pair are shingled a second time."""
     ends = materialise(pairs.select(F.col("a").alias("rep")).union(pairs.select("b")).distinct(), "ends")
     texts = docs.select(F.col("doc_id").alias("rep"), "text")
-    sets = texts.join(broadcast_if_small(ends), "rep", "left_semi").mapInArrow(_full_sets, "rep long, members binary")
+    sets = texts.join(broadcast_if_small(ends), "rep", "left_semi").mapInArrow(lambda it: _full_sets(it, True), "rep long, members binary")
     left, right = (sets.select(F.col("rep").alias(k), F.col("members").alias(f"set_{k}")) for k in "ab")
     return pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "set_a", "set_b").mapInArrow(lambda it: _confirm(it, percent), "a long, b long")
 
 
+def _rare_pairs(docs: DataFrame, open_: DataFrame, percent: int) -> DataFrame:
+    """Pairs across components, one of them ``apart`` from its bucket's main component, that can still be similar.
+
+    Two sets that are similar enough share one of their rarest shingles: of n, the n - ceil(n * percent / 100) + 1 rarest
+    in any common order.  The order is by document frequency among the open documents, so a changed
+    copy is met by what few share, and never by what its whole group shares.
+    """
+    texts = docs.select(F.col("doc_id").alias("rep"), "text").join(broadcast_if_small(open_.select("rep")), "rep", "left_semi")
+    sets = materialise(texts.mapInArrow(lambda it: _full_sets(it, False), "rep long, members array<long>"), "sets")
+    tokens = sets.select("rep", F.size("members").alias("n"), F.explode("members").alias("s"))
+    known = tokens.groupBy("s").agg(F.count("*").alias("f")).where("f > 1")
+    shared = tokens.join(known, "s")
+    per_rep = Window.partitionBy("rep")
+    alone = F.col("n") - F.count("*").over(per_rep)
+    rank = F.row_number().over(per_rep.orderBy("f", "s"))
+    prefix = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
+    rare = shared.select("rep", "s", "n", (alone + rank).alias("at"), prefix.alias("prefix")).where("at <= prefix").join(open_, "rep")
+    x, y = (rare.select("s", *(F.col(c).alias(f"{k}_{c}") for c in ("rep", "n", "component", "apart"))) for k in "xy")
+    fits = (F.col("x_component") != F.col("y_component")) & (100 * F.least("x_n", "y_n") >= percent * F.greatest("x_n", "y_n"))
+    met = x.where("x_apart").join(y, "s").where(fits & (~F.col("y_apart") | (F.col("x_rep") < F.col("y_rep"))))
+    return met.select(F.least("x_rep", "y_rep").alias("a"), F.greatest("x_rep", "y_rep").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, percent: int = PERCENT, miss: float = MISS) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of ``docs`` (doc_id, text, ...).
 
@@ -192,22 +216,12 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, miss: float = MISS)
 
     # buckets that still hold more than one component: compare across components
     crowd = buckets.where("n > 2")
-    placed = band.join(crowd, "bucket").join(components.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", F.coalesce("component", "rep").alias("component"), "leader")
+    placed = band.join(crowd, "bucket").join(components.withColumnRenamed("node", "rep"), "rep", "left").select("bucket", "rep", F.coalesce("component", "rep").alias("component"))
     placed = materialise(placed, "placed")
     sizes = placed.groupBy("bucket", "component").agg(F.count("*").alias("size"))
     main = sizes.groupBy("bucket").agg(F.max_by("component", F.struct("size", "component")).alias("main"), F.count("*").alias("parts")).where("parts > 1").select("bucket", "main")
-    open_ = placed.join(main, "bucket").where("rep <> leader").join(sigs.select("rep", "n_shingles", "bands"), "rep")
-    x = open_.where("component <> main").select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("rep", "component", "n_shingles", "bands")), "main")
-    y = open_.select("bucket", *(F.col(c).alias(f"y_{c}") for c in ("rep", "component", "n_shingles", "bands")))
-    same = F.zip_with("x_bands", "y_bands", lambda p, q: p == q)
-    cross = x.join(y, "bucket").where(
-        (F.col("x_component") != F.col("y_component"))
-        & ((F.col("y_component") == F.col("main")) | (F.col("x_rep") < F.col("y_rep")))
-        & (100 * F.least("x_n_shingles", "y_n_shingles") >= percent * F.greatest("x_n_shingles", "y_n_shingles"))
-        # each pair once, in the first band it shares
-        & (F.element_at("x_bands", F.array_position(same, F.lit(True)).cast("int")) == F.col("bucket"))
-    )
-    rest = cross.select(F.least("x_rep", "y_rep").alias("a"), F.greatest("x_rep", "y_rep").alias("b"))
+    open_ = placed.join(main, "bucket").groupBy("rep").agg(F.first("component").alias("component"), F.max(F.col("component") != F.col("main")).alias("apart"))
+    rest = _rare_pairs(docs, materialise(open_, "open"), percent)
     more = materialise(confirmed(materialise(plausible(rest, sigs, percent / 100, miss), "plausible"), docs, percent), "links")
     if more.limit(1).count():
         components = connected_components(links.unionByName(more))
