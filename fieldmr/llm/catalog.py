@@ -10,6 +10,7 @@ from . import oracles
 from .decontam import contamination, digest
 from .neardup import near_duplicates
 from .runtime import read_table
+from .suffixdedup import repeated_spans
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -18,13 +19,17 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(contamination(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark")))
 
 
+def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_spans(read_table(spark, sf_dir, "documents")).drop("spans")
+
+
 def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read_table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Query]:
-    return {q.__name__: q for q in (op1_decontamination, op10_near_duplicates)}
+    return {q.__name__: q for q in (op1_decontamination, op9_suffix_dedup, op10_near_duplicates)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_decontamination": oracles.DECONTAMINATION, "op10_near_duplicates": oracles.NEAR_DUPLICATES}
+    return {"op1_decontamination": oracles.DECONTAMINATION, "op9_suffix_dedup": oracles.REPEATED_SPANS, "op10_near_duplicates": oracles.NEAR_DUPLICATES}

@@ -34,3 +34,19 @@ both_ways AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links),
 reach AS (SELECT doc_id AS v, doc_id AS r FROM d UNION SELECT b, r FROM reach JOIN both_ways ON v = a)
 SELECT doc_id, n AS n_shingles, c AS component_id, doc_id = c AS kept FROM n JOIN (SELECT v AS doc_id, min(r) AS c FROM reach GROUP BY v) USING (doc_id)
 """
+
+# runs of 50 bytes by their first byte; hex text, two digits a byte, so that all texts can be cut anywhere
+REPEATED_SPANS = """
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS x, octet_length(encode(coalesce(text, ''))) AS n FROM documents),
+w AS (SELECT doc_id, i, md5_number(x[2 * i - 1 : 2 * i + 98]) AS g FROM d, unnest(range(1, n - 48)) AS t(i) WHERE n >= 50),
+m AS (SELECT g, min(doc_id) AS least FROM w GROUP BY g),
+c AS (SELECT doc_id, i FROM w JOIN m USING (g) WHERE least < doc_id),
+o AS (SELECT doc_id, i, coalesce(i > lag(i) OVER (PARTITION BY doc_id ORDER BY i) + 50, true) AS fresh FROM c),
+k AS (SELECT doc_id, i, sum(fresh::INT) OVER (PARTITION BY doc_id ORDER BY i) AS run FROM o),
+s AS (SELECT doc_id, run, min(i) AS a, max(i) + 50 AS b FROM k GROUP BY ALL),
+e AS (SELECT doc_id, run, a, b, coalesce(lag(b) OVER (PARTITION BY doc_id ORDER BY a), 1) AS prev FROM s),
+p AS (SELECT doc_id, sum(b - a) AS n_removed, count(*) AS n_spans, max(b) AS tail, string_agg(substr(x, CAST(2 * prev - 1 AS BIGINT), CAST(2 * (a - prev) AS BIGINT)), '' ORDER BY a) AS head FROM e JOIN d USING (doc_id) GROUP BY doc_id)
+SELECT doc_id, CAST(n AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans,
+  sha256(unhex(coalesce(head || substr(x, CAST(2 * tail - 1 AS BIGINT)), x))) AS kept_sha256
+FROM d LEFT JOIN p USING (doc_id)
+"""
