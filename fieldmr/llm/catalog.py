@@ -11,6 +11,7 @@ from .decontam import contamination, digest
 from .neardup import near_duplicates
 from .runtime import read_table
 from .suffixdedup import repeated_spans
+from .tokenfile import token_table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -19,6 +20,10 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(contamination(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark")))
 
 
+def op3_rans_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_table(read_table(spark, sf_dir, "documents"))
+
+
 def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_spans(read_table(spark, sf_dir, "documents")).drop("spans")
 
@@ -28,7 +33,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {q.__name__: q for q in (op1_decontamination, op9_suffix_dedup, op10_near_duplicates)}
+    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op9_suffix_dedup, op10_near_duplicates)}
 
 
 def oracle_sql() -> dict[str, str]:
