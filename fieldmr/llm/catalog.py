@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import oracles
 from .decontam import contamination, digest
+from .langid import identify_languages
 from .neardup import near_duplicates
 from .runtime import read_table
 from .suffixdedup import repeated_spans
@@ -24,6 +25,10 @@ def op3_rans_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_table(read_table(spark, sf_dir, "documents"))
 
 
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return identify_languages(read_table(spark, sf_dir, "documents"))
+
+
 def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_spans(read_table(spark, sf_dir, "documents")).drop("spans")
 
@@ -33,7 +38,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op9_suffix_dedup, op10_near_duplicates)}
+    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op4_language, op9_suffix_dedup, op10_near_duplicates)}
 
 
 def oracle_sql() -> dict[str, str]:
