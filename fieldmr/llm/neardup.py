@@ -8,8 +8,8 @@ group of any number of copies costs one signature in what follows.  Among class
 2. a pair's signatures are read in batches; after each batch it is dropped when the posterior
    probability that its similarity reaches the threshold falls below ``miss``;
 3. survivors are confirmed on full shingle sets, and confirmed links give components;
-4. members of a bucket that are still in different components are compared across components by an
-   exact prefix filter on rare shingles, which loses no link and never enumerates the pairs of a group.
+4. members of a bucket that are still in different components are compared across components, as queries
+   against blocks of bounded size with exact counts, which loses no link and emits no pairs but links.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ from math import lgamma
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textbytes as tb
@@ -33,6 +33,8 @@ HASHES, ROWS = 128, 4
 BANDS = HASHES // ROWS
 #: Similarities below the threshold are given up when the chance that they reach it is under this.
 MISS = 1e-6
+#: Shingles of the documents in one chunk of a crowded bucket, about.
+CHUNK_SHINGLES = 200_000
 #: Hash functions compared between two looks at the posterior.
 BATCH = 16
 
@@ -165,27 +167,58 @@ def confirmed(pairs: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
     return pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "set_a", "set_b").mapInArrow(lambda it: _confirm(it, percent), "a long, b long")
 
 
-def _rare_pairs(docs: DataFrame, open_: DataFrame, percent: int) -> DataFrame:
-    """Pairs across components, one of them ``apart`` from its bucket's main component, that can still be similar.
-
-    Two sets that are similar enough share one of their rarest shingles: of n, the n - ceil(n * percent / 100) + 1 rarest
-    in any common order.  The order is by document frequency among the open documents, so a changed
-    copy is met by what few share, and never by what its whole group shares.
+def _met(table: pa.Table, percent: int) -> pa.Table:
+    """Of one block: links between its query documents and its members, as few as join their components."""
+    role = np.array(table.column("query").to_pylist(), dtype=bool)
+    reps, components = table.column("rep").to_numpy(), table.column("component").to_numpy()
+    sets = [np.frombuffer(m.as_buffer(), dtype=np.uint64) for m in table.column("members")]
+    sizes = np.array([len(m) for m in sets], dtype=np.int64)
+    members = np.flatnonzero(~role)
+    links: list[tuple[int, int]] = []
+    if len(members) and role.any():
+        # postings of the members, then one pass over them per query document
+        keys = np.concatenate([sets[i] for i in members])
+        order = np.argsort(keys, kind="stable")
+        keys, owner = keys[order], np.repeat(np.arange(len(members)), sizes[members])[order]
+        root: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            while root.setdefault(x, x) != x:
+                root[x] = root[root[x]]
+                x = root[x]
+            return x
+
+        for i in np.flatnonzero(role).tolist():
+            low, high = np.searchsorted(keys, sets[i], side="left"), np.searchsorted(keys, sets[i], side="right")
+            n = high - low
+            at = np.repeat(low - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+            both = np.bincount(owner[at], minlength=len(members))
+            alike = (100 * both >= percent * (sizes[i] + sizes[members] - both)) & (both > 0)
+            for k in members[np.flatnonzero(alike)].tolist():
+                x, y = find(int(components[i])), find(int(components[k]))
+                if x != y:
+                    root[x] = y
+                    links.append((min(int(reps[i]), int(reps[k])), max(int(reps[i]), int(reps[k]))))
+    return pa.table({"a": pa.array([x for x, _ in links], pa.int64()), "b": pa.array([y for _, y in links], pa.int64())})
+
+
+def _across(docs: DataFrame, open_: DataFrame, percent: int) -> DataFrame:
+    """Links between components that share a bucket; ``open_``: (main, rep, component, apart).
+
+    The documents ``apart`` from the main component of a bucket are queries against all documents of buckets with that
+    main component.  Both sides are cut into chunks of bounded size, a block is one chunk of each, and a
+    block counts shared shingles exactly.  Only links that join components leave it.
     """
-    texts = docs.select(F.col("doc_id").alias("rep"), "text").join(broadcast_if_small(open_.select("rep")), "rep", "left_semi")
-    sets = materialise(texts.mapInArrow(lambda it: _full_sets(it, False), "rep long, members array<long>"), "sets")
-    tokens = sets.select("rep", F.size("members").alias("n"), F.explode("members").alias("s"))
-    known = tokens.groupBy("s").agg(F.count("*").alias("f")).where("f > 1")
-    shared = tokens.join(known, "s")
-    per_rep = Window.partitionBy("rep")
-    alone = F.col("n") - F.count("*").over(per_rep)
-    rank = F.row_number().over(per_rep.orderBy("f", "s"))
-    prefix = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
-    rare = shared.select("rep", "s", "n", (alone + rank).alias("at"), prefix.alias("prefix")).where("at <= prefix").join(open_, "rep")
-    x, y = (rare.select("s", *(F.col(c).alias(f"{k}_{c}") for c in ("rep", "n", "component", "apart"))) for k in "xy")
-    fits = (F.col("x_component") != F.col("y_component")) & (100 * F.least("x_n", "y_n") >= percent * F.greatest("x_n", "y_n"))
-    met = x.where("x_apart").join(y, "s").where(fits & (~F.col("y_apart") | (F.col("x_rep") < F.col("y_rep"))))
-    return met.select(F.least("x_rep", "y_rep").alias("a"), F.greatest("x_rep", "y_rep").alias("b")).distinct()
+    reps = materialise(open_.select("rep").distinct(), "open")
+    texts = docs.select(F.col("doc_id").alias("rep"), "text").join(broadcast_if_small(reps), "rep", "left_semi")
+    sets = materialise(texts.mapInArrow(lambda it: _full_sets(it, True), "rep long, members binary"), "sets")
+    crowd = materialise(open_.join(sets, "rep"), "crowd")
+    parts = crowd.groupBy("main").agg(F.ceil(F.sum(F.octet_length("members")) / F.lit(8 * CHUNK_SHINGLES)).cast("int").alias("parts"))
+    dealt = crowd.join(parts, "main").withColumn("own", F.pmod(F.xxhash64("rep"), "parts").cast("int"))
+    others = F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("other")
+    member = dealt.select("main", "rep", "component", "members", F.lit(False).alias("query"), F.col("own").alias("j"), others).withColumnRenamed("other", "i")
+    query = dealt.where("apart").select("main", "rep", "component", "members", F.lit(True).alias("query"), F.col("own").alias("i"), others).withColumnRenamed("other", "j")
+    return member.unionByName(query).groupBy("main", "i", "j").applyInArrow(lambda t: _met(t, percent), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, percent: int = PERCENT, miss: float = MISS) -> DataFrame:
@@ -220,9 +253,8 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, miss: float = MISS)
     placed = materialise(placed, "placed")
     sizes = placed.groupBy("bucket", "component").agg(F.count("*").alias("size"))
     main = sizes.groupBy("bucket").agg(F.max_by("component", F.struct("size", "component")).alias("main"), F.count("*").alias("parts")).where("parts > 1").select("bucket", "main")
-    open_ = placed.join(main, "bucket").groupBy("rep").agg(F.first("component").alias("component"), F.max(F.col("component") != F.col("main")).alias("apart"))
-    rest = _rare_pairs(docs, materialise(open_, "open"), percent)
-    more = materialise(confirmed(materialise(plausible(rest, sigs, percent / 100, miss), "plausible"), docs, percent), "links")
+    open_ = placed.join(main, "bucket").select("main", "rep", "component", (F.col("component") != F.col("main")).alias("apart")).distinct()
+    more = materialise(_across(docs, materialise(open_, "open"), percent), "links")
     if more.limit(1).count():
         components = connected_components(links.unionByName(more))
     of = reps.join(components.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component"))
