@@ -32,7 +32,9 @@ GRAM = 20
 #: Runs that one piece holds at most; it bounds the rounds of a construction.
 RUNS = 48
 #: Bytes of text per pack and per bucket, about.
-PACK, BUCKET = 4 << 20, 8 << 20
+PACK, BUCKET = 4 << 20, 4 << 20
+#: Strings that are sorted together, about; few enough for a processor's cache.
+COLLECTION = 3000
 MOST_BUCKETS = 1 << 16
 
 _BASE = 0x9E3779B97F4A7C15
@@ -210,56 +212,84 @@ def _known(replies: pa.Table) -> np.ndarray:
 
 
 def _shared_pieces(table: pa.Table, replies: pa.Table, bits: int) -> tuple[Pack, np.ndarray, np.ndarray, list[bytes], np.ndarray, np.ndarray]:
-    """The pack, its pieces to look at, their distinct texts, and each text's bucket and least document, by bucket."""
+    """The pack, its pieces to look at, their distinct texts, and each text's key and least document."""
     pack = Pack.of(table)
     pack.anchor = _keys(pack.anchor, bits)
     at, of, texts = pack.distinct(_known(replies))
-    bucket = np.zeros(len(texts), dtype=np.int64)
-    bucket[of] = (pack.anchor[at] >> np.uint64(32)).astype(np.int64)
+    key = np.zeros(len(texts), dtype=np.uint64)
+    key[of] = pack.anchor[at]
     least = np.full(len(texts), np.iinfo(np.int64).max)
     np.minimum.at(least, of, pack.ids[pack.doc[at]])
-    return pack, at, of, texts, bucket, least
+    return pack, at, of, texts, key, least
 
 
 def _send(table: pa.Table, replies: pa.Table, bits: int) -> pa.Table:
     if not len(table) or not len(replies):
         return _rows([])
-    pack, _, _, texts, bucket, least = _shared_pieces(table, replies, bits)
-    number, order, rows = pack.number, np.argsort(bucket, kind="stable"), []
+    pack, _, _, texts, key, least = _shared_pieces(table, replies, bits)
+    bucket = (key >> np.uint64(32)).astype(np.int64)
+    order, rows = np.argsort(bucket, kind="stable"), []
     for a, b in zip(*_cut(bucket[order]), strict=True):
         own = order[a:b]
         mine = [texts[i] for i in own.tolist()]
-        rows.append((int(bucket[own[0]]), number, _pack_z(least[own], np.array([len(t) for t in mine], np.uint16), np.frombuffer(b"".join(mine), np.uint8))))
+        rows.append((int(bucket[own[0]]), pack.number, _pack_z(least[own], key[own].astype(np.uint32), np.array([len(t) for t in mine], np.uint16), np.frombuffer(b"".join(mine), np.uint8))))
     return _rows(rows)
 
 
+def _limits(texts: list[bytes], keys: np.ndarray, least: np.ndarray, base: np.ndarray, windows: np.ndarray) -> np.ndarray:
+    """The least document of every window of distinct pieces, window after window.
+
+    Only pieces with one anchor can share a window, so the collections of a construction are whole
+    anchors.  An anchor with a single distinct piece is a collection of one string and needs no construction.
+    """
+    limit = np.repeat(least, windows)
+    order = np.argsort(keys, kind="stable")
+    begin, end = _cut(keys[order])
+    batch: list[np.ndarray] = []
+    held = 0
+
+    def settle() -> None:
+        own = np.concatenate(batch)
+        mine = [texts[i] for i in own.tolist()]
+        lengths = windows[own] + SPAN - 1
+        string, offset, winner = shared_least(np.frombuffer(b"".join(mine), np.uint8), np.cumsum(lengths) - lengths, lengths, least[own], SPAN)
+        limit[base[own[string]] + offset] = winner
+
+    for a, b in zip(begin.tolist(), end.tolist(), strict=True):
+        if b - a > 1:
+            batch.append(order[a:b])
+            held += b - a
+            if held >= COLLECTION:
+                settle()
+                batch, held = [], 0
+    if batch:
+        settle()
+    return limit
+
+
 def _judge(table: pa.Table) -> pa.Table:
     """Of one bucket: for each piece that a pack sent, runs of equal least documents over its windows."""
     number: dict[bytes, int] = {}
     texts: list[bytes] = []
-    least: list[int] = []
+    first: list[int] = []
+    keys: list[int] = []
     sent: list[tuple[int, np.ndarray]] = []
     for pack, body in zip(table.column("pack").to_pylist(), table.column("body").to_pylist(), strict=True):
-        docs, lens, data = _unpack_z(body, np.int64, np.uint16, np.uint8)
+        docs, short, lens, data = _unpack_z(body, np.int64, np.uint32, np.uint16, np.uint8)
         raw, stop = data.tobytes(), np.cumsum(lens.astype(np.int64)).tolist()
         own, a = np.empty(len(lens), dtype=np.int64), 0
-        for i, (b, doc) in enumerate(zip(stop, docs.tolist(), strict=True)):
+        for i, (b, doc, key) in enumerate(zip(stop, docs.tolist(), short.tolist(), strict=True)):
             piece = raw[a:b]
             k = number.setdefault(piece, len(texts))
             if k == len(texts):
-                texts.append(piece), least.append(doc)
-            elif doc < least[k]:
-                least[k] = doc
+                texts.append(piece), first.append(doc), keys.append(key)
+            elif doc < first[k]:
+                first[k] = doc
             own[i], a = k, b
         sent.append((pack, own))
-    lengths = np.array([len(t) for t in texts], dtype=np.int64)
-    starts = np.cumsum(lengths) - lengths
-    string, offset, winner = shared_least(np.frombuffer(b"".join(texts), np.uint8), starts, lengths, np.array(least, dtype=np.int64), SPAN)
-    # one value per window, piece after piece
-    windows = lengths - SPAN + 1
+    windows = np.array([len(t) - SPAN + 1 for t in texts], dtype=np.int64)
     base = np.cumsum(windows) - windows
-    limit = np.empty(int(windows.sum()), dtype=np.int64)
-    limit[base[string] + offset] = winner
+    limit = _limits(texts, np.array(keys, dtype=np.uint32), np.array(first, dtype=np.int64), base, windows)
     bucket = table.column("bucket")[0].as_py()
     rows = []
     for pack, own in sent:
@@ -277,7 +307,8 @@ _VERDICT = pa.schema([("doc_id", pa.int64()), ("text_key", pa.string()), ("n_rem
 def _apply(table: pa.Table, replies: pa.Table, verdicts: pa.Table, bits: int) -> pa.Table:
     """Mark the windows whose least document is a smaller one, and cut their bytes out."""
     if len(replies) and len(verdicts):
-        pack, at, of, texts, bucket, _ = _shared_pieces(table, replies, bits)
+        pack, at, of, texts, key, _ = _shared_pieces(table, replies, bits)
+        bucket = (key >> np.uint64(32)).astype(np.int64)
         said = {b: _unpack_z(body, np.int64, np.uint8) for b, body in zip(verdicts.column("bucket").to_pylist(), verdicts.column("body").to_pylist(), strict=True)}
         order = np.argsort(bucket, kind="stable")
         limits, base = [], np.zeros(len(texts), dtype=np.int64)
@@ -329,10 +360,12 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     texts = docs.where(F.octet_length("text") >= SPAN).join(broadcast_if_small(heads), "doc_id", "left_semi")
     packs = materialise(texts.mapInArrow(_packs, "pack long, ids binary, body binary"), "packs", compression="none")
     offers = packs.mapInArrow(lambda it: _offer(it, bits), _PACKED)
+    # a bucket's work outweighs its bytes, so its exchange has a number of partitions of its own
+    tasks = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1 << (bits - 1))
     replies = materialise(offers.groupBy("bucket").applyInArrow(_answer, _PACKED), "replies")
     by_pack = packs.groupBy("pack")
     sent = by_pack.cogroup(replies.groupBy("pack")).applyInArrow(lambda t, r: _send(t, r, bits), _PACKED)
-    judged = materialise(sent.groupBy("bucket").applyInArrow(_judge, _PACKED), "judged")
+    judged = materialise(sent.repartition(tasks, "bucket").groupBy("bucket").applyInArrow(_judge, _PACKED), "judged")
     # replies and verdicts of a pack come together, told apart by their kind
     back = replies.withColumn("kind", F.lit(0)).unionByName(judged.withColumn("kind", F.lit(1)))
     told = by_pack.cogroup(back.groupBy("pack")).applyInArrow(lambda t, r: _apply_told(t, r, bits), "doc_id long, text_key string, n_removed long, n_spans long, kept_sha256 string, spans array<long>")
