@@ -12,7 +12,9 @@ from .langid import identify_languages
 from .neardup import near_duplicates
 from .runtime import read_table
 from .suffixdedup import repeated_spans
+from .tokencount import count_tokens
 from .tokenfile import token_table
+from .toxicity import rate_toxicity
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -29,6 +31,14 @@ def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify_languages(read_table(spark, sf_dir, "documents"))
 
 
+def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return count_tokens(read_table(spark, sf_dir, "documents"))
+
+
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rate_toxicity(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
 def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_spans(read_table(spark, sf_dir, "documents")).drop("spans")
 
@@ -38,7 +48,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op4_language, op9_suffix_dedup, op10_near_duplicates)}
+    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op4_language, op6_token_counts, op7_toxicity, op9_suffix_dedup, op10_near_duplicates)}
 
 
 def oracle_sql() -> dict[str, str]:
