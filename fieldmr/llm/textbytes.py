@@ -90,7 +90,8 @@ def slices(col: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int,
 class Words:
     """Words of some documents: byte starts and ends, owning document, and 64-bit hashes."""
 
-    def __init__(self, data: np.ndarray, offsets: np.ndarray, kind: np.ndarray, lower: bool = True):
+    def __init__(self, data: np.ndarray, offsets: np.ndarray, kind: np.ndarray, lower: bool = True, cuts: np.ndarray | None = None):
+        """``kind``: which bytes words are of; ``cuts``: bytes of words before which a new word begins."""
         self.data = LOWER[data] if lower else data
         self.offsets = offsets
         n_docs = len(offsets) - 1
@@ -101,6 +102,9 @@ class Words:
         first[1:] &= ~inside[:-1] | edge[1:-1]
         last = inside.copy()
         last[:-1] &= ~inside[1:] | edge[1:-1]
+        if cuts is not None and len(cuts):
+            first[cuts] = True
+            last[cuts - 1] = True
         self.starts = np.flatnonzero(first)
         self.ends = np.flatnonzero(last) + 1
         bounds = np.searchsorted(self.starts, offsets)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -12,6 +13,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import textbytes as tb
 from .rans import Segment, encode
 from .runtime import shared_dir
 
@@ -21,7 +23,7 @@ SEGMENT_TOKENS = 4 << 20
 #: Characters of text per writing task, about.
 TASK_CHARS = 16 << 20
 #: Distinct short words a worker remembers the ids of.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 1_000_000
 
 _loaded: dict[str, WordIds] = {}
 
@@ -32,34 +34,85 @@ def vocabulary(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
-class WordIds(dict):
-    """Ids of blank-delimited words as bytes; unknown words are encoded by the tokenizer and remembered.
+#: Words of Latin letters alone: one token sequence each, ended by a word-final id.
+_LATIN = re.compile("[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+")
 
-    The tokenizer never joins characters across a blank, so the ids of a text are those of its words in turn.
+
+_WORD = np.ones(256, dtype=bool)
+_WORD[[0x20, 0x0A]] = False
+_MARK = np.zeros(256, dtype=bool)
+_MARK[[0x2C, 0x2E]] = True
+_LETTER = np.zeros(256, dtype=bool)
+_LETTER[0x41:0x5B] = _LETTER[0x61:0x7B] = True
+
+
+class WordIds:
+    """Ids of blank-delimited words as bytes; unknown words are encoded by the tokenizer together and remembered.
+
+    The tokenizer never joins characters across a blank, nor a letter with a comma or full stop after it, so the ids of a
+    text are those of its words in turn.  Words are told apart by 64-bit hashes of a batch; each distinct one is
+    looked up once.  When ``CACHE_WORDS`` are known, all are forgotten.
     """
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
-        self[""] = b""
-
-    def __missing__(self, word: str) -> bytes:
-        # a letter before a comma or full stop ends a token, and case is folded
-        if len(word) > 1 and word[-1] in ",." and word[-2].isascii() and word[-2].isalpha():
-            ids = self[word[:-1]] + self[word[-1]]
-        elif word.isascii() and word.isalpha() and not word.islower():
-            ids = self[word.lower()]
-        else:
-            ids = np.array(self.tokenizer.encode(word, add_special_tokens=False).ids, dtype="<u4").tobytes()
-        if len(word) <= 40 and len(self) < CACHE_WORDS:
-            self[word] = ids
-        return ids
-
-    def encode(self, text: str) -> bytes:
-        return b"".join(map(self.__getitem__, text.replace("\n", " ").split(" ")))
+        vocabulary = self.tokenizer.get_vocab()
+        self.final = np.zeros(max(vocabulary.values()) + 1, dtype=bool)
+        self.final[[i for token, i in vocabulary.items() if token.endswith("</w>")]] = True
+        self.known: dict[int, bytes] = {}
+
+    def _plain(self, text: str) -> np.ndarray:
+        return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4")
+
+    def _letters(self, words: list[str]) -> list[bytes]:
+        out: list[bytes] = []
+        for i in range(0, len(words), 2_000):
+            part = words[i : i + 2_000]
+            ids = self._plain(" ".join(part))
+            stop = np.flatnonzero(self.final[ids]) + 1
+            if len(stop) == len(part):
+                raw, edge = ids.tobytes(), [0, *(4 * stop).tolist()]
+                out += [raw[a:b] for a, b in zip(edge[:-1], edge[1:], strict=True)]
+            else:
+                out += [self._plain(w).tobytes() for w in part]
+        return out
+
+    def _learn(self, keys: list[int], words: list[str]) -> None:
+        plain = [i for i, w in enumerate(words) if _LATIN.fullmatch(w)]
+        for i, ids in zip(plain, self._letters([words[i] for i in plain]), strict=True):
+            self.known[keys[i]] = ids
+        for i in set(range(len(words))).difference(plain):
+            self.known[keys[i]] = self._plain(words[i]).tobytes()
+
+    def encode(self, data: np.ndarray, offsets: np.ndarray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of some documents, an end id after each, and their numbers."""
+        if len(self.known) > CACHE_WORDS:
+            self.known = {}
+        mark = np.flatnonzero(_MARK[data])
+        mark = mark[mark > 0]
+        ends_word = np.append(~_WORD[data], True)[mark + 1]
+        edge = np.zeros(len(data) + 1, dtype=bool)
+        edge[offsets] = True
+        mark = mark[_LETTER[data[mark - 1]] & (ends_word | edge[mark + 1]) & ~edge[mark]]
+        # a special token is lower case as written; anything else is folded anyway
+        words = tb.Words(data, offsets, _WORD, lower=b"<|" not in data.tobytes(), cuts=mark)
+        keys, first, number = np.unique(words.hashes, return_index=True, return_inverse=True)
+        names = keys.tolist()
+        new = [i for i, k in enumerate(names) if k not in self.known]
+        self._learn([names[i] for i in new], [words.data[words.starts[j] : words.ends[j]].tobytes().decode() for j in first[new].tolist()] if new else [])
+        found = [self.known[k] for k in names]
+        size = np.array([len(x) for x in found], dtype=np.int64) // 4
+        flat, base = np.frombuffer(b"".join(found), "<u4"), np.cumsum(size) - size
+        n = size[number]
+        upto = np.concatenate(([0], np.cumsum(n)))
+        per_doc = upto[words.bounds[1:]] - upto[words.bounds[:-1]]
+        out = np.full(int(upto[-1]) + len(per_doc), end_id, dtype="<u4")
+        to = np.arange(int(upto[-1]))
+        out[to + np.repeat(np.arange(len(per_doc)), per_doc)] = flat[np.repeat(base[number] - upto[:-1], n) + to]
+        return out, per_doc + 1
 
 
 def _encoder(path: str) -> WordIds:
@@ -74,26 +127,30 @@ SEGMENT_FIELDS = "part long, seg long, n_docs long, n_tokens long, no_id long, p
 
 def _write(batches: Iterator[pa.RecordBatch], path: str, end_id: int, close_at: int) -> Iterator[pa.RecordBatch]:
     encoder, part, seg = _encoder(path), TaskContext.get().partitionId(), 0
-    end = np.array([end_id], dtype="<u4").tobytes()
-    docs: list[int] = []
-    ids: list[bytes] = []
+    docs: list[np.ndarray] = []
+    ids: list[np.ndarray] = []
+    lengths: list[np.ndarray] = []
     held = no_id = 0
 
     def segment() -> pa.RecordBatch:
-        lengths = np.array([len(x) // 4 for x in ids], dtype=np.int64)
-        raw = encode(np.frombuffer(b"".join(ids), "<u4"), np.array(docs, dtype=np.int64), lengths)
-        return pa.RecordBatch.from_arrays([pa.array([v]) for v in (part, seg, len(docs), int(lengths.sum()), no_id)] + [pa.array([raw], pa.binary())], schema=_SEGMENT)
+        n = np.concatenate(lengths)
+        raw = encode(np.concatenate(ids), np.concatenate(docs), n)
+        return pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (part, seg, len(n), int(n.sum()), no_id)] + [pa.array([raw], pa.binary())], schema=_SEGMENT)
 
     for batch in batches:
-        for doc_id, text in zip(batch.column("doc_id").to_pylist(), batch.column("text"), strict=True):
+        doc_id = batch.column(batch.schema.get_field_index("doc_id"))
+        for i, j, data, offsets in tb.slices(tb.text_column(batch)):
+            coded, n = encoder.encode(data, offsets, end_id)
+            own = doc_id.slice(i, j - i)
             # nulls sort first, so the documents without an id lead a part
-            no_id += doc_id is None
-            docs.append(0 if doc_id is None else doc_id)
-            ids.append(encoder.encode(text.as_py() or "") + end)
-            held += len(ids[-1]) // 4
+            no_id += own.null_count
+            docs.append(own.fill_null(0).to_numpy())
+            ids.append(coded)
+            lengths.append(n)
+            held += len(coded)
             if held >= close_at:
                 yield segment()
-                docs, ids, held, no_id, seg = [], [], 0, 0, seg + 1
+                docs, ids, lengths, held, no_id, seg = [], [], [], 0, 0, seg + 1
     if docs:
         yield segment()
 
