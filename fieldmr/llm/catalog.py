@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import oracles
 from .decontam import contamination, digest
+from .htmltext import page_text
 from .langid import identify_languages
 from .neardup import near_duplicates
 from .runtime import read_table
@@ -39,6 +40,10 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rate_toxicity(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
 
 
+def op8_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return page_text(read_table(spark, sf_dir, "pages"))
+
+
 def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_spans(read_table(spark, sf_dir, "documents")).drop("spans")
 
@@ -48,7 +53,7 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op4_language, op6_token_counts, op7_toxicity, op9_suffix_dedup, op10_near_duplicates)}
+    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op4_language, op6_token_counts, op7_toxicity, op8_html_text, op9_suffix_dedup, op10_near_duplicates)}
 
 
 def oracle_sql() -> dict[str, str]:
