@@ -10,6 +10,7 @@ from . import oracles
 from .decontam import contamination, digest
 from .htmltext import page_text
 from .langid import identify_languages
+from .linefreq import line_frequency
 from .neardup import near_duplicates
 from .runtime import read_table
 from .suffixdedup import repeated_spans
@@ -24,6 +25,10 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(contamination(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark")))
 
 
+def op2_line_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_frequency(read_table(spark, sf_dir, "documents"))
+
+
 def op3_rans_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_table(read_table(spark, sf_dir, "documents"))
 
@@ -53,8 +58,9 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {q.__name__: q for q in (op1_decontamination, op3_rans_tokens, op4_language, op6_token_counts, op7_toxicity, op8_html_text, op9_suffix_dedup, op10_near_duplicates)}
+    return {q.__name__: q for q in (op1_decontamination, op2_line_frequency, op3_rans_tokens, op4_language, op6_token_counts, op7_toxicity, op8_html_text, op9_suffix_dedup, op10_near_duplicates)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_decontamination": oracles.DECONTAMINATION, "op9_suffix_dedup": oracles.REPEATED_SPANS, "op10_near_duplicates": oracles.NEAR_DUPLICATES}
+    return {"op1_decontamination": oracles.DECONTAMINATION, "op2_line_frequency": oracles.LINE_FREQUENCY,
+        "op9_suffix_dedup": oracles.REPEATED_SPANS, "op10_near_duplicates": oracles.NEAR_DUPLICATES}

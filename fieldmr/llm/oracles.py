@@ -50,3 +50,28 @@ SELECT doc_id, CAST(n AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGI
   sha256(unhex(coalesce(head || substr(x, CAST(2 * tail - 1 AS BIGINT)), x))) AS kept_sha256
 FROM d LEFT JOIN p USING (doc_id)
 """
+
+_NORM_LINE = r"trim(regexp_replace(regexp_replace(lower(l), '[0-9]+', '0', 'g'), '[\x20\x09\x0B-\x0D]+', ' ', 'g'))"
+
+LINE_FREQUENCY = rf"""
+WITH d AS (SELECT row_number() OVER () AS k, doc_id, coalesce(source, '') AS host, coalesce(text, '') AS text FROM documents),
+w AS (SELECT k, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS w FROM d),
+win AS (SELECT k, i, array_to_string(w[i : i + 2], ' ') AS g FROM w, unnest(range(1, len(w) - 1)) AS t(i)),
+again AS (SELECT k, i FROM win SEMI JOIN (SELECT k, g FROM win GROUP BY ALL HAVING count(*) > 1) USING (k, g)),
+rep AS (SELECT k, count(DISTINCT p) AS n_repeat FROM (SELECT k, unnest([i, i + 1, i + 2]) AS p FROM again) GROUP BY k),
+raw AS (SELECT k, unnest(string_split(text, chr(10))) AS l FROM d),
+dup AS (SELECT k, count(*) - count(DISTINCT l) AS n_dup FROM raw WHERE regexp_matches(l, '[^\x20\x09-\x0D]') GROUP BY k),
+texts AS (SELECT host, text, min(k) AS k FROM d GROUP BY ALL),
+hosts AS (SELECT host, count(*) AS texts FROM texts GROUP BY host),
+lines AS (SELECT host, texts.k, {_NORM_LINE} AS line FROM texts JOIN raw USING (k)),
+freq AS (SELECT host, line FROM (SELECT host, line, count(DISTINCT k) AS n FROM lines WHERE line <> '' GROUP BY ALL) JOIN hosts USING (host) WHERE n > 20 AND n > 0.10 * texts),
+lost AS (SELECT host, k, sum(len(string_split(line, ' '))) AS lost FROM lines JOIN freq USING (host, line) GROUP BY ALL),
+m AS (SELECT d.k, doc_id, d.host, d.text, len(w) AS n_words, coalesce(list_sum([length(x) FOR x IN w]), 0) AS word_chars,
+  length(regexp_replace(d.text, '[^#*$%&|<>]', '', 'g')) AS n_symbols, coalesce(n_dup, 0) AS n_dup_lines, coalesce(n_repeat, 0) AS n_repeat_words,
+  coalesce(lost, 0) AS n_removed_words
+  FROM d JOIN w USING (k) LEFT JOIN rep USING (k) LEFT JOIN dup USING (k) JOIN texts ON texts.host = d.host AND texts.text = d.text LEFT JOIN lost ON lost.k = texts.k)
+SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(word_chars AS BIGINT) AS word_chars, CAST(n_symbols AS BIGINT) AS n_symbols, CAST(n_dup_lines AS BIGINT) AS n_dup_lines,
+  CAST(n_repeat_words AS BIGINT) AS n_repeat_words, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed,
+  NOT (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AND n_removed_words <= 0.5 * n_words AS kept, CAST(n_removed_words AS BIGINT) AS n_removed_words
+FROM m
+"""
