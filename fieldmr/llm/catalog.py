@@ -11,6 +11,7 @@ from .decontam import contamination, digest
 from .htmltext import page_text
 from .langid import identify_languages
 from .linefreq import line_frequency
+from .mixing import mix_rates
 from .neardup import near_duplicates
 from .runtime import read_table
 from .suffixdedup import repeated_spans
@@ -37,6 +38,10 @@ def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify_languages(read_table(spark, sf_dir, "documents"))
 
 
+def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mix_rates(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(read_table(spark, sf_dir, "documents"))
 
@@ -57,8 +62,14 @@ def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read_table(spark, sf_dir, "documents"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpus_pipeline import run
+
+    return run(spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
-    return {q.__name__: q for q in (op1_decontamination, op2_line_frequency, op3_rans_tokens, op4_language, op6_token_counts, op7_toxicity, op8_html_text, op9_suffix_dedup, op10_near_duplicates)}
+    return {q.__name__: q for q in (op1_decontamination, op2_line_frequency, op3_rans_tokens, op4_language, op5_mixing, op6_token_counts, op7_toxicity, op8_html_text, op9_suffix_dedup, op10_near_duplicates, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
