@@ -23,7 +23,9 @@ SEGMENT_TOKENS = 4 << 20
 #: Characters of text per writing task, about.
 TASK_CHARS = 16 << 20
 #: Distinct short words a worker remembers the ids of.
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 1_500_000
+#: Bytes of text whose words are looked up together.
+LOOKUP_BYTES = 6 << 20
 
 _loaded: dict[str, WordIds] = {}
 
@@ -101,10 +103,12 @@ class WordIds:
         words = tb.Words(data, offsets, _WORD, lower=b"<|" not in data.tobytes(), cuts=mark)
         keys, first, number = np.unique(words.hashes, return_index=True, return_inverse=True)
         names = keys.tolist()
-        new = [i for i, k in enumerate(names) if k not in self.known]
-        self._learn([names[i] for i in new], [words.data[words.starts[j] : words.ends[j]].tobytes().decode() for j in first[new].tolist()] if new else [])
-        found = [self.known[k] for k in names]
-        size = np.array([len(x) for x in found], dtype=np.int64) // 4
+        found = list(map(self.known.get, names))
+        if new := [i for i, x in enumerate(found) if x is None]:
+            self._learn([names[i] for i in new], [words.data[words.starts[j] : words.ends[j]].tobytes().decode() for j in first[new].tolist()])
+            for i in new:
+                found[i] = self.known[names[i]]
+        size = np.fromiter(map(len, found), np.int64, len(found)) // 4
         flat, base = np.frombuffer(b"".join(found), "<u4"), np.cumsum(size) - size
         n = size[number]
         upto = np.concatenate(([0], np.cumsum(n)))
@@ -139,7 +143,7 @@ def _write(batches: Iterator[pa.RecordBatch], path: str, end_id: int, close_at:
 
     for batch in batches:
         doc_id = batch.column(batch.schema.get_field_index("doc_id"))
-        for i, j, data, offsets in tb.slices(tb.text_column(batch)):
+        for i, j, data, offsets in tb.slices(tb.text_column(batch), LOOKUP_BYTES):
             coded, n = encoder.encode(data, offsets, end_id)
             own = doc_id.slice(i, j - i)
             # nulls sort first, so the documents without an id lead a part
