@@ -20,7 +20,7 @@ _BLANK = r"\x20\x09-\x0D"
 
 
 def _words(text: Column) -> Column:
-    trimmed = F.regexp_replace(text, f"^[{_BLANK}]+|[{_BLANK}]+$", "")
+    trimmed = F.btrim(text, F.lit(" \t\n\x0b\x0c\r"))
     return let(trimmed, lambda t: F.when(t == "", F.array().cast("array<string>")).otherwise(F.split(t, f"[{_BLANK}]+")))
 
 

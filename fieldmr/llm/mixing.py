@@ -2,9 +2,10 @@
 
 A labelled table teaches a classifier (independent normal features per domain) that gives every document a
 posterior over domains.  Nonnegative rates per document are then fitted so that the expected tokens of each domain meet its
-target: least squares over domains, by accelerated projected gradient steps.  A step needs one sum per
-domain over the whole table; a document's rate follows from its posterior and the history of these sums, so no state
-is kept per document and no step shuffles documents.  DataFrame functions only.
+target: least squares over domains, by projected gradient steps.  The squares are weighed by the inverse of the domains' Gram
+matrix, which makes 1 the step of the gradient and a few steps enough.  A step needs one sum per domain
+over the whole table; a document's rate follows from its posterior and the history of these sums, so no step shuffles
+documents.  Texts are read once; what follows works on a few numbers per document.  DataFrame functions only.
 """
 
 from __future__ import annotations
@@ -20,7 +21,9 @@ from .runtime import drop_table, let, materialise
 
 #: Target shares of tokens by label value, and the label that keeps its present expected tokens.
 TARGETS, ANCHOR = {"1": 0.95, "0": 0.05}, "1"
-STEPS = 40
+STEPS = 25
+#: Added to the Gram matrix, as a share of its largest entry, so that equal domains stay solvable.
+RIDGE = 1e-9
 #: Steps between two writes of the per-document state of the fit.
 WRITE_EVERY = 10
 #: The fit ends when no domain is further from its target than this share of all tokens.
@@ -39,7 +42,7 @@ def features(text: Column) -> Column:
         return F.struct(
             n.cast("long").alias("n"),
             F.array(
-                F.log1p(n.cast("double")), per(chars, n), per(F.size(F.array_distinct(words)), n), per(F.regexp_count(text, F.lit("[^\\p{L}\\p{N}\\s]")), chars),
+                F.log1p(n.cast("double")), per(chars, n), per(F.size(F.array_distinct(words)), n), per(F.regexp_count(text, F.lit("[!#*$%&|<>]")), chars),
                 per(F.regexp_count(text, F.lit("[0-9]")), chars), per(F.regexp_count(text, F.lit("[A-Z]")), chars), per(F.size(F.array_distinct(lines)), F.size(lines)),
             ).alias("x"),
         )
@@ -52,13 +55,13 @@ N_FEATURES = 7
 
 @dataclass
 class Mix:
-    """A fitted mix; ``history`` holds the residual of each step, per domain and as a share of all tokens."""
+    """A fitted mix; ``history`` holds the weighed residual of each step per domain, ``residuals`` the plain ones as shares of all tokens."""
 
     domains: list[str]
     prior: list[float] = field(default_factory=list)
     mean: list[list[float]] = field(default_factory=list)
     variance: list[list[float]] = field(default_factory=list)
-    eta: float = 1.0
+    residuals: list[list[float]] = field(default_factory=list)
     history: list[list[float]] = field(default_factory=list)
     targets: list[float] = field(default_factory=list)
 
@@ -80,47 +83,44 @@ class Mix:
 
         return let(F.array(*scores), normal)
 
-    def step(self, p: Column, state: Column, residual: Column, momentum: Column) -> Column:
-        """One accelerated projected step of a document's (rate, look-ahead)."""
-        pull = F.aggregate(F.zip_with(p, residual, lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b)
-        moved = F.greatest(F.lit(0.0), state["y"] - self.eta * pull)
-        return let(moved, lambda r: F.struct(r.alias("r"), (r + momentum * (r - state["r"])).alias("y")))
-
     def state(self, p: Column, start: Column, begin: int, end: int) -> Column:
-        """The state after steps ``begin`` to ``end`` of the history."""
+        """The rate after steps ``begin`` to ``end`` of the history, from ``start``."""
         if begin >= end:
             return start
-        steps = F.array(*(F.struct(F.array(*map(F.lit, self.history[t])).alias("g"), F.lit(_momentum(t)).alias("m")) for t in range(begin, end)))
-        return F.aggregate(steps, start, lambda s, h: self.step(p, s, h["g"], h["m"]))
+        steps = F.array(*(F.array(*map(F.lit, self.history[t])) for t in range(begin, end)))
+        pull = lambda h: F.aggregate(F.zip_with(p, h, lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b)
+        return F.aggregate(steps, start, lambda r, h: F.greatest(F.lit(0.0), r - pull(h)))
 
     def rate(self, p: Column) -> Column:
-        return self.state(p, _start(), 0, len(self.history))["r"]
-
-
-def _start() -> Column:
-    return F.struct(F.lit(1.0).alias("r"), F.lit(1.0).alias("y"))
-
-
-def _momentum(t: int) -> float:
-    return t / (t + 3.0)
+        return self.state(p, F.lit(1.0), 0, len(self.history))
 
 
-def _largest_eigenvalue(m: list[list[float]]) -> float:
+def _solve(m: list[list[float]], v: list[float]) -> list[float]:
+    """m x = v for a small positive matrix, by elimination with a ridge."""
     k = len(m)
-    v = [1.0] * k
-    value = 0.0
-    for _ in range(200):
-        w = [sum(m[i][j] * v[j] for j in range(k)) for i in range(k)]
-        value = max(map(abs, w)) or 1.0
-        v = [x / value for x in w]
-    return value
+    ridge = RIDGE * max(m[i][i] for i in range(k))
+    a = [[*(m[i][j] + (ridge if i == j else 0.0) for j in range(k)), v[i]] for i in range(k)]
+    for i in range(k):
+        top = max(range(i, k), key=lambda r: abs(a[r][i]))
+        a[i], a[top] = a[top], a[i]
+        for r in range(k):
+            if r != i:
+                f = a[r][i] / a[i][i]
+                a[r] = [x - f * y for x, y in zip(a[r], a[i], strict=True)]
+    return [a[i][k] / a[i][i] for i in range(k)]
+
+
+def feature_table(docs: DataFrame) -> DataFrame:
+    """(doc_id, n, x) of every row, written once."""
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    return materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), features(text).alias("f")).select("doc_id", "f.n", "f.x"), "features")
 
 
-def classifier(docs: DataFrame, labels: DataFrame, label: str) -> Mix:
+def classifier(table: DataFrame, labels: DataFrame, label: str) -> Mix:
     """Class means and variances in one aggregate over the labelled rows; classes are the label's values."""
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("string").alias("domain")).where("doc_id is not null and domain is not null").distinct()
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).join(known, "doc_id")
-    flat = rows.select("domain", features(F.col("text")).alias("f")).select("domain", *(F.get("f.x", F.lit(i)).alias(f"x{i}") for i in range(N_FEATURES)))
+    rows = table.join(known, "doc_id")
+    flat = rows.select("domain", *(F.get("x", F.lit(i)).alias(f"x{i}") for i in range(N_FEATURES)))
     aggs = [f(f"x{i}").alias(f"{f.__name__}{i}") for i in range(N_FEATURES) for f in (F.avg, F.var_pop)]
     found = sorted(flat.groupBy("domain").agg(F.count("*").alias("n"), *aggs).collect(), key=lambda r: r["domain"])
     total = sum(r["n"] for r in found)
@@ -132,14 +132,15 @@ def classifier(docs: DataFrame, labels: DataFrame, label: str) -> Mix:
     return mix
 
 
-def fit_mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, anchor: str | None = ANCHOR, label: str = "quality", steps: int = STEPS) -> Mix:
-    """Classifier, targets and rates.  A domain without a target keeps none; without an anchor all tokens are the budget."""
+def fit_mix(rows: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, anchor: str | None = ANCHOR, label: str = "quality", steps: int = STEPS) -> Mix:
+    """Classifier, targets and rates from a feature table.
+
+    A domain without a target keeps none; without an anchor all tokens are the budget.
+    """
     targets = TARGETS if targets is None else targets
-    mix = classifier(docs, labels, label)
+    mix = classifier(rows, labels, label)
     k = len(mix.domains)
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    made = docs.select(features(text).alias("f")).select(F.col("f.n").alias("n"), mix.posterior(F.col("f.x")).alias("p"))
-    table = materialise(made.where("n > 0"), "posteriors")
+    table = materialise(rows.where("n > 0").select("n", mix.posterior(F.col("x")).alias("p")), "posteriors")
     at = lambda i: F.get("p", F.lit(i))
     sums = table.agg(F.sum("n").alias("n"), *(F.sum(F.col("n") * at(i)).alias(f"t{i}") for i in range(k)), *(F.sum(F.col("n") * at(i) * at(j)).alias(f"m{i}_{j}") for i in range(k) for j in range(k))).first()
     if not sums["n"]:
@@ -156,22 +157,23 @@ def fit_mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None
         i = mix.domains.index(anchor)
         budget = present[i] * whole / weight[i]
     mix.targets = [w / whole * budget for w in weight]
-    mix.eta = 1.0 / _largest_eigenvalue([[sums[f"m{i}_{j}"] / n for j in range(k)] for i in range(k)])
-    held = table.select("n", "p", _start().alias("s"))
+    gram = [[sums[f"m{i}_{j}"] / n for j in range(k)] for i in range(k)]
+    held = table.select("n", "p", F.lit(1.0).alias("r"))
     written, behind = 0, None
     for t in range(steps):
-        state = mix.state(F.col("p"), F.col("s"), written, t)
+        rate = mix.state(F.col("p"), F.col("r"), written, t)
         if t - written == WRITE_EVERY:
-            fresh = materialise(held.select("n", "p", state.alias("s")), "rates")
+            fresh = materialise(held.select("n", "p", rate.alias("r")), "rates")
             if behind is not None:
                 drop_table(behind)
             held = behind = fresh
-            written, state = t, F.col("s")
-        got = held.select("n", "p", state["y"].alias("y")).agg(*(F.sum(F.col("n") * F.col("y") * at(i)).alias(f"t{i}") for i in range(k))).first()
+            written, rate = t, F.col("r")
+        got = held.select("n", "p", rate.alias("r")).agg(*(F.sum(F.col("n") * F.col("r") * at(i)).alias(f"t{i}") for i in range(k))).first()
         residual = [got[f"t{i}"] / n - mix.targets[i] for i in range(k)]
-        mix.history.append(residual)
+        mix.residuals.append(residual)
         if max(map(abs, residual)) < CLOSE:
             break
+        mix.history.append(_solve(gram, residual))
     return mix
 
 
@@ -188,9 +190,9 @@ def mix_rates(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     row each.  Labels with nulls are left out; without labels there is one domain and every rate is 1.  Texts of any
     length are read whole; extra columns are not read; no documents give no rows.
     """
-    mix = fit_mix(docs, labels, **options)
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), features(text).alias("f")).select("doc_id", F.col("f.n").alias("n_tokens"), mix.posterior(F.col("f.x")).alias("posterior"))
+    table = feature_table(docs)
+    mix = fit_mix(table, labels, **options)
+    rows = table.select("doc_id", F.col("n").alias("n_tokens"), mix.posterior(F.col("x")).alias("posterior"))
     rows = rows.withColumn("rate", mix.rate(F.col("posterior")))
     best = F.array_position("posterior", F.array_max("posterior")).cast("int")
     domain = F.element_at(F.array(*map(F.lit, mix.domains)), best)
@@ -199,7 +201,7 @@ def mix_rates(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 
 def mixed(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The rows of ``docs``, with all their columns, as many times as their copies say."""
-    mix = fit_mix(docs, labels, **options)
+    mix = fit_mix(feature_table(docs), labels, **options)
     row = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rated = docs.select(row.alias("row"), mix.rate(mix.posterior(features(text)["x"])).alias("rate"))
