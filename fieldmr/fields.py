@@ -143,7 +143,7 @@ def text_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "lang", "source", "n_chars")
     rank = F.row_number().over(Window.partitionBy("lang", "source").orderBy("doc_id")) - 1
     labels = table(spark, sf_dir, "labels").select("doc_id", "quality")
-    return docs.select("doc_id", "lang", "source", "n_chars", rank.cast("int").alias("rank")).join(labels, "doc_id", "left").select("lang", "source", "rank", F.col("n_chars").alias("v"), "quality")
+    return docs.select("doc_id", "lang", "source", "n_chars", rank.cast("int").alias("rank")).join(labels, "doc_id", "left").select("lang", "source", "rank", F.col("n_chars").alias("v"), F.coalesce("quality", F.lit(-1)).alias("quality"))
 
 
 def page_profile(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -43,7 +43,7 @@ def gauss_cells(cells: DataFrame) -> DataFrame:
     for axis in "xyz":
         w = Window.partitionBy(*[c for c in "xyz" if c != axis]).orderBy(axis)
         l, r = F.coalesce(F.lag("v").over(w), "v"), F.coalesce(F.lead("v").over(w), "v")
-        cells = cells.select("x", "y", "z", (l + 2 * F.col("v") + r).alias("v"))
+        cells = cells.select("x", "y", "z", ((l + 2 * F.col("v") + r) / 4).alias("v"))
     return cells
 
 

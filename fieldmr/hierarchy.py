@@ -132,6 +132,19 @@ def flatten_nearest(levels: DataFrame) -> DataFrame:
     return out.select("level", F.col("fx").alias("x"), F.col("fy").alias("y"), F.col("fz").alias("z"), "v")
 
 
+def flatten_trilinear(coarse: DataFrame, edge: int) -> DataFrame:
+    """Cells at twice the resolution, each axis weighing 3 to 1 between its own and the next coarse cell; values are 64 times the mean."""
+    out = coarse.select("x", "y", "z", "v")
+    for axis in "xyz":
+        w = Window.partitionBy(*[c for c in "xyz" if c != axis]).orderBy(axis)
+        before, after = F.coalesce(F.lag("v").over(w), "v"), F.coalesce(F.lead("v").over(w), "v")
+        halves = F.array(F.struct(F.lit(0).alias("h"), (3 * F.col("v") + before).alias("w")), F.struct(F.lit(1).alias("h"), (3 * F.col("v") + after).alias("w")))
+        wide = out.select("x", "y", "z", halves.alias("halves")).select("x", "y", "z", F.inline("halves"))
+        at = {c: (2 * F.col(c) + F.col("h")).cast("int") if c == axis else F.col(c) for c in "xyz"}
+        out = wide.select(*(at[c].alias(c) for c in "xyz"), F.col("w").alias("v"))
+    return out
+
+
 def cover(levels: DataFrame) -> DataFrame:
     """How often each fine cell is covered."""
     return flatten_nearest(levels).groupBy("x", "y", "z").agg(F.count("*").alias("times"))
