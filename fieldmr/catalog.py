@@ -4,14 +4,15 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .queries import workloads
 from .queries.core import core
 from .registry import Query
 
-FAMILIES = (core,)
+FAMILIES = (core, workloads.work)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    return workloads.flagship(spark, sf_dir)
 
 
 def queries() -> dict[str, Query]:
