@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .queries import workloads
+from .queries import ops, workloads
 from .queries.core import core
 from .registry import Query
 
-FAMILIES = (core, workloads.work)
+FAMILIES = (core, workloads.work, ops.ops)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
