@@ -69,19 +69,22 @@ class Mix:
         """Array of posteriors from a feature array."""
         if len(self.domains) < 2:
             return F.array(F.lit(1.0))
-        scores = []
-        for p, mean, variance in zip(self.prior, self.mean, self.variance, strict=True):
-            score = F.lit(log(p) - 0.5 * sum(log(2 * pi * v) for v in variance))
-            for i, (m, v) in enumerate(zip(mean, variance, strict=True)):
-                score = score - (F.get(x, F.lit(i)) - m) * (F.get(x, F.lit(i)) - m) / (2 * v)
-            scores.append(score)
+
+        def scores(x: Column) -> Column:
+            out = []
+            for p, mean, variance in zip(self.prior, self.mean, self.variance, strict=True):
+                score = F.lit(log(p) - 0.5 * sum(log(2 * pi * v) for v in variance))
+                for i, (m, v) in enumerate(zip(mean, variance, strict=True)):
+                    score = score - (F.get(x, F.lit(i)) - m) * (F.get(x, F.lit(i)) - m) / (2 * v)
+                out.append(score)
+            return F.array(*out)
 
         def normal(s: Column) -> Column:
             top = F.array_max(s)
             total = lambda e: F.aggregate(e, F.lit(0.0), lambda a, b: a + b)
             return let(F.transform(s, lambda v: F.exp(v - top)), lambda e: F.transform(e, lambda v: v / total(e)))
 
-        return let(F.array(*scores), normal)
+        return let(let(x, scores), normal)
 
     def state(self, p: Column, start: Column, begin: int, end: int) -> Column:
         """The rate after steps ``begin`` to ``end`` of the history, from ``start``."""
@@ -202,8 +205,9 @@ def mix_rates(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 def mixed(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The rows of ``docs``, with all their columns, as many times as their copies say."""
     mix = fit_mix(feature_table(docs), labels, **options)
-    row = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    rated = docs.select(row.alias("row"), mix.rate(mix.posterior(features(text)["x"])).alias("rate"))
-    copies = _copies(F.col("rate"), F.col("row.doc_id").cast("long"))
-    return rated.withColumn("copies", copies).where("copies > 0").select("row", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select("row.*")
+    # every step binds its input once, and no filter repeats the expression
+    rate = let(mix.posterior(features(text)["x"]), mix.rate)
+    repeats = F.array_repeat(F.lit(1), _copies(rate, F.col("doc_id").cast("long")).cast("int"))
+    row = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
+    return docs.select(row.alias("row"), F.explode(repeats)).select("row.*")

@@ -64,35 +64,45 @@ class WordIds:
         vocabulary = self.tokenizer.get_vocab()
         self.final = np.zeros(max(vocabulary.values()) + 1, dtype=bool)
         self.final[[i for token, i in vocabulary.items() if token.endswith("</w>")]] = True
-        self.known: dict[int, bytes] = {}
+        self.forget()
+
+    def forget(self) -> None:
+        """Known words as arrays, some twenty bytes a word: sorted hashes, and where their ids lie in ``flat``."""
+        self.keys = np.empty(0, dtype=np.uint64)
+        self.begin = np.empty(0, dtype=np.int32)
+        self.size = np.empty(0, dtype=np.int32)
+        self.flat = np.empty(0, dtype="<u4")
 
     def _plain(self, text: str) -> np.ndarray:
         return np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4")
 
-    def _letters(self, words: list[str]) -> list[bytes]:
-        out: list[bytes] = []
+    def _letters(self, words: list[str]) -> list[np.ndarray]:
+        out: list[np.ndarray] = []
         for i in range(0, len(words), 2_000):
             part = words[i : i + 2_000]
             ids = self._plain(" ".join(part))
             stop = np.flatnonzero(self.final[ids]) + 1
-            if len(stop) == len(part):
-                raw, edge = ids.tobytes(), [0, *(4 * stop).tolist()]
-                out += [raw[a:b] for a, b in zip(edge[:-1], edge[1:], strict=True)]
-            else:
-                out += [self._plain(w).tobytes() for w in part]
+            out += np.split(ids, stop[:-1]) if len(stop) == len(part) else map(self._plain, part)
         return out
 
-    def _learn(self, keys: list[int], words: list[str]) -> None:
+    def _learn(self, keys: np.ndarray, words: list[str]) -> None:
+        """Add words with new hashes, which are sorted."""
+        ids: list[np.ndarray] = [self.flat[:0]] * len(words)
         plain = [i for i, w in enumerate(words) if _LATIN.fullmatch(w)]
-        for i, ids in zip(plain, self._letters([words[i] for i in plain]), strict=True):
-            self.known[keys[i]] = ids
+        for i, x in zip(plain, self._letters([words[i] for i in plain]), strict=True):
+            ids[i] = x
         for i in set(range(len(words))).difference(plain):
-            self.known[keys[i]] = self._plain(words[i]).tobytes()
+            ids[i] = self._plain(words[i])
+        size = np.fromiter(map(len, ids), np.int32, len(ids))
+        begin = (len(self.flat) + np.cumsum(size) - size).astype(np.int32)
+        at = np.searchsorted(self.keys, keys)
+        self.flat = np.concatenate([self.flat, *ids])
+        self.keys, self.begin, self.size = np.insert(self.keys, at, keys), np.insert(self.begin, at, begin), np.insert(self.size, at, size)
 
     def encode(self, data: np.ndarray, offsets: np.ndarray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """Ids of some documents, an end id after each, and their numbers."""
-        if len(self.known) > CACHE_WORDS:
-            self.known = {}
+        if len(self.keys) > CACHE_WORDS:
+            self.forget()
         mark = np.flatnonzero(_MARK[data])
         mark = mark[mark > 0]
         ends_word = np.append(~_WORD[data], True)[mark + 1]
@@ -102,14 +112,13 @@ class WordIds:
         # a special token is lower case as written; anything else is folded anyway
         words = tb.Words(data, offsets, _WORD, lower=b"<|" not in data.tobytes(), cuts=mark)
         keys, first, number = np.unique(words.hashes, return_index=True, return_inverse=True)
-        names = keys.tolist()
-        found = list(map(self.known.get, names))
-        if new := [i for i, x in enumerate(found) if x is None]:
-            self._learn([names[i] for i in new], [words.data[words.starts[j] : words.ends[j]].tobytes().decode() for j in first[new].tolist()])
-            for i in new:
-                found[i] = self.known[names[i]]
-        size = np.fromiter(map(len, found), np.int64, len(found)) // 4
-        flat, base = np.frombuffer(b"".join(found), "<u4"), np.cumsum(size) - size
+        at = np.searchsorted(self.keys, keys)
+        at[at == len(self.keys)] = 0
+        new = np.flatnonzero(self.keys[at] != keys) if len(self.keys) else np.arange(len(keys))
+        if len(new):
+            self._learn(keys[new], [words.data[words.starts[j] : words.ends[j]].tobytes().decode() for j in first[new].tolist()])
+            at = np.searchsorted(self.keys, keys)
+        size, base, flat = self.size[at].astype(np.int64), self.begin[at].astype(np.int64), self.flat
         n = size[number]
         upto = np.concatenate(([0], np.cumsum(n)))
         per_doc = upto[words.bounds[1:]] - upto[words.bounds[:-1]]
