@@ -118,6 +118,18 @@ def _sampled(dense: np.ndarray, codec: Codec, b: int) -> list[tuple[np.ndarray,
     return out
 
 
+def _densest(original: np.ndarray, made: np.ndarray, b: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Where a sparse level has no whole cube: the box of two blocks a side with the most points, as it was decoded."""
+    there = np.isfinite(original)
+    best, box = 0, None
+    for o in np.ndindex(*[max(1, s // b - 1) for s in original.shape]):
+        part = tuple(slice(c * b, (c + 2) * b) for c in o)
+        n = int(there[part].sum())
+        if n > best:
+            best, box = n, part
+    return [(original[box], made[box])] if box is not None else []
+
+
 def repaired(keys: np.ndarray, vals: np.ndarray, made: np.ndarray, codec: Codec, nby: int, nbz: int) -> tuple[np.ndarray, tuple | None, float]:
     """(repaired blocks, intensities, share of points sampled) for the codec's ``repair`` setting.
 
@@ -130,8 +142,8 @@ def repaired(keys: np.ndarray, vals: np.ndarray, made: np.ndarray, codec: Codec,
     rate = 0.0
     if codec.repair == "fit":
         original, _ = to_dense(keys, vals, nby, nbz)
-        sample = _sampled(original, codec, b)
-        rate = sum(o.size for o, _ in sample) / vals.size
+        sample = _sampled(original, codec, b) or _densest(original, dense, b)
+        rate = sum(int(np.isfinite(o).sum()) for o, _ in sample) / vals.size
         a = rp.fit_intensity(sample, codec.eb, b, rp.CANDIDATES[codec.name]) if sample else (0.0, 0.0, 0.0)
     else:
         a = (1.0,) * 3 if codec.repair == "one" else (float(codec.repair),) * 3
