@@ -95,7 +95,7 @@ def event_axes(events: DataFrame, types: list[str], first: Column) -> DataFrame:
 
 def event_types(spark: SparkSession, sf_dir: str) -> list[str]:
     """The types in order: a dictionary of a few values."""
-    return sorted(r[0] for r in table(spark, sf_dir, "events").select("event_type").where("event_type is not null").distinct().limit(1000).collect())
+    return sorted(r[0] for r in table(spark, sf_dir, "events").select("event_type").where("event_type is not null").distinct().collect())
 
 
 def event_cube(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -122,15 +122,15 @@ add("op_join_broadcast", lambda s, d: T(s, d, "customer").join(F.broadcast(T(s,
 add("op_join_semi", lambda s, d: T(s, d, "customer").join(T(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
 add("op_join_anti", lambda s, d: T(s, d, "orders").join(T(s, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey"), "left_anti").select("o_orderkey"), "SELECT o_orderkey FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM lineitem)")
 add("op_join_left", lambda s, d: T(s, d, "documents").join(T(s, d, "labels"), "doc_id", "left").select("doc_id", F.coalesce("quality", F.lit(-1)).alias("quality")), "SELECT doc_id, coalesce(quality, -1) AS quality FROM documents LEFT JOIN labels USING (doc_id)")
-add("op_join_full", lambda s, d: T(s, d, "supplier").select(F.col("s_suppkey").alias("k")).join(T(s, d, "part").where("p_size > 40").select(F.col("p_partkey").alias("k"), "p_size"), "k", "full").select("k", F.coalesce("p_size", F.lit(-1)).alias("p_size")), "SELECT coalesce(s_suppkey, p_partkey) AS k, coalesce(p_size, -1) AS p_size FROM supplier FULL JOIN (SELECT * FROM part WHERE p_size > 40) ON s_suppkey = p_partkey")
+add("op_join_full", lambda s, d: T(s, d, "supplier").select(F.col("s_suppkey").alias("k")).join(T(s, d, "part").select(F.col("p_partkey").alias("k"), "p_size"), "k", "full").select("k", F.coalesce("p_size", F.lit(-1)).alias("p_size")), "SELECT coalesce(s_suppkey, p_partkey) AS k, coalesce(p_size, -1) AS p_size FROM supplier FULL JOIN part ON s_suppkey = p_partkey")
 
 
 def _range_join(s, d):
-    """Masses within a radius of a few centres, as an equi join on coarse bins with a residual filter."""
+    """Events within a radius of the heaviest masses, as an equi join on coarse bins with a residual filter."""
     e = T(s, d, "events")
     hsh = (F.col("event_id") * 2654435761) % (1 << 32)
-    p = e.select("event_id", *((F.shiftright(hsh, k) % 64).cast("int").alias(c) for c, k in (("x", 8), ("y", 16), ("z", 24))))
-    c = p.where("event_id < 20").select(F.col("event_id").alias("center"), *(F.col(a).alias(f"c{a}") for a in "xyz"))
+    p = e.select("event_id", "value", *((F.shiftright(hsh, k) % 64).cast("int").alias(c) for c, k in (("x", 8), ("y", 16), ("z", 24))))
+    c = p.orderBy(F.desc("value"), "event_id").limit(fl.MASSES).select(F.col("event_id").alias("center"), *(F.col(a).alias(f"c{a}") for a in "xyz"))
     near = c
     for a in "xyz":
         near = near.select("*", F.explode(F.sequence(F.floor(F.col(f"c{a}") / 8) - 1, F.floor(F.col(f"c{a}") / 8) + 1)).alias(f"b{a}"))
@@ -139,8 +139,8 @@ def _range_join(s, d):
     return binned.join(near, ["bx", "by", "bz"]).where(dist <= 64).select("center", "event_id")
 
 
-_P = "p AS (SELECT event_id, ((event_id * 2654435761) % 4294967296 // 256) % 64 AS x, ((event_id * 2654435761) % 4294967296 // 65536) % 64 AS y, ((event_id * 2654435761) % 4294967296 // 16777216) % 64 AS z FROM events)"
-add("op_join_range", _range_join, f"WITH {_P} SELECT c.event_id AS center, p.event_id FROM p JOIN p c ON c.event_id < 20 AND (p.x - c.x) * (p.x - c.x) + (p.y - c.y) * (p.y - c.y) + (p.z - c.z) * (p.z - c.z) <= 64")
+_P = "p AS (SELECT event_id, value, ((event_id * 2654435761) % 4294967296 // 256) % 64 AS x, ((event_id * 2654435761) % 4294967296 // 65536) % 64 AS y, ((event_id * 2654435761) % 4294967296 // 16777216) % 64 AS z FROM events)"
+add("op_join_range", _range_join, f"WITH {_P} SELECT c.event_id AS center, p.event_id FROM p JOIN (SELECT * FROM p ORDER BY value DESC, event_id LIMIT 400) c ON (p.x - c.x) * (p.x - c.x) + (p.y - c.y) * (p.y - c.y) + (p.z - c.z) * (p.z - c.z) <= 64")
 add("op_join_neighbour", lambda s, d: (lambda c, r, g: gr.neighbour_keys(r, g // 8, g // 8, g // 8).join(r.select(F.col("key").alias("other"), F.col("hi").alias("other_hi")), "other").groupBy("key").agg(F.max("other_hi").alias("around")))(*ranges(s, d)), f"WITH {HALO}, {RANGES}, c AS (SELECT key, hi, key // ((g // 8) * (g // 8)) AS a, key // (g // 8) % (g // 8) AS b, key % (g // 8) AS c FROM rng, g) SELECT p.key, max(q.hi) AS around FROM c p JOIN c q ON abs(p.a - q.a) + abs(p.b - q.b) + abs(p.c - q.c) = 1 GROUP BY p.key")
 add("op_join_cross", lambda s, d: T(s, d, "region").crossJoin(F.broadcast(s.createDataFrame([(1,), (2,), (3,)], "k int"))).select("r_name", "k"), "SELECT r_name, CAST(k AS INTEGER) AS k FROM region, unnest([1, 2, 3]) AS t(k)")
 
@@ -168,7 +168,7 @@ add("op_join_cross_level", lambda s, d: (lambda c: c.join(h.coarsen(c, 2, "max")
 
 def _lateral(s, d):
     sqlfuncs.register(s)
-    T(s, d, "nation").where("n_nationkey between 4 and 9").createOrReplaceTempView("op_lines")
+    T(s, d, "nation").createOrReplaceTempView("op_lines")
     return s.sql("SELECT n_nationkey, count(*) AS points, count_if(kind = 'extrapolated') AS extrapolated FROM op_lines, LATERAL interp_plan(n_nationkey) GROUP BY n_nationkey")
 
 
@@ -235,7 +235,7 @@ add("op_win_whole", lambda s, d: T(s, d, "supplier").select("s_suppkey", F.max("
 
 # sorts and limits
 
-add("op_sort_global", lambda s, d: (lambda c: c.select("x", "y", "z", gr.morton(*map(F.col, "xyz")).alias("code")).orderBy("code").limit(100))(halo(s, d)[0]), f"{_C} SELECT x, y, z, CAST(" + " + ".join(f"list_sum([((({c} >> k) & 1) << (3 * k + {a})) FOR k IN range(10)])" for a, c in enumerate("xyz")) + " AS BIGINT) AS code FROM halo ORDER BY code LIMIT 100")
+add("op_sort_global", lambda s, d: (lambda c: c.select("x", "y", "z", gr.morton(*map(F.col, "xyz")).alias("code")).orderBy("code"))(halo(s, d)[0]), f"{_C} SELECT x, y, z, CAST(" + " + ".join(f"list_sum([((({c} >> k) & 1) << (3 * k + {a})) FOR k IN range(10)])" for a, c in enumerate("xyz")) + " AS BIGINT) AS code FROM halo ORDER BY code")
 add("op_sort_local", lambda s, d: T(s, d, "orders").repartition(4, "o_custkey").sortWithinPartitions("o_custkey", "o_orderkey").select("o_custkey", "o_orderkey"), "SELECT o_custkey, o_orderkey FROM orders")
 add("op_top_k", lambda s, d: ranges(s, d)[1].orderBy(F.desc("rng"), "key").limit(3).select("key", "rng"), f"WITH {HALO}, {RANGES} SELECT key, rng FROM ranked ORDER BY rng DESC, key LIMIT 3")
 add("op_top_k_group", lambda s, d: T(s, d, "part").withColumn("r", F.row_number().over(Window.partitionBy("p_brand").orderBy(F.desc("p_retailprice"), "p_partkey"))).where("r <= 3").select("p_brand", "p_partkey"), "SELECT p_brand, p_partkey FROM part QUALIFY row_number() OVER (PARTITION BY p_brand ORDER BY p_retailprice DESC, p_partkey) <= 3")
