@@ -1,4 +1,4 @@
-"""Connected components of crossed cells, by smallest labels and pointer jumping."""
+"""Connected components of crossed cells by alternating star contractions."""
 
 from __future__ import annotations
 
@@ -15,16 +15,29 @@ def _checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def _hook(edges: DataFrame) -> DataFrame:
+    """Larger neighbours of a node move to the least node around it."""
+    both = edges.union(edges.select("v", "u"))
+    least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+    moved = edges.select(F.col("u").alias("w"), F.col("v").alias("u")).join(least, "u").select(F.col("w").alias("u"), F.col("m").alias("v"))
+    return moved.union(least.where("m < u").select("u", "m")).where("u > v").distinct()
+
+
+def _shorten(edges: DataFrame) -> DataFrame:
+    """Smaller neighbours of a node move to the least of them."""
+    least = edges.groupBy("u").agg(F.min("v").alias("m"))
+    moved = edges.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v")
+    return moved.union(least.select("u", "m")).distinct()
+
+
 def connected(nodes: DataFrame, links: DataFrame) -> DataFrame:
-    """Each round takes the least label around a node, then the label of that label; rounds grow with the logarithm of the diameter."""
-    both = _checkpointed(links.select("a", "b").union(links.select("b", "a")))
-    labels = _checkpointed(nodes.select("node", F.col("node").alias("component")))
+    """(node, component): a component is named by its least node; the number of rounds grows with the logarithm of the diameter."""
+    edges = _checkpointed(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct())
+    seen = None
     while True:
-        near = both.join(labels.select(F.col("node").alias("b"), "component"), "b").groupBy(F.col("a").alias("node")).agg(F.min("component").alias("near"))
-        least = labels.join(near, "node", "left").select("node", F.least("component", F.coalesce("near", "component")).alias("component"), F.col("component").alias("before"))
-        up = labels.select(F.col("node").alias("component"), F.col("component").alias("up"))
-        new = least.join(up, "component", "left").select("node", F.least("component", F.coalesce("up", "component")).alias("component"), "before")
-        new = _checkpointed(new)
-        if not new.where("component <> before").limit(1).count():
-            return new.select("node", "component")
-        labels = new.select("node", "component")
+        edges = _checkpointed(_shorten(_hook(edges)))
+        now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        if now == seen:
+            break
+        seen = now
+    return nodes.select("node").join(edges.withColumnRenamed("u", "node"), "node", "left").select("node", F.coalesce("v", "node").alias("component"))
