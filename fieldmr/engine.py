@@ -52,23 +52,24 @@ def encode(chunked: DataFrame, codec: Codec, u: int, nby: int, nbz: int) -> Data
 
 
 def decode(packets: DataFrame, codec: Codec, u: int, nby: int, nbz: int) -> DataFrame:
-    """BLOCK rows from packets."""
+    """BLOCK rows from packets; the side of a packet's blocks, at most ``u``, follows from its size."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.select(["level", "keys", "body"]).to_pylist():
+            for row in batch.select(["level", "keys", "body", "raw_bytes"]).to_pylist():
                 keys = np.array(row["keys"], dtype=np.int64)
-                vals = decode_chunk(row["body"], keys, u, codec, nby, nbz)
+                side = round((row["raw_bytes"] / 8 / len(keys)) ** (1 / 3)) if len(keys) else u
+                vals = decode_chunk(row["body"], keys, side, codec, nby, nbz)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), row["level"], np.int32)), pa.array(keys), pa.array(list(vals.reshape(len(keys), -1)), pa.list_(pa.float64()))], names=["level", "key", "vals"])
 
-    return packets.select("level", "keys", "body").mapInArrow(work, schema.BLOCK)
+    return packets.select("level", "keys", "body", "raw_bytes").mapInArrow(work, schema.BLOCK)
 
 
 def block_cells(blocks: DataFrame, u: int, nby: int, nbz: int) -> DataFrame:
-    """Blocks back to (level, x, y, z, v)."""
+    """Blocks back to (level, x, y, z, v); those of a coarse level may have a side under ``u``."""
     k = F.col("key")
-    flat = blocks.select("level", F.floor(k / (nby * nbz)).alias("bx"), (F.floor(k / nbz) % nby).alias("by"), (k % nbz).alias("bz"), F.posexplode("vals").alias("o", "v"))
-    o = F.col("o")
+    flat = blocks.select("level", F.least(F.lit(u), F.round(F.cbrt(F.size("vals"))).cast("int")).alias("u"), F.floor(k / (nby * nbz)).alias("bx"), (F.floor(k / nbz) % nby).alias("by"), (k % nbz).alias("bz"), F.posexplode("vals").alias("o", "v"))
+    o, u = F.col("o"), F.col("u")
     at = lambda b, i: (F.col(b) * u + i).cast("int")
     return flat.select("level", at("bx", F.floor(o / (u * u))).alias("x"), at("by", F.floor(o / u) % u).alias("y"), at("bz", o % u).alias("z"), "v")
 
@@ -106,7 +107,7 @@ def _sampled(dense: np.ndarray, codec: Codec, b: int) -> list[tuple[np.ndarray,
             continue
         sub = side // b * b if codec.name != "interp" else side
         cube = cube[:sub, :sub, :sub]
-        if codec.name == "interp" and sub >= b and sub % b == 0:
+        if (codec.name == "interp" or b < (codec.block if codec.name == "blockpred" else 4)) and sub >= b and sub % b == 0:
             k = sub // b
             blocks = cube.reshape(k, b, k, b, k, b).transpose(0, 2, 4, 1, 3, 5).reshape(-1, b, b, b)
             _, made = encode_chunk(np.arange(k**3), blocks, codec, k, k)
@@ -135,7 +136,8 @@ def repaired(keys: np.ndarray, vals: np.ndarray, made: np.ndarray, codec: Codec,
 
     ``free``: unclamped; ``one``: intensity 1; ``fit``: fitted on a sample; a number: that intensity on all axes.
     """
-    b = {"blockpred": codec.block, "blockxform": 4}.get(codec.name, vals.shape[1])
+    # unit blocks smaller than the codec's are coded one by one, so their own faces are the faces
+    b = min({"blockpred": codec.block, "blockxform": 4}.get(codec.name, vals.shape[1]), vals.shape[1])
     dense, place = to_dense(keys, made, nby, nbz)
     if codec.repair == "free":
         return from_dense(rp.repair(dense, codec.eb, None, b), place), None, 0.0
@@ -188,7 +190,8 @@ def rd_points(partials: DataFrame, by: tuple[str, ...] = ("variant", "level", "e
 def field_chunks(cells: DataFrame, edge: int, u: int, percent: float | None = None, b: int | None = None, per_chunk: int = BLOCKS_PER_SLAB, shares: list[float] | None = None) -> DataFrame:
     """Chunks of a cubic field: uniform, with a region of interest and a coarse rest, or with a share of the ranking per level.
 
-    Unit blocks have side u at the fine level and at least 4 at coarser ones (half of the cube of interest, at most u).
+    Unit blocks have side u, or that of the cube of interest on their level where that is smaller, so every cube is whole blocks and
+    no cell is left out.  A block with absent cells is an error.
     """
     from . import hierarchy as h
 
@@ -202,9 +205,12 @@ def field_chunks(cells: DataFrame, edge: int, u: int, percent: float | None = No
     levels = h.build_levels(cells, ranked, b, nb, nb).withColumn("v", F.col("v") / F.col("n"))
     out = None
     for k in range(len(shares or [0, 0])):
-        side = max(4, min(u, b >> k))
+        side = min(u, b >> k)
+        if not side:
+            raise ValueError(f"cubes of side {b} have no level {k}")
         n = (edge >> k) // side
-        part = h.to_blocks(levels.where(F.col("level") == k), side, n, n).where(F.col("n") == side**3)
+        whole = F.when(F.col("n") == side**3, F.col("vals")).otherwise(F.raise_error(F.lit(f"a block of level {k} has absent cells")))
+        part = h.to_blocks(levels.where(F.col("level") == k), side, n, n).withColumn("vals", whole)
         part = chunks(part.select(F.lit(k).alias("level"), "key", "vals"), side, per_chunk)
         out = part if out is None else out.unionByName(part)
     return out

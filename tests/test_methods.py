@@ -148,6 +148,35 @@ def test_packets_round_trip_and_partition_invariance(spark):
     assert len(sizes) == 1
 
 
+def test_three_levels_keep_every_cell(spark):
+    """Level 2 has cubes of side 2, alone or beside cubes of other levels: each is coded, measured and decoded."""
+    from fieldmr.queries.workloads import KD, LINEAR, OURS, PRED4, STACK, XFORM, with_repair
+
+    g, u, shares, eb = 32, 8, [15, 31, 54], 0.01
+    field, nb = fl.mixing_layer(spark, SF, g).persist(), g // u
+    ranked = h.level_of_rank(h.block_ranges(field, u, nb, nb), shares)
+    levels = h.build_levels(field, ranked, u, nb, nb).select("level", "x", "y", "z", (F.col("v") / F.col("n")).alias("v")).persist()
+    want = {r["level"]: r["count"] for r in levels.groupBy("level").count().collect()}
+    assert set(want) == {0, 1, 2}
+    table = en.field_chunks(field, g, u, shares=shares).persist()
+    variants = [c.at(eb) for c in (LINEAR, STACK, KD, OURS, PRED4, XFORM, with_repair(PRED4), with_repair(XFORM))]
+    points = en.rd_points(en.evaluate(table, variants, u, nb, nb)).collect()
+    assert len(points) == 3 * len(variants)
+    for r in points:
+        assert r.n == want[r.level]
+        assert r.max_err <= eb * (1 if "repair" not in r.variant else 1.5 + 1e-9)
+    for c in (variants[0], variants[4], variants[5]):
+        back = en.block_cells(en.decode(en.encode(table, c, u, nb, nb), c, u, nb, nb), u, nb, nb)
+        n, worst = en.pairs(levels, back).agg(F.count("*"), F.max(F.abs(F.col("orig") - F.col("deco")))).first()
+        assert n == sum(want.values()) and worst <= eb
+
+
+def test_blocks_with_absent_cells_are_an_error(spark):
+    field = fl.analytic(spark, 16, "wave").where("x > 0 or y > 0 or z > 0")
+    with pytest.raises(Exception, match="absent cells"):
+        en.field_chunks(field, 16, 8, percent=50).collect()
+
+
 def test_bound_per_level_raises_quality(spark):
     """The method's main effect on a smooth field at large bounds; size matters, so the field is a closed form."""
     from fieldmr.queries.workloads import OURS, PAD
