@@ -5,8 +5,8 @@ equal fingerprints, so a join of the fingerprints of training and test windows m
 span of ``n`` words or more.  A joined window is then extended to all its words: its hash over all ``n``
 words and at last the words themselves must agree, so no hash decides a hit alone.
 
-Test items go out in blocks of bounded size.  One block is the usual case; with more,
-documents are read once per block and hits of all blocks meet per document.
+Test items go out in blocks of bounded size.  One block is the usual case; with more, documents are written with
+a key per row, read once per block, and hits of all blocks meet per row.
 """
 
 from __future__ import annotations
@@ -21,13 +21,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import textbytes as tb
+from .runtime import materialise
 
 N_WORDS = 10
 GRAM = 5
 #: Characters of item texts that are sent to executors at a time.
 BLOCK_CHARS = 16 << 20
 
-HITS = "doc_id long, n_words long, spans array<struct<first:long,last:long>>, items array<string>"
+HITS = "row long, doc_id long, n_words long, spans array<struct<first:long,last:long>>, items array<string>"
 
 
 class Index:
@@ -106,9 +107,9 @@ def _hits(words: tb.Words, index: Index) -> tuple[np.ndarray, dict[int, set]]:
 def _scan(batches: Iterator[pa.RecordBatch], shared: Broadcast) -> Iterator[pa.RecordBatch]:
     index: Index = shared.value
     span = pa.struct([("first", pa.int64()), ("last", pa.int64())])
-    schema = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("spans", pa.list_(span)), ("items", pa.list_(pa.string()))])
+    schema = pa.schema([("row", pa.int64()), ("doc_id", pa.int64()), ("n_words", pa.int64()), ("spans", pa.list_(span)), ("items", pa.list_(pa.string()))])
     for batch in batches:
-        ids = batch.column(batch.schema.get_field_index("doc_id"))
+        rows, ids = (batch.column(batch.schema.get_field_index(c)) for c in ("row", "doc_id"))
         for i, j, data, offsets in tb.slices(tb.text_column(batch)):
             words = tb.Words(data, offsets, tb.ALNUM)
             hit, items = _hits(words, index)
@@ -119,7 +120,7 @@ def _scan(batches: Iterator[pa.RecordBatch], shared: Broadcast) -> Iterator[pa.R
                 edge = np.flatnonzero(np.diff(np.concatenate(([0], hit[a:b].view(np.int8), [0]))))
                 spans[d] = [{"first": int(x), "last": int(y) - 1} for x, y in zip(edge[::2], edge[1::2], strict=True)]
             found = [sorted(x for x in items.get(d, ()) if x is not None) for d in range(j - i)]
-            yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array(words.per_doc, pa.int64()), pa.array(spans, pa.list_(span)), pa.array(found, pa.list_(pa.string()))], schema=schema)
+            yield pa.RecordBatch.from_arrays([rows.slice(i, j - i), ids.slice(i, j - i), pa.array(words.per_doc, pa.int64()), pa.array(spans, pa.list_(span)), pa.array(found, pa.list_(pa.string()))], schema=schema)
 
 
 def _blocks(bench: DataFrame, chars: int) -> Iterator[list[tuple[str | None, str]]]:
@@ -143,18 +144,21 @@ def contamination(docs: DataFrame, bench: DataFrame, n: int = N_WORDS, k: int =
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     context = docs.sparkSession.sparkContext
-    parts = []
-    for block in _blocks(bench.select(F.col("item_id").cast("string"), F.col("text").cast("string")), block_chars):
+    blocks = _blocks(bench.select(F.col("item_id").cast("string"), F.col("text").cast("string")), block_chars)
+    block, following = next(blocks), next(blocks, None)
+    if following is None:
+        shared = context.broadcast(Index(block, n, k))
+        return docs.select(F.lit(0).cast("long").alias("row"), "*").mapInArrow(lambda it: _scan(it, shared), HITS).drop("row")
+    # ids may be null or repeat, so rows meet by a key that is written once and read by every scan
+    docs = materialise(docs.select(F.monotonically_increasing_id().alias("row"), "*"), "rows")
+    every = None
+    while block is not None:
         shared = context.broadcast(Index(block, n, k))
-        parts.append(docs.mapInArrow(lambda it, shared=shared: _scan(it, shared), HITS))
-    if len(parts) == 1:
-        return parts[0]
-    # a document is its id and number of words here; repeated rows of one id and length are met as one
-    every = parts[0]
-    for part in parts[1:]:
-        every = every.unionByName(part)
-    met = every.groupBy("doc_id", "n_words").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"))
-    return met.withColumn("spans", merged("spans"))
+        part = docs.mapInArrow(lambda it, shared=shared: _scan(it, shared), HITS)
+        every = part if every is None else every.unionByName(part)
+        block, following = following, next(blocks, None)
+    met = every.groupBy("row", "doc_id", "n_words").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
+    return met.select("doc_id", "n_words", merged("spans").alias("spans"), "items")
 
 
 def merged(spans: str) -> Column:

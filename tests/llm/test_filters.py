@@ -48,6 +48,18 @@ def test_decontamination(spark, edge, none):
     assert decontam.contamination(edge, bench.limit(0)).where("size(spans) > 0").count() == 0
 
 
+def test_decontamination_in_blocks_keeps_a_row_each(spark, edge):
+    """Repeated rows, and documents without an id that have as many words, stay apart whatever the size of a block."""
+    bench = spark.createDataFrame(ITEMS, "item_id long, text string")
+    more = spark.createDataFrame([(None, "four"), (None, "one"), (30, "one lazy dog"), (30, "two lazy dog"), (30, "one lazy dog")], "doc_id long, text string")
+    rows = edge.select("doc_id", "text").unionByName(more)
+    want = brute_hits([tuple(r) for r in rows.collect()], ITEMS)
+    for chars in (decontam.BLOCK_CHARS, 20, 1):
+        got = decontam.contamination(rows, bench, block_chars=chars)
+        assert got.columns == ["doc_id", "n_words", "spans", "items"]
+        assert sorted((tuple(r) for r in decontam.digest(got).collect()), key=repr) == want
+
+
 def brute_measures(text):
     w = re.findall(r"[^\x20\x09-\x0D]+", text or "")
     grams = [tuple(w[i : i + 3]) for i in range(len(w) - 2)]
