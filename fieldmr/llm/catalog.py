@@ -27,7 +27,7 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_line_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_frequency(read_table(spark, sf_dir, "documents"))
+    return line_frequency(read_table(spark, sf_dir, "documents")).drop("text")
 
 
 def op3_rans_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,7 +1,8 @@
 """Cross-document line frequency: lines that too many documents of a host share are removed, depleted documents rejected.
 
-DataFrame functions only.  Every text is read once, for its own measures and for the hashes and word counts of its normalised
-lines; what follows works on these.  Documents of a host count once per distinct text, so copies do not make a line frequent.
+DataFrame functions only.  Every text is read twice: for the hashes of its normalised lines, from which the frequent lines of the
+hosts are found, and for its own measures and the text without those lines.  Documents of a host count once per distinct text, so
+copies do not make a line frequent.
 """
 
 from __future__ import annotations
@@ -9,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import let, materialise
+from .runtime import BROADCAST_ROWS, let, materialise
 
 #: A line is frequent if more distinct texts of its host have it than both of these say.
 LEAST_TEXTS, LARGEST_SHARE = 20, 0.10
@@ -72,22 +73,19 @@ def _repeat_words(words: Column) -> Column:
 
 
 def _lines(text: Column) -> Column:
-    """(hash, words) of each line with a word: lower case, digit runs as 0, single blanks."""
+    """Hash of each line, null for one without a word: lower case, digit runs as 0, single blanks."""
     plain = F.regexp_replace(F.regexp_replace(F.lower(text), "[0-9]+", "0"), r"[\x20\x09\x0B-\x0D]+", " ")
-    trimmed = F.filter(F.transform(F.split(plain, "\n"), lambda x: F.trim(x)), lambda x: x != "")
-    return F.transform(trimmed, lambda x: F.struct(F.xxhash64(x).alias("h"), (F.length(x) - F.length(F.replace(x, F.lit(" "), F.lit(""))) + 1).cast("long").alias("w")))
+    return F.transform(F.transform(F.split(plain, "\n"), lambda x: F.trim(x)), lambda x: F.when(x != "", F.xxhash64(x)))
 
 
-def measures(docs: DataFrame) -> DataFrame:
-    """Per row: host, text key, the base measures, and the hashed lines."""
+def _rows(docs: DataFrame) -> DataFrame:
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("host"), text.alias("text"))
-    of_words = let(_words(F.col("text")), lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.length(F.array_join(w, "")).cast("long").alias("word_chars"), _repeat_words(w).alias("n_repeat_words")))
-    out = rows.select(
-        "doc_id", "host", F.md5("text").alias("text_key"), of_words.alias("of_words"), F.regexp_count("text", F.lit("[#*$%&|<>]")).cast("long").alias("n_symbols"),
-        _dup_lines(F.col("text")).cast("long").alias("n_dup_lines"), _lines(F.col("text")).alias("lines"),
-    )
-    return out.select("doc_id", "host", "text_key", "of_words.*", "n_symbols", "n_dup_lines", "lines")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("host"), text.alias("text"))
+
+
+def hashed_lines(rows: DataFrame) -> DataFrame:
+    """Per row: host, text key and the distinct hashes of the lines."""
+    return rows.select("host", F.md5("text").alias("text_key"), F.array_compact(F.array_distinct(_lines(F.col("text")))).alias("lines"))
 
 
 def frequent_lines(texts: DataFrame, least: int = LEAST_TEXTS, share: float = LARGEST_SHARE) -> DataFrame:
@@ -96,30 +94,45 @@ def frequent_lines(texts: DataFrame, least: int = LEAST_TEXTS, share: float = LA
     Counts combine before every shuffle; a hot host is dealt out by its lines.
     """
     hosts = texts.groupBy("host").agg(F.count("*").alias("texts"))
-    counts = texts.select("host", F.explode(F.array_distinct("lines.h")).alias("h")).groupBy("host", "h").agg(F.count("*").alias("n")).where(F.col("n") > least)
+    counts = texts.select("host", F.explode("lines").alias("h")).groupBy("host", "h").agg(F.count("*").alias("n")).where(F.col("n") > least)
     return counts.join(hosts, "host").where(F.col("n") > share * F.col("texts")).select("host", "h")
 
 
 def line_frequency(docs: DataFrame, least: int = LEAST_TEXTS, share: float = LARGEST_SHARE, depleted: float = DEPLETED) -> DataFrame:
-    """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, n_removed_words) for each row.
+    """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, n_removed_words, text) for each row.
 
-    ``docs``: (doc_id, text, source).  Null text has no words and fails; null source is a host of its own (that of the empty
-    name).  Null ids and repeated rows get a row each.  Texts of any length are read whole; extra columns are
+    ``text`` is without its frequent lines, all others as they were; it is given for rejected documents (not ``kept``) too.
+
+    ``docs``: (doc_id, text, source).  Null text has no words, fails and comes back empty; null source is a host of its own (that of
+    the empty name).  Null ids and repeated rows get a row each.  Texts of any length are read whole; extra columns are
     not read; no documents give no rows.
     """
-    rows = materialise(measures(docs), "measures")
-    texts = rows.select("host", "text_key", "lines").dropDuplicates(["host", "text_key"])
+    rows = _rows(docs)
+    texts = materialise(hashed_lines(rows), "lines").dropDuplicates(["host", "text_key"])
     frequent = materialise(frequent_lines(texts, least, share), "frequent")
-    lost = texts.select("host", "text_key", F.inline("lines")).join(frequent, ["host", "h"]).groupBy("host", "text_key").agg(F.sum("w").alias("lost"))
-    removed = F.coalesce("lost", F.lit(0).cast("long"))
+    # a host has at most as many of them as its texts have lines, by 1 / share
+    of_host = frequent.groupBy("host").agg(F.collect_list("h").alias("frequent"))
+    of_host = F.broadcast(of_host) if frequent.count() <= BROADCAST_ROWS else of_host
+    text = F.col("text")
+    of_words = let(_words(text), lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.length(F.array_join(w, "")).cast("long").alias("word_chars"), _repeat_words(w).alias("n_repeat_words")))
+    left = let(cleaned_text(text, F.col("frequent")), lambda t: F.struct(t.alias("text"), F.when(t != text, F.size(_words(t)).cast("long")).alias("n_left")))
+    out = rows.join(of_host, "host", "left").select(
+        "doc_id", of_words.alias("of_words"), F.regexp_count("text", F.lit("[#*$%&|<>]")).cast("long").alias("n_symbols"), _dup_lines(text).cast("long").alias("n_dup_lines"), left.alias("left"),
+    ).select("doc_id", "of_words.*", "n_symbols", "n_dup_lines", "left.*")
+    removed = F.coalesce(F.col("n_words") - F.col("n_left"), F.lit(0).cast("long"))
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    return rows.drop("lines").join(lost, ["host", "text_key"], "left").select(
+    return out.select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"),
-        (~failed & (removed <= depleted * F.col("n_words"))).alias("kept"), removed.alias("n_removed_words"),
+        (~failed & (removed <= depleted * F.col("n_words"))).alias("kept"), removed.alias("n_removed_words"), "text",
     )
 
 
 def cleaned_text(text: Column, frequent: Column) -> Column:
-    """``text`` without the lines whose hash is in the array ``frequent``."""
-    norm = lambda x: F.trim(F.regexp_replace(F.regexp_replace(F.lower(x), "[0-9]+", "0"), r"[\x20\x09\x0B-\x0D]+", " "))
-    return F.array_join(F.filter(F.split(text, "\n"), lambda x: ~F.coalesce(F.array_contains(frequent, F.xxhash64(norm(x))), F.lit(False))), "\n")
+    """``text`` without the lines whose hash is in the array ``frequent``, which may be null."""
+
+    def without(h: Column) -> Column:
+        there = lambda i, hits: F.coalesce(F.array_contains(hits, F.get(h, i)), F.lit(False))
+        rest = lambda hits: F.array_join(F.filter(F.split(text, "\n"), lambda x, i: ~there(i, hits)), "\n")
+        return let(F.array_intersect(h, frequent), lambda hits: F.when(F.size(hits) == 0, text).otherwise(rest(hits)))
+
+    return F.when(frequent.isNull(), text).otherwise(let(_lines(text), without))

@@ -93,6 +93,19 @@ def test_frequent_lines_deplete(spark):
     assert got[200] == (True, 0)
 
 
+def test_frequent_lines_are_removed_from_the_text(spark):
+    """Documents with few words in frequent lines are kept without these; other lines, blank ones too, stay as they were and in order."""
+    name = lambda n: "".join(chr(97 + int(c)) for c in str(n))
+    own = lambda i: " ".join(f"U{name(i)}v{name(k)}" for k in range(60))
+    banner, foot = "Page 7 of  this HOST", "\tall rights reserved "
+    text = lambda i: f"{banner.replace('7', str(i))}\n{own(i)} \n\n  {foot}\nlast  line {name(i)}\n"
+    rows = [(i, text(i), "h") for i in range(30)] + [(0, text(0), "h"), (None, text(1), "h"), (50, text(50), "other"), (51, None, "h"), (52, banner, "h"), (53, banner, None)]
+    got = linefreq.line_frequency(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    want = [(i, f"{own(i)} \n\nlast  line {name(i)}\n", True, 8) for i in [*range(30), 0]]
+    want += [(None, f"{own(1)} \n\nlast  line {name(1)}\n", True, 8), (50, text(50), True, 0), (51, "", False, 0), (52, "", False, 5), (53, banner, False, 0)]
+    assert sorted(((r.doc_id, r.text, r.kept, r.n_removed_words) for r in got), key=repr) == sorted(want, key=repr)
+
+
 def test_language(spark, docs, edge, none):
     rows = langid.identify_languages(docs).collect()
     truth = {r.doc_id: r.lang for r in docs.select("doc_id", "lang").collect()}
