@@ -214,11 +214,12 @@ def _across(docs: DataFrame, open_: DataFrame, percent: int) -> DataFrame:
     sets = materialise(texts.mapInArrow(lambda it: _full_sets(it, True), "rep long, members binary"), "sets")
     crowd = materialise(open_.join(sets, "rep"), "crowd")
     parts = crowd.groupBy("main").agg(F.ceil(F.sum(F.octet_length("members")) / F.lit(8 * CHUNK_SHINGLES)).cast("int").alias("parts"))
-    dealt = crowd.join(parts, "main").withColumn("own", F.pmod(F.xxhash64("rep"), "parts").cast("int"))
+    # blocks of a crowd that a third of all documents belong to must not follow its single key
+    dealt = crowd.join(broadcast_if_small(materialise(parts, "parts")), "main").withColumn("own", F.pmod(F.xxhash64("rep"), "parts").cast("int"))
     others = F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("other")
     member = dealt.select("main", "rep", "component", "members", F.lit(False).alias("query"), F.col("own").alias("j"), others).withColumnRenamed("other", "i")
     query = dealt.where("apart").select("main", "rep", "component", "members", F.lit(True).alias("query"), F.col("own").alias("i"), others).withColumnRenamed("other", "j")
-    return member.unionByName(query).groupBy("main", "i", "j").applyInArrow(lambda t: _met(t, percent), "a long, b long")
+    return member.unionByName(query).repartition("main", "i", "j").groupBy("main", "i", "j").applyInArrow(lambda t: _met(t, percent), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, percent: int = PERCENT, miss: float = MISS) -> DataFrame:
