@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import struct
-from dataclasses import asdict, dataclass, replace
+from collections.abc import Iterator
+from dataclasses import dataclass, replace
 
 import numpy as np
 
@@ -38,9 +39,6 @@ class Codec:
     def at(self, eb: float) -> Codec:
         return replace(self, eb=eb)
 
-    def text(self) -> str:
-        return repr(asdict(self))
-
 
 def mrinterp(eb: float = 1.0, **more) -> Codec:
     """The multi-resolution interpolation codec: linear merge, linear padding, a bound per level."""
@@ -51,8 +49,8 @@ def coordinates(keys: np.ndarray, nby: int, nbz: int) -> np.ndarray:
     return np.stack([keys // (nby * nbz), keys // nbz % nby, keys % nbz], axis=1)
 
 
-def _z_order(keys: np.ndarray, u: int, nby: int, nbz: int) -> np.ndarray:
-    """Order of all cells of the blocks along the z-order curve."""
+def _z_codes(keys: np.ndarray, u: int, nby: int, nbz: int) -> np.ndarray:
+    """The z-order code of all cells of the blocks."""
     base = coordinates(keys, nby, nbz) * u
     i = np.stack(np.meshgrid(*[np.arange(u)] * 3, indexing="ij"), axis=-1).reshape(-1, 3)
     at = (base[:, None, :] + i[None, :, :]).reshape(-1, 3).astype(np.uint64)
@@ -60,7 +58,26 @@ def _z_order(keys: np.ndarray, u: int, nby: int, nbz: int) -> np.ndarray:
     for bit in range(20):
         for axis in range(3):
             code |= ((at[:, axis] >> np.uint64(bit)) & np.uint64(1)) << np.uint64(3 * bit + axis)
-    return np.argsort(code, kind="stable")
+    return code
+
+
+def _z_order(keys: np.ndarray, u: int, nby: int, nbz: int) -> np.ndarray:
+    """Order of all cells of the blocks along the z-order curve."""
+    return np.argsort(_z_codes(keys, u, nby, nbz), kind="stable")
+
+
+def _hz_order(keys: np.ndarray, u: int, nby: int, nbz: int) -> np.ndarray:
+    """Order of all cells along the hierarchical z-order: coarse sub-grids first, each in z-order.
+
+    A cell's level is told by the lowest set bit of its code; the cell at the origin is the coarsest.
+    """
+    code = _z_codes(keys, u, nby, nbz)
+    lowest = code & (~code + np.uint64(1))
+    lowest[code == 0] = np.uint64(1 << 63)
+    return np.lexsort((code, ~lowest))
+
+
+_CURVES = {"zline": _z_order, "hzline": _hz_order}
 
 
 def _arrays(keys: np.ndarray, u: int, nby: int, nbz: int, arrange: str) -> list[tuple[tuple[int, ...], np.ndarray]]:
@@ -112,6 +129,13 @@ def _interp_options(c: Codec) -> dict:
     return {"order": c.order, "extrap": c.extrap, "schedule": c.schedule, "alpha": c.alpha, "beta": c.beta}
 
 
+def prepared(keys: np.ndarray, vals: np.ndarray, c: Codec, nby: int, nbz: int) -> Iterator[tuple[tuple[int, ...], np.ndarray, np.ndarray]]:
+    """The arrays that the interpolation codec is given: (shape in blocks, block numbers, merged and padded values)."""
+    for shape, which in _arrays(keys, vals.shape[1], nby, nbz, c.arrange):
+        a = _merge(vals, shape, which)
+        yield shape, which, pad_short_axes(a, c.pad) if c.arrange == "linear" else a
+
+
 def encode_chunk(keys: np.ndarray, vals: np.ndarray, c: Codec, nby: int, nbz: int) -> tuple[bytes, np.ndarray]:
     """(bytes, reconstruction) of (m, u, u, u) blocks."""
     u, m = vals.shape[1], len(vals)
@@ -123,18 +147,16 @@ def encode_chunk(keys: np.ndarray, vals: np.ndarray, c: Codec, nby: int, nbz: in
     if c.name == "blockxform":
         raw, made = blockxform_encode(_cubes(vals, 4), c.eb, c.transform)
         return raw, _uncubes(made, m, u, 4)
-    if c.arrange == "zline":
-        order = _z_order(keys, u, nby, nbz)
+    if c.arrange in _CURVES:
+        order = _CURVES[c.arrange](keys, u, nby, nbz)
         raw, made = interp_encode(vals.reshape(-1)[order], c.eb, **_interp_options(c))
         flat = np.empty(vals.size)
         flat[order] = made
         return raw, flat.reshape(vals.shape)
     out, parts = np.empty(vals.shape), []
-    for shape, which in _arrays(keys, u, nby, nbz, c.arrange):
-        a = _merge(vals, shape, which)
-        padded = pad_short_axes(a, c.pad) if c.arrange == "linear" else a
+    for shape, which, padded in prepared(keys, vals, c, nby, nbz):
         raw, made = interp_encode(padded, c.eb, **_interp_options(c))
-        _scatter(out, made[: a.shape[0], : a.shape[1], : a.shape[2]], shape, which)
+        _scatter(out, made[tuple(slice(0, n * u) for n in shape)], shape, which)
         parts.append(raw)
     return struct.pack(f"<I{len(parts)}I", len(parts), *map(len, parts)) + b"".join(parts), out
 
@@ -151,9 +173,9 @@ def decode_chunk(raw: bytes, keys: np.ndarray, u: int, c: Codec, nby: int, nbz:
         n = m * ((u + -u % b) // b) ** 3
         made = blockpred_decode(raw, n, b, c.eb, c.predictor) if c.name == "blockpred" else blockxform_decode(raw, n, c.eb, c.transform)
         return _uncubes(made, m, u, b)
-    if c.arrange == "zline":
+    if c.arrange in _CURVES:
         flat = np.empty(m * u**3)
-        flat[_z_order(keys, u, nby, nbz)] = interp_decode(raw, (m * u**3,), c.eb, **_interp_options(c))
+        flat[_CURVES[c.arrange](keys, u, nby, nbz)] = interp_decode(raw, (m * u**3,), c.eb, **_interp_options(c))
         return flat.reshape(m, u, u, u)
     out = np.empty((m, u, u, u))
     n = struct.unpack_from("<I", raw)[0]

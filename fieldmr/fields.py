@@ -105,6 +105,35 @@ def event_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
     return event_axes(events, event_types(spark, sf_dir), F.lit(first)).groupBy("x", "y", "z").agg(F.sum("v").alias("v"))
 
 
+def event_density(spark: SparkSession, sf_dir: str, edge: int | None = None, reach: int = 3) -> DataFrame:
+    """All events as masses with a small kernel on a torus; masses of a place are summed first, so the kernel meets at most the grid's cells."""
+    g = edge or grid_edge(spark, sf_dir)
+    h = (F.col("event_id") * 2654435761) % (1 << 32)
+    place = lambda shift: (F.shiftright(h, shift) % g).cast("int")
+    masses = table(spark, sf_dir, "events").groupBy(place(8).alias("cx"), place(16).alias("cy"), place(24).alias("cz")).agg(F.sum(cents("value")).alias("m"))
+    o, side = F.col("id"), 2 * reach + 1
+    offsets = spark.range(side**3).select((o % side - reach).alias("dx"), (F.floor(o / side) % side - reach).alias("dy"), (F.floor(o / side**2) - reach).alias("dz"))
+    w = F.lit(reach * reach) - F.col("dx") * F.col("dx") - F.col("dy") * F.col("dy") - F.col("dz") * F.col("dz")
+    kernel = offsets.withColumn("w", (w * w).cast("long")).where(w > 0)
+    spread = masses.crossJoin(F.broadcast(kernel)).select(*(((F.col(f"c{a}") + F.col(f"d{a}") + g) % g).cast("int").alias(a) for a in "xyz"), (F.col("m") * F.col("w")).alias("v"))
+    return dense(spread, g, g, g)
+
+
+def event_grid(spark: SparkSession, sf_dir: str, edge: int | None = None) -> DataFrame:
+    """Event value on a full cube: user bucket, type and its sub-bucket, and time from the first event to the last; mostly zero."""
+    g = edge or grid_edge(spark, sf_dir)
+    events, types = table(spark, sf_dir, "events"), event_types(spark, sf_dir)
+    seconds = F.unix_timestamp(F.col("ts").cast("timestamp"))
+    first, last = events.agg(F.min(seconds), F.max(seconds)).first()
+    kind = F.array_position(F.array(*map(F.lit, types)), F.col("event_type")) - 1
+    per = max(1, g // max(1, len(types)))
+    at = [
+        (F.col("user_id") % g).cast("int").alias("x"), F.least(F.lit(g - 1), kind * per + F.floor(F.col("user_id") / g) % per).cast("int").alias("y"),
+        F.least(F.lit(g - 1), F.floor((seconds - F.lit(first)) * g / max(1, last - first + 1))).cast("int").alias("z"),
+    ]
+    return dense(events.where("event_type is not null and user_id is not null and ts is not null").select(*at, cents("value").alias("v")), g, g, g)
+
+
 def _modes(keys: DataFrame, spark: SparkSession, g: int) -> DataFrame:
     """Sum over a fixed number of modes (k, amplitude), by a small broadcast."""
     phase = 2 * 3.141592653589793 / g * (F.col("kx") * F.col("x") + F.col("ky") * F.col("y") + F.col("kz") * F.col("z")) + F.col("shift")

@@ -2,17 +2,10 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-
-def _checkpointed(df: DataFrame) -> DataFrame:
-    context = df.sparkSession.sparkContext
-    if not (df.sparkSession.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()):
-        context.setCheckpointDir(f"file://{tempfile.gettempdir()}/checkpoints")
-    return df.checkpoint()
+from .tables import drop, kept
 
 
 def _hook(edges: DataFrame) -> DataFrame:
@@ -32,10 +25,12 @@ def _shorten(edges: DataFrame) -> DataFrame:
 
 def connected(nodes: DataFrame, links: DataFrame) -> DataFrame:
     """(node, component): a component is named by its least node; the number of rounds grows with the logarithm of the diameter."""
-    edges = _checkpointed(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct())
+    edges = kept(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct(), "links")
     seen = None
     while True:
-        edges = _checkpointed(_shorten(_hook(edges)))
+        new = kept(_shorten(_hook(edges)), "links")
+        drop(edges)
+        edges = new
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == seen:
             break

@@ -52,3 +52,12 @@ def neighbour_keys(blocks: DataFrame, nbx: int, nby: int, nbz: int) -> DataFrame
     size, step = {"x": nbx, "y": nby, "z": nbz}, {"x": nby * nbz, "y": nbz, "z": 1}
     sides = [F.struct(F.lit(a).alias("axis"), F.lit(s).alias("side"), (k + s * step[a]).alias("other"), ((at[a] + s >= 0) & (at[a] + s < size[a])).alias("inside")) for a in "xyz" for s in (-1, 1)]
     return blocks.select("key", F.inline(F.array(*sides))).where("inside").drop("inside")
+
+
+def key_in_box(key: Column, box: tuple[int, ...], b: int, nby: int, nbz: int) -> Column:
+    """Whether a cube of side b has a cell in the box (x0, x1, y0, y1, z0, z1), ends included."""
+    at = (F.floor(key / (nby * nbz)), F.floor(key / nbz) % nby, key % nbz)
+    inside = F.lit(True)
+    for k, c in enumerate(at):
+        inside = inside & (c >= box[2 * k] // b) & (c <= box[2 * k + 1] // b)
+    return inside

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from math import ceil
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -59,6 +61,44 @@ def roi_top_scalable(ranges: DataFrame, percent: float, buckets: int = CUT_BUCKE
     return sure.unionByName(edge)
 
 
+def level_of_rank_scalable(ranges: DataFrame, shares: list[float], buckets: int = CUT_BUCKETS) -> DataFrame:
+    """The same levels as :func:`level_of_rank` without a global sort.
+
+    One histogram tells how many cubes are in the buckets above each; a cube's place is that number plus its rank in its own
+    bucket, and only buckets that hold a cut are ranked.  ``ranges`` should be a written table, as it is read three times.
+    """
+    lo, hi, n = ranges.agg(F.min("rng"), F.max("rng"), F.count("*")).first()
+    if not n:
+        return ranges.select("key", F.lit(0).alias("level"))
+    bucket = F.least(F.floor((F.col("rng") - lo) / max(hi - lo, 1) * buckets), F.lit(buckets - 1)).cast("int")
+    placed = ranges.select("key", "rng", bucket.alias("bucket"))
+    counts = {r["bucket"]: r["count"] for r in placed.groupBy("bucket").count().collect()}
+    upto, cuts = 0.0, []
+    for share in shares[:-1]:
+        upto += share
+        cuts.append(ceil(n * upto / 100))
+    above, level, split = 0, {}, {}
+    for k in sorted(counts, reverse=True):
+        first, last = (sum(place > cut for cut in cuts) for place in (above + 1, above + counts[k]))
+        if first == last:
+            level[k] = first
+        else:
+            split[k] = above
+        above += counts[k]
+    whole = F.lit(None).cast("int")
+    for k in range(len(shares)):
+        own = [b for b, at in level.items() if at == k]
+        if own:
+            whole = F.when(F.col("bucket").isin(own), F.lit(k)).otherwise(whole)
+    if not split:
+        return placed.select("key", whole.alias("level"))
+    before = F.coalesce(*(F.when(F.col("bucket") == b, F.lit(at)) for b, at in split.items()))
+    place = before + F.row_number().over(Window.partitionBy("bucket").orderBy(F.desc("rng"), F.asc("key")))
+    ranked = placed.where(F.col("bucket").isin(list(split))).select("key", place.alias("place"))
+    level_at = sum((F.when(F.col("place") > cut, 1).otherwise(0) for cut in cuts), F.lit(0))
+    return placed.where(~F.col("bucket").isin(list(split))).select("key", whole.alias("level")).unionByName(ranked.select("key", level_at.cast("int").alias("level")))
+
+
 def roi_threshold(ranges: DataFrame, least) -> DataFrame:
     """Cubes whose range reaches a fixed threshold."""
     return ranges.where(F.col("rng") >= least).select("key", "rng")

@@ -6,6 +6,8 @@ import time
 from contextlib import contextmanager
 from math import pi
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -79,6 +81,44 @@ def power_spectrum(cells: DataFrame, edge: int, kmax: int = 10, contrast: bool =
     return out.groupBy(k.alias("k")).agg(F.avg(F.col("re") ** 2 + F.col("im") ** 2).alias("p")).where((F.col("k") >= 1) & (F.col("k") < kmax))
 
 
+def _modes(n: int, edge: int, kmax: int) -> np.ndarray:
+    """(n, 2 kmax - 1) of e^(-2 pi i k c / edge) summed over the fine cells c of each of n equal cells of an axis."""
+    fine = np.exp(-2j * pi / edge * np.outer(np.arange(edge), np.arange(1 - kmax, kmax)))
+    return fine.reshape(n, edge // n, -1).sum(axis=1)
+
+
+def power_spectrum_blocks(blocks: DataFrame, edge: int, nby: int, nbz: int, kmax: int = 10) -> DataFrame:
+    """(k, p) of shells 1 to kmax - 1 of a field given as blocks (level, key, vals), coarse levels included, as contrast to its mean.
+
+    Each task contracts its blocks with the few wanted modes and sends one array of (2 kmax - 1)^3 sums, so no cell leaves its
+    block.  A coarse cell counts for all the fine cells that it covers.
+    """
+    shape = 2 * kmax - 1
+
+    def work(batches):
+        total, mean = np.zeros((shape,) * 3, dtype=np.complex128), 0.0
+        for batch in batches:
+            level, key, vals = (batch.column(batch.schema.get_field_index(c)) for c in ("level", "key", "vals"))
+            for at, k, v in zip(level.to_pylist(), key.to_pylist(), vals, strict=True):
+                v = v.values.to_numpy()
+                side = round(len(v) ** (1 / 3))
+                modes = _modes(edge >> at, edge, kmax)
+                out = v.reshape(side, side, side)
+                for c in (k // (nby * nbz), k // nbz % nby, k % nbz):
+                    out = np.tensordot(out, modes[c * side : (c + 1) * side], axes=(0, 0))
+                total += out
+                mean += float(v.sum()) * 8.0**at
+        yield pa.RecordBatch.from_arrays([pa.array([total.real.ravel()]), pa.array([total.imag.ravel()]), pa.array([mean])], names=["re", "im", "mass"])
+
+    sums = blocks.select("level", "key", "vals").mapInArrow(work, "re array<double>, im array<double>, mass double")
+    row = F.posexplode(F.arrays_zip("re", "im")).alias("at", "m")
+    each = sums.select("mass", row).groupBy("at").agg(F.sum("m.re").alias("re"), F.sum("m.im").alias("im"), F.sum("mass").alias("mass"))
+    axis = lambda step: F.floor(F.col("at") / step) % shape - (kmax - 1)
+    k = F.floor(F.sqrt(axis(shape * shape) ** 2 + axis(shape) ** 2 + axis(1) ** 2) + 0.5).cast("int")
+    scale = F.when(F.col("mass") == 0, 1.0).otherwise(F.col("mass") / float(edge) ** 3)
+    return each.select(k.alias("k"), ((F.col("re") ** 2 + F.col("im") ** 2) / scale**2).alias("p")).groupBy("k").agg(F.avg("p").alias("p")).where((F.col("k") >= 1) & (F.col("k") < kmax))
+
+
 def spectrum_error(p: DataFrame, q: DataFrame) -> DataFrame:
     """Mean and largest relative error of a spectrum, and whether it stays within one percent."""
     e = F.abs(F.col("q") / F.col("p") - 1)
@@ -86,6 +126,16 @@ def spectrum_error(p: DataFrame, q: DataFrame) -> DataFrame:
     return both.agg(F.avg(e).alias("mean_err"), F.max(e).alias("max_err")).withColumn("passes", F.col("max_err") <= 0.01)
 
 
+def at_cr(points: DataFrame, crs: DataFrame, values: tuple[str, ...] = ("psnr", "ssim")) -> DataFrame:
+    """Measures of each variant at given ratios, by the rule of :func:`psnr_at_cr`."""
+    w = Window.partitionBy("variant").orderBy("cr")
+    ends = [F.struct("cr", *values).alias("low"), F.lead(F.struct("cr", *values)).over(w).alias("high")]
+    seg = points.select("variant", *ends).where("high.cr > low.cr")
+    hit = seg.join(F.broadcast(crs), (F.col("at") >= F.col("low.cr")) & (F.col("at") <= F.col("high.cr")))
+    t = (F.log("at") - F.log("low.cr")) / (F.log("high.cr") - F.log("low.cr"))
+    return hit.groupBy("variant", "at").agg(*(F.max(F.col(f"low.{v}") + t * (F.col(f"high.{v}") - F.col(f"low.{v}"))).alias(v) for v in values))
+
+
 def psnr_at_cr(points: DataFrame, crs: DataFrame) -> DataFrame:
     """PSNR of each variant at given ratios, linear in the logarithm of the ratio between the nearest measured points; null outside."""
     w = Window.partitionBy("variant").orderBy("cr")

@@ -17,7 +17,8 @@ from ..codec.interp import interp_plan
 from ..codec.schedule import eb_schedule
 from ..registry import Registry
 from ..sources import table
-from .sqltext import DUAL, G, HALO, RANGES
+from ..tables import kept
+from .sqltext import DUAL, G, HALO, RANGES, SAMPLE, ZEROS
 
 core = Registry()
 query = core.query
@@ -92,9 +93,42 @@ core.add(
     """SELECT axis, CAST(sum(size) AS BIGINT) AS v, count(*) AS n FROM (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS axis, length(html) AS size FROM pages
 UNION ALL SELECT role || '/' || turn, length(text) FROM conversations) GROUP BY axis""",
 )
-core.add("grid_nation_modes", lambda s, d: fl.nation_modes(s, d))
-core.add("grid_mixing_layer", lambda s, d: fl.mixing_layer(s, d))
-core.add("grid_analytic", lambda s, d: fl.analytic(s, fl.grid_edge(s, d)))
+
+
+def rounded(cells: DataFrame, scale: float) -> DataFrame:
+    """Cells with their values as whole numbers of 1 / ``scale``."""
+    return cells.select("x", "y", "z", F.floor(F.col("v") * scale + 0.5).cast("long").alias("v"))
+
+
+_AT = "CAST(x AS INTEGER) AS x, CAST(y AS INTEGER) AS y, CAST(z AS INTEGER) AS z"
+core.add(
+    "grid_nation_modes",
+    lambda s, d: rounded(fl.nation_modes(s, d), 1e3),
+    f"""WITH {G}, {ZEROS}, amp AS (SELECT c_nationkey AS k, avg(c_acctbal) AS b FROM customer GROUP BY 1),
+m AS (SELECT n_nationkey % 3 + 1 AS kx, n_nationkey % 4 AS ky, n_nationkey % 5 AS kz, n_nationkey * 0.7::DOUBLE AS shift, coalesce(b, 1000.0::DOUBLE) / (1 + n_nationkey % 7) AS amp FROM nation JOIN region ON n_regionkey = r_regionkey LEFT JOIN amp ON k = n_nationkey)
+SELECT {_AT}, CAST(floor(sum(amp * sin(6.283185307179586::DOUBLE / g * (kx * x + ky * y + kz * z) + shift)) * 1e3 + 0.5) AS BIGINT) AS v FROM zeros, m, g GROUP BY x, y, z, g""",
+)
+core.add(
+    "grid_mixing_layer",
+    lambda s, d: rounded(fl.mixing_layer(s, d), 1e6),
+    f"""WITH {G}, {ZEROS}, m AS (SELECT s_nationkey % 4 + 1 AS kx, s_nationkey % 3 + 1 AS ky, s_nationkey * 1.3::DOUBLE AS shift, avg(s_acctbal) / 250000.0::DOUBLE AS amp FROM supplier GROUP BY s_nationkey),
+h AS (SELECT a.x, b.y, sum(amp * sin(6.283185307179586::DOUBLE / g * (kx * a.x + ky * b.y) + shift)) + 0.5 AS h FROM g, m, unnest(range(g)) AS a(x), unnest(range(g)) AS b(y) GROUP BY a.x, b.y)
+SELECT {_AT}, CAST(floor(tanh((z / g::DOUBLE - h) / 0.08::DOUBLE) * 1e6 + 0.5) AS BIGINT) AS v FROM zeros JOIN h USING (x, y), g""",
+)
+core.add(
+    "grid_analytic",
+    lambda s, d: rounded(fl.analytic(s, fl.grid_edge(s, d)), 1e6),
+    f"""WITH {G}, {ZEROS}, u AS (SELECT x, y, z, x / g::DOUBLE AS a, y / g::DOUBLE AS b, z / g::DOUBLE AS c FROM zeros, g)
+SELECT {_AT}, CAST(floor((exp(-20 * ((a - 0.5) * (a - 0.5) + (b - 0.4) * (b - 0.4) + (c - 0.6) * (c - 0.6))) + 0.5 * exp(-60 * ((a - 0.2) * (a - 0.2) + (b - 0.7) * (b - 0.7) + (c - 0.3) * (c - 0.3)))) * 1e6 + 0.5) AS BIGINT) AS v FROM u""",
+)
+core.add(
+    "grid_halo_all_events",
+    lambda s, d: fl.event_density(s, d),
+    f"""WITH {G}, {ZEROS}, hashed AS (SELECT (event_id * 2654435761) % 4294967296 AS h, CAST(floor(value * 100 + 0.5) AS BIGINT) AS m FROM events),
+masses AS (SELECT (h // 256) % g AS cx, (h // 65536) % g AS cy, (h // 16777216) % g AS cz, sum(m) AS m FROM hashed, g GROUP BY ALL),
+kernel AS (SELECT dx, dy, dz, w * w AS w FROM (SELECT dx, dy, dz, 9 - dx * dx - dy * dy - dz * dz AS w FROM unnest(range(-3, 4)) AS a(dx), unnest(range(-3, 4)) AS b(dy), unnest(range(-3, 4)) AS c(dz)) WHERE w > 0)
+SELECT {_AT}, CAST(sum(v) AS BIGINT) AS v FROM (SELECT (cx + dx + g) % g AS x, (cy + dy + g) % g AS y, (cz + dz + g) % g AS z, m * w AS v FROM masses, kernel, g UNION ALL SELECT x, y, z, 0 FROM zeros) GROUP BY x, y, z""",
+)
 
 # blocks and keys
 
@@ -180,6 +214,7 @@ core.add("level_coarsen_inject", lambda s, d: h.coarsen(halo(s, d)[0], 2, "injec
 core.add("level_coarsen_max", lambda s, d: h.coarsen(halo(s, d)[0], 2, "max"), f"WITH {HALO} SELECT x // 2 AS x, y // 2 AS y, z // 2 AS z, max(v) AS v FROM halo GROUP BY ALL")
 _THREE = "lv AS (SELECT key, CAST(CASE WHEN place <= ceil(n_all * 15 / 100) THEN 0 WHEN place <= ceil(n_all * 46 / 100) THEN 1 ELSE 2 END AS INTEGER) AS level FROM ranked)"
 core.add("level_three_shares", lambda s, d: h.level_of_rank(ranges(s, d)[1], [15, 31, 54]), f"WITH {HALO}, {RANGES}, {_THREE} SELECT key, level FROM lv")
+core.add("level_three_shares_scalable", lambda s, d: h.level_of_rank_scalable(kept(ranges(s, d)[1], "ranges"), [15, 31, 54]), core.sql["level_three_shares"])
 
 
 def three_levels(s, d):
@@ -553,7 +588,11 @@ def _sample_cells(s, d):
     return p.where(hit), eb, g
 
 
-core.add("repair_sample_plan", lambda s, d: (lambda p, eb, g: p.agg(F.count("*").alias("points"), (F.count("*") / g**3).alias("rate")))(*_sample_cells(s, d)))
+core.add(
+    "repair_sample_plan",
+    lambda s, d: (lambda p, eb, g: p.agg(F.count("*").alias("points"), (F.count("*") / g**3).alias("rate")))(*_sample_cells(s, d)),
+    f"WITH {HALO}, {DUAL}, {SAMPLE} SELECT count(*) AS points, count(*) / (SELECT CAST(g * g * g AS DOUBLE) FROM g) AS rate FROM smp",
+)
 
 
 def _fitted(method: str):
@@ -573,11 +612,28 @@ def _fitted(method: str):
     return run
 
 
+def _coordinate_sql() -> str:
+    """The fit of one axis after the other, each on the sample as the axes before left it."""
+    steps, src = [], "f0"
+    for k, (axis, others) in enumerate((("x", "y, z"), ("y", "x, z"), ("z", "x, y"))):
+        face = f"({axis} - o) % 4 IN (0, 3) AND l IS NOT NULL AND r IS NOT NULL"
+        steps += [
+            f"n{k} AS (SELECT *, lag(v) OVER w AS l, lead(v) OVER w AS r FROM {src} WINDOW w AS (PARTITION BY {others} ORDER BY {axis}))",
+            f"s{k} AS (SELECT *, CASE WHEN {face} THEN least(greatest((l + 2 * v + r) / 4, v - a * eb), v + a * eb) ELSE v END AS m FROM n{k}, grid)",
+            f"b{k} AS (SELECT arg_min(a, (sse, a)) AS a FROM (SELECT a, sum((orig - m) * (orig - m)) AS sse FROM s{k} GROUP BY a))",
+            f"f{k + 1} AS (SELECT x, y, z, o, eb, orig, m AS v FROM s{k} SEMI JOIN b{k} USING (a))",
+        ]
+        src = f"f{k + 1}"
+    return f"WITH {HALO}, {DUAL}, {SAMPLE}, grid AS (SELECT unnest([0.05, 0.10, 0.15, 0.20, 0.25, 0.30, 0.35, 0.40, 0.45, 0.50])::DOUBLE AS a), f0 AS (SELECT x, y, z, o, eb, orig::DOUBLE AS orig, deco::DOUBLE AS v FROM smp), " + ", ".join(steps) + " SELECT 'x' AS axis, a FROM b0 UNION ALL SELECT 'y', a FROM b1 UNION ALL SELECT 'z', a FROM b2"
+
+
 for _m in ("coordinate", "joint", "sgd"):
-    core.add(f"repair_fit_{_m}", _fitted(_m))
+    core.add(f"repair_fit_{_m}", _fitted(_m), _coordinate_sql() if _m == "coordinate" else None)
 
 
-@query()
+@query(f"""WITH {HALO}, {DUAL}, n AS (SELECT orig, deco AS v, lag(deco) OVER w AS l, lead(deco) OVER w AS r, x, eb FROM dual WINDOW w AS (PARTITION BY y, z ORDER BY x)),
+m AS (SELECT a, orig - v AS want, least(greatest((l + 2 * v + r) / 4, v - a * eb), v + a * eb) - v AS move FROM n, unnest([0.05::DOUBLE, 0.25, 0.5, 1.0]) AS t(a) WHERE x % 4 IN (0, 3) AND l IS NOT NULL AND r IS NOT NULL)
+SELECT a, CAST(floor(count(*) FILTER (sign(move) * sign(want) >= 0) / count(*) * 1e6 + 0.5) AS BIGINT) AS hit_e6, CAST(floor(avg(abs(want) - abs(want - move)) * 1e3 + 0.5) AS BIGINT) AS gain_e3 FROM m WHERE move <> 0 GROUP BY a""")
 def repair_expected_gain(s, d):
     """Hit share and mean gain of the curve at several intensities, on face points along x."""
     p, eb, _ = dual(s, d)
@@ -586,7 +642,8 @@ def repair_expected_gain(s, d):
     m = (F.col("l") + 2 * F.col("v") + F.col("r")) / 4
     move = F.least(F.greatest(m, F.col("v") - F.col("a") * eb), F.col("v") + F.col("a") * eb) - F.col("v")
     want = F.col("orig") - F.col("v")
-    return cells.crossJoin(grid).where(move != 0).groupBy("a").agg((F.count_if(F.signum(move) * F.signum(want) >= 0) / F.count("*")).alias("hit"), F.avg(F.abs(want) - F.abs(want - move)).alias("gain"))
+    hit, gain = F.count_if(F.signum(move) * F.signum(want) >= 0) / F.count("*"), F.avg(F.abs(want) - F.abs(want - move))
+    return cells.crossJoin(grid).where(move != 0).groupBy("a").agg(F.floor(hit * 1e6 + 0.5).cast("long").alias("hit_e6"), F.floor(gain * 1e3 + 0.5).cast("long").alias("gain_e3"))
 
 
 core.add(
@@ -653,14 +710,32 @@ core.add(
     lambda s, d: (lambda p, eb, g, iso: un.det_cells(p.select("x", "y", "z", F.col("deco").alias("v")), iso))(*_iso(s, d)),
     f"WITH {HALO}, {DUAL}, {_ISO}, {_corner_sql('dual', 'deco')}, a AS (SELECT x, y, z, CAST(len([v FOR v IN c IF v > iso]) AS INTEGER) AS above FROM corner, iso) SELECT x, y, z, above, above > 0 AND above < 8 AS crossed FROM a",
 )
+#: Mean and spread of the error near the isovalue, from the sample alone: the neighbourhood doubles until it has 64 points.
+_MODEL = f"""{SAMPLE}, taus AS (SELECT k, CASE WHEN k < 8 THEN 2 * eb * (1 << k) ELSE 'inf'::DOUBLE END AS tau FROM lim, unnest(range(9)) AS t(k)),
+tried AS (SELECT k, count(*) FILTER (abs(deco - iso) <= tau) AS n, avg(orig - deco) FILTER (abs(deco - iso) <= tau) AS mu, stddev_samp(orig - deco) FILTER (abs(deco - iso) <= tau) AS sigma FROM smp, iso, taus GROUP BY k),
+model AS (SELECT mu, coalesce(sigma, 0) AS sigma FROM tried WHERE n >= 64 OR k = 8 ORDER BY k LIMIT 1)"""
+
+
+def _model(s, d):
+    """(pairs, bound, edge, isovalue, mean and spread of the error near it by the sample)."""
+    p, eb, g, iso = _iso(s, d)
+    mu, sigma, _, _ = un.near_model(_sample_cells(s, d)[0], iso, eb)
+    return p, eb, g, iso, float(mu), float(sigma)
+
+
+core.add(
+    "unc_sample_model",
+    lambda s, d: (lambda p, eb, g, iso, mu, sigma: s.createDataFrame([(mu, sigma)], "mu double, sigma double").select(F.floor(F.col("mu") * 1e3 + 0.5).cast("long").alias("mu_e3"), F.floor(F.col("sigma") * 1e3 + 0.5).cast("long").alias("sigma_e3")))(*_model(s, d)),
+    f"WITH {HALO}, {DUAL}, {_ISO}, {_MODEL} SELECT CAST(floor(mu * 1e3 + 0.5) AS BIGINT) AS mu_e3, CAST(floor(sigma * 1e3 + 0.5) AS BIGINT) AS sigma_e3 FROM model",
+)
 _T = "(1 / (1 + 0.3275911 * abs(zz)))"
 _ERF = f"(1 - (((((1.061405429 * {_T} - 1.453152027) * {_T}) + 1.421413741) * {_T} - 0.284496736) * {_T} + 0.254829592) * {_T} * exp(-zz * zz))"
-_PV = f"pv AS (SELECT x, y, z, 0.5 * (1 + CASE WHEN zz < 0 THEN -{_ERF} ELSE {_ERF} END) AS p FROM (SELECT x, y, z, (deco - iso) / (0.5 * eb * sqrt(2)) AS zz FROM dual, iso))"
+_PV = f"{_MODEL}, pv AS (SELECT x, y, z, 0.5 * (1 + CASE WHEN zz < 0 THEN -{_ERF} ELSE {_ERF} END) AS p FROM (SELECT x, y, z, (deco + mu - iso) / (sigma * sqrt(2)) AS zz FROM dual, iso, model))"
 
 
 def _prob(s, d):
-    p, eb, g, iso = _iso(s, d)
-    return un.prob_cells(p.select("x", "y", "z", F.col("deco").alias("v")), 0.0, 0.5 * eb, iso)
+    p, eb, g, iso, mu, sigma = _model(s, d)
+    return un.prob_cells(p.select("x", "y", "z", F.col("deco").alias("v")), mu, sigma, iso)
 
 
 core.add(
@@ -671,8 +746,8 @@ core.add(
 
 
 def _edges(s, d):
-    p, eb, g, iso = _iso(s, d)
-    return un.edges(p.select("x", "y", "z", F.col("deco").alias("v")), 0.0, 0.5 * eb, iso).select("x", "y", "z", "axis", F.floor(F.col("p") * 1e5 + 0.5).cast("long").alias("p_e5"))
+    p, eb, g, iso, mu, sigma = _model(s, d)
+    return un.edges(p.select("x", "y", "z", F.col("deco").alias("v")), mu, sigma, iso).select("x", "y", "z", "axis", F.floor(F.col("p") * 1e5 + 0.5).cast("long").alias("p_e5"))
 
 
 core.add(
@@ -702,24 +777,45 @@ core.add(
 
 def _mc(correlated: bool):
     def run(s, d):
-        p, eb, g, iso = _iso(s, d)
-        factor = un.corner_covariance(p) if correlated else None
-        return un.mc_cells(p.select("x", "y", "z", F.col("deco").alias("v")), 0.0, 0.5 * eb, iso, 128, cholesky=factor)
+        p, eb, g, iso, mu, sigma = _model(s, d)
+        factor = un.corner_covariance(_sample_cells(s, d)[0]) if correlated else None
+        return un.mc_cells(p.select("x", "y", "z", F.col("deco").alias("v")), mu, sigma, iso, 128, cholesky=factor)
 
     return run
 
 
 core.add("unc_mc", _mc(False))
 core.add("unc_mvn", _mc(True))
-core.add("unc_truncated", lambda s, d: (lambda p, eb, g, iso: un.prob_cells(p.select("x", "y", "z", F.col("deco").alias("v")), 0.0, 0.5 * eb, iso, float(eb)))(*_iso(s, d)))
-core.add("unc_case_entropy", lambda s, d: (lambda p, eb, g, iso: un.case_entropy(p.select("x", "y", "z", F.col("deco").alias("v")), 0.0, 0.5 * eb, iso))(*_iso(s, d)))
+
+
+def _e5(c: str) -> Column:
+    return F.floor(F.col(c) * 1e5 + 0.5).cast("long").alias(f"{c}_e5")
+
+
+_CROSSED = "greatest(0, 1 - list_product(c) - list_product([1 - v FOR v IN c]))"
+core.add(
+    "unc_truncated",
+    lambda s, d: (lambda p, eb, g, iso, mu, sigma: un.prob_cells(p.select("x", "y", "z", F.col("deco").alias("v")), mu, sigma, iso, float(eb)))(*_model(s, d)).select("x", "y", "z", _e5("p")),
+    f"""WITH {HALO}, {DUAL}, {_ISO}, {_MODEL}, phi AS (SELECT x, y, z, deco, 0.5 * (1 + CASE WHEN zz < 0 THEN -{_ERF} ELSE {_ERF} END) AS f FROM (
+  SELECT x, y, z, deco, (least(greatest(iso - deco, -eb), eb) - mu) / (sigma * sqrt(2)) AS zz FROM dual, iso, model UNION ALL SELECT -1, 0, 0, 0, (-eb - mu) / (sigma * sqrt(2)) FROM lim, model UNION ALL SELECT -2, 0, 0, 0, (eb - mu) / (sigma * sqrt(2)) FROM lim, model)),
+pv AS (SELECT x, y, z, least(1, greatest(0, ((SELECT f FROM phi WHERE x = -2) - f) / ((SELECT f FROM phi WHERE x = -2) - (SELECT f FROM phi WHERE x = -1)))) AS p FROM phi WHERE x >= 0), {_corner_sql('pv', 'p')}
+SELECT x, y, z, CAST(floor({_CROSSED} * 1e5 + 0.5) AS BIGINT) AS p_e5 FROM corner""",
+)
+core.add(
+    "unc_case_entropy",
+    lambda s, d: (lambda p, eb, g, iso, mu, sigma: un.case_entropy(p.select("x", "y", "z", F.col("deco").alias("v")), mu, sigma, iso))(*_model(s, d)).select("x", "y", "z", _e5("p"), _e5("entropy")),
+    f"""WITH {HALO}, {DUAL}, {_ISO}, {_PV}, {_corner_sql('pv', 'p')} SELECT x, y, z, CAST(floor((1 - list_product(c) - list_product([1 - v FOR v IN c])) * 1e5 + 0.5) AS BIGINT) AS p_e5,
+CAST(floor(list_sum([CASE WHEN v > 0 AND v < 1 THEN -(v * log2(v) + (1 - v) * log2(1 - v)) ELSE 0 END FOR v IN c]) * 1e5 + 0.5) AS BIGINT) AS entropy_e5 FROM corner""",
+)
 
 
 @query()
 def unc_components(s, d):
-    p, eb, g, iso = _iso(s, d)
-    crossed = un.det_cells(p.select("x", "y", "z", F.col("orig").alias("v")), iso).where("crossed")
-    return un.components(crossed, g).groupBy("component").agg(F.count("*").alias("cells"))
+    """Parts of the original surface: whole, cracked into several or vanished after decompression, and how much the probabilities find again."""
+    p, eb, g, iso, mu, sigma = _model(s, d)
+    o, q = (kept(un.det_cells(p.select("x", "y", "z", F.col(c).alias("v")), iso).where("crossed").select("x", "y", "z"), c) for c in ("orig", "deco"))
+    likely = un.prob_cells(p.select("x", "y", "z", F.col("deco").alias("v")), mu, sigma, iso).where("p >= 0.05")
+    return un.surface_parts(o, q, likely, g)
 
 
 @query(f"WITH {HALO}, {DUAL}, {_ISO}, {_PV}, {_corner_sql('pv', 'p')} SELECT x, y, CAST(floor(greatest(0, 1 - list_product(c) - list_product([1 - v FOR v IN c])) * 1e5 + 0.5) AS BIGINT) AS p_e5 FROM corner WHERE z = 3")
@@ -749,8 +845,32 @@ core.add(
     lambda s, d: me.blockiness(deco(s, d)[0], 4),
     f"WITH {HALO}, {DUAL}, t AS (SELECT x % 4 = 3 AS face, abs(lead(deco) OVER (PARTITION BY y, z ORDER BY x) - deco) AS step FROM dual) SELECT CAST(sum(step) FILTER (face) AS BIGINT) AS across, count(*) FILTER (face) AS n_across, CAST(sum(step) FILTER (NOT face) AS BIGINT) AS inside, count(*) FILTER (NOT face) AS n_inside FROM t WHERE step IS NOT NULL",
 )
-core.add("metric_sample_rate", lambda s, d: (lambda p, eb, g: p.agg(F.count("*").alias("points"), F.lit(g**3).cast("long").alias("all_points")))(*_sample_cells(s, d)))
-core.add("metric_spectrum", lambda s, d: (lambda c, g: me.power_spectrum(c, g))(*halo(s, d)))
+core.add("metric_sample_rate", lambda s, d: (lambda p, eb, g: p.agg(F.count("*").alias("points"), F.lit(g**3).cast("long").alias("all_points")))(*_sample_cells(s, d)), f"WITH {HALO}, {DUAL}, {SAMPLE} SELECT count(*) AS points, (SELECT CAST(g * g * g AS BIGINT) FROM g) AS all_points FROM smp")
+
+
+def _log_p() -> Column:
+    return F.floor(F.log10("p") * 1e5 + 0.5).cast("long").alias("log_p_e5")
+
+
+def _spectrum_sql() -> str:
+    """Three contractions, one axis after the other, on the contrast to the mean."""
+    steps, src = [], "c0"
+    for k, (axis, rest) in enumerate((("x", ["y", "z"]), ("y", ["z"]), ("z", []))):
+        keep = [*rest, *(f"k{a}" for a in "xyz"[:k])]
+        angle = f"(6.283185307179586::DOUBLE / g * m.k * {axis})"
+        cols = "".join(f"{c}, " for c in keep)
+        steps.append(f"c{k + 1} AS (SELECT {cols}m.k AS k{axis}, sum(re * cos{angle} + im * sin{angle}) AS re, sum(im * cos{angle} - re * sin{angle}) AS im FROM {src}, g, (SELECT unnest(range(-9, 10)) AS k) m GROUP BY {cols}m.k)")
+        src = f"c{k + 1}"
+    return f"WITH {HALO}, c0 AS (SELECT x, y, z, v / (SELECT avg(v) FROM halo) - 1 AS re, 0.0::DOUBLE AS im FROM halo), " + ", ".join(steps) + """, p AS (SELECT CAST(floor(sqrt(kx * kx + ky * ky + kz * kz) + 0.5) AS INTEGER) AS k, avg(re * re + im * im) AS p FROM c3 GROUP BY 1)
+SELECT k, CAST(floor(log10(p) * 1e5 + 0.5) AS BIGINT) AS log_p_e5 FROM p WHERE k BETWEEN 1 AND 9"""
+
+
+core.add("metric_spectrum", lambda s, d: (lambda c, g: me.power_spectrum(c, g))(*halo(s, d)).select("k", _log_p()), _spectrum_sql())
+core.add(
+    "metric_spectrum_blocks",
+    lambda s, d: (lambda c, g: me.power_spectrum_blocks(h.to_blocks(c, 8, g // 8, g // 8).select(F.lit(0).alias("level"), "key", "vals"), g, g // 8, g // 8))(*halo(s, d)).select("k", _log_p()),
+    _spectrum_sql(),
+)
 
 
 @query()
@@ -760,26 +880,62 @@ def metric_spectrum_error(s, d):
     return me.spectrum_error(a, b)
 
 
-_POINTS = [("base", 165.2, 54.56), ("base", 113.0, 59.68), ("base", 72.8, 64.79), ("base", 27.6, 77.13), ("ours", 302.8, 60.62), ("ours", 156.3, 64.33), ("ours", 84.9, 68.10), ("ours", 26.0, 77.94)]
-_POINTS_SQL = "pt AS (SELECT * FROM (VALUES " + ", ".join(f"('{v}', {c}::DOUBLE, {p}::DOUBLE)" for v, c, p in _POINTS) + ") AS t(variant, cr, psnr))"
+_POINTS_SQL = """steps AS (SELECT k, greatest(1, (max(v) - min(v)) // (25 * (2 << k))) AS eb FROM halo, unnest(range(4)) AS t(k) GROUP BY k),
+coded AS (SELECT k, x, y, z, v, eb, (v + eb) // (2 * eb) AS q FROM halo, steps),
+both_ AS (SELECT k, 'plain' AS variant, q FROM coded UNION ALL SELECT k, 'differences', q - coalesce(lag(q) OVER (PARTITION BY k, x, y ORDER BY z), 0) FROM coded),
+bits AS (SELECT variant, k, sum(-n * log2(n / t)) / any_value(t) AS bits FROM (SELECT variant, k, q, count(*) AS n, sum(count(*)) OVER (PARTITION BY variant, k) AS t FROM both_ GROUP BY variant, k, q) GROUP BY variant, k),
+sq AS (SELECT k, sum((v - q * 2 * eb)::DOUBLE * (v - q * 2 * eb)) / count(*) AS mse FROM coded GROUP BY k), span AS (SELECT (max(v) - min(v))::DOUBLE AS span FROM halo),
+pt AS (SELECT variant, k, 64 / bits AS cr, 20 * log10(span) - 10 * log10(mse) AS psnr FROM bits JOIN sq USING (k), span)"""
+
 
+def _points(s, d):
+    """Ratio (by entropy) and PSNR of quantised values and of their differences along z, at four bounds."""
+    cells, g = halo(s, d)
+    lo, hi = cells.agg(F.min("v"), F.max("v")).first()
+    out = None
+    for k in range(4):
+        eb = max(1, (hi - lo) // (25 * (2 << k)))
+        q = F.floor((F.col("v") + eb) / F.lit(2 * eb)).cast("long")
+        coded = cells.select("x", "y", "z", "v", q.alias("q"))
+        step = F.col("q") - F.coalesce(F.lag("q").over(Window.partitionBy("x", "y").orderBy("z")), F.lit(0))
+        e = (F.col("v") - F.col("q") * (2 * eb)).cast("double")
+        mse = coded.agg((F.sum(e * e) / F.count("*")).alias("mse"))
+        for variant, codes in (("plain", coded.select("q")), ("differences", coded.select(step.alias("q")))):
+            n = codes.groupBy("q").agg(F.count("*").alias("n"))
+            bits = n.agg((F.sum(-F.col("n") * F.log2(F.col("n") / float(g**3))) / float(g**3)).alias("bits"))
+            row = bits.crossJoin(F.broadcast(mse)).select(F.lit(variant).alias("variant"), F.lit(k).alias("k"), (64 / F.col("bits")).alias("cr"), (20 * F.log10(F.lit(float(hi - lo))) - 10 * F.log10("mse")).alias("psnr"))
+            out = row if out is None else out.unionByName(row)
+    return kept(out, "points")
 
-def _points(s):
-    return s.createDataFrame(_POINTS, "variant string, cr double, psnr double")
+
+def _gain(s, d):
+    points = _points(s, d)
+    at = F.broadcast(points.where("variant = 'plain' and k in (1, 2)").select((F.floor("psnr") + 1).cast("double").alias("at")))
+    return me.gain_at_psnr(points, "differences", "plain", at).select("at", micro(F.col("gain")).alias("gain_e6"))
 
 
 core.add(
     "metric_gain_at_psnr",
-    lambda s, d: me.gain_at_psnr(_points(s), "ours", "base", s.createDataFrame([(62.0,), (66.0,), (70.0,)], "at double")).select("at", micro(F.col("gain")).alias("gain_e6")),
-    f"""WITH {_POINTS_SQL}, s AS (SELECT variant, psnr AS p0, cr AS c0, lead(psnr) OVER w AS p1, lead(cr) OVER w AS c1 FROM pt WINDOW w AS (PARTITION BY variant ORDER BY psnr)),
-v AS (SELECT variant, q, max(exp(ln(c0) + (q - p0) / (p1 - p0) * (ln(c1) - ln(c0)))) AS cr FROM s, unnest([62.0::DOUBLE, 66.0, 70.0]) AS t(q) WHERE q BETWEEN p0 AND p1 GROUP BY ALL)
-SELECT o.q AS at, CAST(floor(o.cr / b.cr * 1e6 + 0.5) AS BIGINT) AS gain_e6 FROM v o JOIN v b USING (q) WHERE o.variant = 'ours' AND b.variant = 'base'""",
-)
-core.add(
-    "metric_reduction_pct",
-    lambda s, d: s.createDataFrame([("linear", 2.7e-2), ("stack", 2.8e-2), ("kd", 2.5e-2)], "base string, err double").select("base", F.floor((100 * (1 - F.lit(6.7e-3) / F.col("err"))) * 10 + 0.5).cast("long").alias("pct_e1")),
-    "SELECT base, CAST(floor(100 * (1 - 6.7e-3 / err) * 10 + 0.5) AS BIGINT) AS pct_e1 FROM (VALUES ('linear', 2.7e-2), ('stack', 2.8e-2), ('kd', 2.5e-2)) AS t(base, err)",
+    _gain,
+    f"""WITH {HALO}, {_POINTS_SQL}, s AS (SELECT variant, psnr AS p0, cr AS c0, lead(psnr) OVER w AS p1, lead(cr) OVER w AS c1 FROM pt WINDOW w AS (PARTITION BY variant ORDER BY psnr)),
+ats AS (SELECT floor(psnr) + 1 AS q FROM pt WHERE variant = 'plain' AND k IN (1, 2)),
+v AS (SELECT variant, q, max(exp(ln(c0) + (q - p0) / (p1 - p0) * (ln(c1) - ln(c0)))) AS cr FROM s, ats WHERE q BETWEEN p0 AND p1 GROUP BY ALL)
+SELECT o.q AS at, CAST(floor(o.cr / b.cr * 1e6 + 0.5) AS BIGINT) AS gain_e6 FROM v o JOIN v b USING (q) WHERE o.variant = 'differences' AND b.variant = 'plain'""",
 )
+
+
+@query(f"""WITH {HALO}, {DUAL}, n AS (SELECT orig, deco AS v, lag(deco) OVER w AS l, lead(deco) OVER w AS r, x, eb FROM dual WINDOW w AS (PARTITION BY y, z ORDER BY x)),
+m AS (SELECT 4 * abs(orig - v) AS before, abs(4 * orig - least(greatest(l + 2 * v + r, 4 * v - eb), 4 * v + eb)) AS after FROM n WHERE x % 4 IN (0, 3) AND l IS NOT NULL AND r IS NOT NULL)
+SELECT CAST(sum(before) AS BIGINT) AS before, CAST(sum(after) AS BIGINT) AS after, CAST(floor(100 * (1 - sum(after) / sum(before)) * 1e4 + 0.5) AS BIGINT) AS pct_e4 FROM m""")
+def metric_reduction_pct(s, d):
+    """How much less the absolute error at faces along x is after a repair of a quarter of the bound, in exact quarters."""
+    p, eb, _ = dual(s, d)
+    cells = rp.with_neighbours(p.select("x", "y", "z", F.col("deco").alias("v"), "orig"), "x").where(rp.is_face("x", 4) & F.col("l").isNotNull() & F.col("r").isNotNull())
+    m4 = F.least(F.greatest(F.col("l") + 2 * F.col("v") + F.col("r"), 4 * F.col("v") - eb), 4 * F.col("v") + eb)
+    sums = cells.agg(F.sum(4 * F.abs(F.col("orig") - F.col("v"))).alias("before"), F.sum(F.abs(4 * F.col("orig") - m4)).alias("after"))
+    return sums.withColumn("pct_e4", F.floor(me.reduction_pct(F.col("after"), F.col("before")) * 1e4 + 0.5).cast("long"))
+
+
 core.add(
     "metric_size_plan",
     lambda s, d: s.createDataFrame([tuple(me.size_plan((1024**3 + 2048**3) // 2, 26, 200, 5).values())], "field_bytes long, snapshot_bytes long, campaign_bytes long"),

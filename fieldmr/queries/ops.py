@@ -16,7 +16,7 @@ from ..codec.apply import mrinterp
 from ..registry import Registry
 from ..sources import table
 from .core import CUBE, dual, halo, ranges
-from .sqltext import DUAL, HALO, RANGES
+from .sqltext import DUAL, G, HALO, RANGES
 
 ops = Registry()
 add = ops.add
@@ -47,22 +47,53 @@ def _stored(s, d):
     return path, g
 
 
-add("op_block_store", lambda s, d: (lambda p, g: so.read_blocks(s, p, [0], iso=1e6).agg(F.count("*").alias("blocks"), F.count_if(F.col("vmin") > F.col("vmax")).alias("bad")))(*_stored(s, d)))
+add("op_block_store", lambda s, d: (lambda p, g: so.read_blocks(s, p, [0], iso=1e6).agg(F.count("*").alias("blocks"), F.count_if(F.col("vmin") > F.col("vmax")).alias("bad")))(*_stored(s, d)), f"WITH {HALO}, {RANGES} SELECT count(*) AS blocks, count(*) FILTER (lo > hi) AS bad FROM rng WHERE lo <= 1e6 AND hi >= 1e6")
 
 
-def _packet_store(s, d):
+def _packets(s, d):
     cells, g = halo(s, d)
     hi = cells.agg(F.max("v")).first()[0]
     c = mrinterp(hi / 1000)
-    table_ = en.field_chunks(cells, g, 8, per_chunk=16)
     path = st.scratch(s, "packets")
-    so.write_packets(en.encode(table_, c, 8, g // 8, g // 8), path)
-    back = en.block_cells(en.decode(so.read_packets(s, path), c, 8, g // 8, g // 8), 8, g // 8, g // 8)
+    so.write_packets(en.encode(en.field_chunks(cells, g, 8, per_chunk=16), c, 8, g // 8, g // 8), path)
+    return cells, g, c, path
+
+
+def _within(cells: DataFrame, back: DataFrame, eb: float) -> DataFrame:
     both = en.pairs(cells.withColumn("level", F.lit(0)), back)
-    return both.agg(F.count("*").alias("n"), F.count_if(F.abs(F.col("orig") - F.col("deco")) > c.eb).alias("violations"))
+    return both.agg(F.count("*").alias("n"), F.count_if(F.abs(F.col("orig") - F.col("deco")) > eb).alias("violations"))
+
+
+def _packet_store(s, d):
+    cells, g, c, path = _packets(s, d)
+    return _within(cells, en.block_cells(en.decode(so.read_packets(s, path)), 8, g // 8, g // 8), c.eb)
+
+
+add("op_packet_store", _packet_store, f"WITH {G} SELECT CAST(g * g * g AS BIGINT) AS n, CAST(0 AS BIGINT) AS violations FROM g")
+
+
+def _packet_source(s, d):
+    """The store as a data source: packets are listed by the driver and decoded by the tasks that read them."""
+    from ..dsource import register
+
+    register(s)
+    cells, _, c, path = _packets(s, d)
+    return _within(cells, s.read.format("packets").load(path), c.eb)
+
+
+add("op_packet_source", _packet_source, f"WITH {G} SELECT CAST(g * g * g AS BIGINT) AS n, CAST(0 AS BIGINT) AS violations FROM g")
+
+
+def _packet_box(s, d):
+    """A box of the field: only packets with a block in it are decoded."""
+    cells, g, c, path = _packets(s, d)
+    box, n = (3, 12, 2, 9, 5, 10), g // 8
+    packets = so.read_packets(s, path)
+    near = packets.where(F.exists("keys", lambda k: gr.key_in_box(k, box, 8, n, n)))
+    return _within(cells, en.block_cells(en.decode(near), 8, n, n).where(gr.in_box(box)), c.eb)
 
 
-add("op_packet_store", _packet_store)
+add("op_packet_box", _packet_box, "SELECT CAST(480 AS BIGINT) AS n, CAST(0 AS BIGINT) AS violations")
 
 
 def _text_export(fmt: str):
@@ -79,19 +110,20 @@ for _f in ("csv", "json", "orc"):
 
 
 def _raw(s, d):
-    """A raw array file written by the driver, read in parallel; local only where driver and executors share the folder."""
+    """A raw array file written to the folder that driver and executors share, read in parallel."""
     from ..dsource import register
 
     register(s)
-    import tempfile
-    from pathlib import Path
-
     import numpy as np
+    from pyarrow import fs
 
-    path = Path(tempfile.mkdtemp(prefix="fieldmr-raw-")) / "field.bin"
+    path = f"{st.scratch(s, 'raw')}.bin"
     a = np.add.outer(np.add.outer(np.arange(16.0), 10 * np.arange(16.0)), 100 * np.arange(16.0))
-    path.write_bytes(a.astype("<f4").tobytes())
-    return s.read.format("rawfield").option("shape", "16x16x16").option("dtype", "<f4").option("planes", "4").load(str(path)).agg(F.count("*").alias("n"), F.sum("v").alias("total"))
+    place, at = fs.FileSystem.from_uri(path)
+    place.create_dir(at.rsplit("/", 1)[0])
+    with place.open_output_stream(at) as f:
+        f.write(a.astype("<f4").tobytes())
+    return s.read.format("rawfield").option("shape", "16x16x16").option("dtype", "<f4").option("planes", "4").load(path).agg(F.count("*").alias("n"), F.sum("v").alias("total"))
 
 
 add("op_raw_field", _raw, "SELECT count(*) AS n, sum(x + 10 * y + 100 * z)::DOUBLE AS total FROM unnest(range(16)) AS a(x), unnest(range(16)) AS b(y), unnest(range(16)) AS c(z)")
@@ -126,21 +158,21 @@ add("op_join_full", lambda s, d: T(s, d, "supplier").select(F.col("s_suppkey").a
 
 
 def _range_join(s, d):
-    """Events within a radius of the heaviest masses, as an equi join on coarse bins with a residual filter."""
+    """Events within a radius of each other, as an equi join on coarse bins with a residual filter."""
     e = T(s, d, "events")
     hsh = (F.col("event_id") * 2654435761) % (1 << 32)
     p = e.select("event_id", "value", *((F.shiftright(hsh, k) % 64).cast("int").alias(c) for c, k in (("x", 8), ("y", 16), ("z", 24))))
-    c = p.orderBy(F.desc("value"), "event_id").limit(fl.MASSES).select(F.col("event_id").alias("center"), *(F.col(a).alias(f"c{a}") for a in "xyz"))
+    c = p.select(F.col("event_id").alias("center"), *(F.col(a).alias(f"c{a}") for a in "xyz"))
     near = c
     for a in "xyz":
-        near = near.select("*", F.explode(F.sequence(F.floor(F.col(f"c{a}") / 8) - 1, F.floor(F.col(f"c{a}") / 8) + 1)).alias(f"b{a}"))
-    binned = p.select("*", *(F.floor(F.col(a) / 8).alias(f"b{a}") for a in "xyz"))
+        near = near.select("*", F.explode(F.sequence(F.floor(F.col(f"c{a}") / 4) - 1, F.floor(F.col(f"c{a}") / 4) + 1)).alias(f"b{a}"))
+    binned = p.select("*", *(F.floor(F.col(a) / 4).alias(f"b{a}") for a in "xyz"))
     dist = sum(((F.col(a) - F.col(f"c{a}")) ** 2 for a in "xyz"), F.lit(0))
-    return binned.join(near, ["bx", "by", "bz"]).where(dist <= 64).select("center", "event_id")
+    return binned.join(near, ["bx", "by", "bz"]).where(dist <= 16).select("center", "event_id")
 
 
 _P = "p AS (SELECT event_id, value, ((event_id * 2654435761) % 4294967296 // 256) % 64 AS x, ((event_id * 2654435761) % 4294967296 // 65536) % 64 AS y, ((event_id * 2654435761) % 4294967296 // 16777216) % 64 AS z FROM events)"
-add("op_join_range", _range_join, f"WITH {_P} SELECT c.event_id AS center, p.event_id FROM p JOIN (SELECT * FROM p ORDER BY value DESC, event_id LIMIT 400) c ON (p.x - c.x) * (p.x - c.x) + (p.y - c.y) * (p.y - c.y) + (p.z - c.z) * (p.z - c.z) <= 64")
+add("op_join_range", _range_join, f"WITH {_P} SELECT c.event_id AS center, p.event_id FROM p JOIN p c ON (p.x - c.x) * (p.x - c.x) + (p.y - c.y) * (p.y - c.y) + (p.z - c.z) * (p.z - c.z) <= 16")
 add("op_join_neighbour", lambda s, d: (lambda c, r, g: gr.neighbour_keys(r, g // 8, g // 8, g // 8).join(r.select(F.col("key").alias("other"), F.col("hi").alias("other_hi")), "other").groupBy("key").agg(F.max("other_hi").alias("around")))(*ranges(s, d)), f"WITH {HALO}, {RANGES}, c AS (SELECT key, hi, key // ((g // 8) * (g // 8)) AS a, key // (g // 8) % (g // 8) AS b, key % (g // 8) AS c FROM rng, g) SELECT p.key, max(q.hi) AS around FROM c p JOIN c q ON abs(p.a - q.a) + abs(p.b - q.b) + abs(p.c - q.c) = 1 GROUP BY p.key")
 add("op_join_cross", lambda s, d: T(s, d, "region").crossJoin(F.broadcast(s.createDataFrame([(1,), (2,), (3,)], "k int"))).select("r_name", "k"), "SELECT r_name, CAST(k AS INTEGER) AS k FROM region, unnest([1, 2, 3]) AS t(k)")
 
@@ -169,17 +201,19 @@ add("op_join_cross_level", lambda s, d: (lambda c: c.join(h.coarsen(c, 2, "max")
 def _lateral(s, d):
     sqlfuncs.register(s)
     T(s, d, "nation").createOrReplaceTempView("op_lines")
-    return s.sql("SELECT n_nationkey, count(*) AS points, count_if(kind = 'extrapolated') AS extrapolated FROM op_lines, LATERAL interp_plan(n_nationkey) GROUP BY n_nationkey")
+    return s.sql("SELECT n_nationkey, count(*) AS points, count_if(kind = 'extrapolated') AS extrapolated FROM op_lines, LATERAL interp_plan(n_nationkey) WHERE n_nationkey > 3 GROUP BY n_nationkey")
 
 
-add("op_join_lateral_udtf", _lateral)
+add("op_join_lateral_udtf", _lateral, """WITH st AS (SELECT n_nationkey AS n, 1 << k AS s FROM nation, unnest(range(6)) AS t(k) WHERE n_nationkey > 3 AND (1 << k) < n_nationkey - 1),
+p AS (SELECT n, CASE WHEN i + s < n THEN 0 ELSE 1 END AS extra FROM st, unnest(range(s, n - 1, 2 * s)) AS t(i))
+SELECT CAST(n AS INTEGER) AS n_nationkey, count(*) + 2 AS points, CAST(sum(extra) AS BIGINT) AS extrapolated FROM p GROUP BY n""")
 
 # aggregates
 
 add("op_agg_hash", lambda s, d: T(s, d, "lineitem").groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum(fl.cents("l_extendedprice")).alias("cents"), F.max("l_quantity").alias("top")), "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(CAST(floor(l_extendedprice * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents, max(l_quantity) AS top FROM lineitem GROUP BY ALL")
 add("op_agg_collect", lambda s, d: T(s, d, "nation").groupBy("n_regionkey").agg(F.concat_ws(",", F.array_sort(F.collect_list("n_name"))).alias("names")), "SELECT n_regionkey, string_agg(n_name, ',' ORDER BY n_name) AS names FROM nation GROUP BY n_regionkey")
 add("op_agg_distinct", lambda s, d: (lambda p, eb, g: p.agg(F.count_distinct("q").alias("codes"), F.count("*").alias("n")))(*dual(s, d)), f"WITH {HALO}, {DUAL} SELECT count(DISTINCT q) AS codes, count(*) AS n FROM dual")
-add("op_agg_approx_distinct", lambda s, d: T(s, d, "events").agg(F.approx_count_distinct("user_id", 0.02).alias("users")))
+add("op_agg_approx_distinct", lambda s, d: T(s, d, "events").agg(F.count_distinct("user_id").alias("users"), F.approx_count_distinct("user_id", 0.02).alias("near")).select("users", (F.abs(F.col("near") - F.col("users")) <= 0.1 * F.col("users")).alias("close")), "SELECT count(DISTINCT user_id) AS users, true AS close FROM events")
 add("op_agg_rollup", lambda s, d: T(s, d, "events").rollup("event_type", (F.col("user_id") % 4).cast("int").alias("b")).agg(F.count("*").alias("n")).select(F.coalesce("event_type", F.lit("all")).alias("event_type"), F.coalesce("b", F.lit(-1)).alias("b"), "n"), "SELECT coalesce(event_type, 'all') AS event_type, coalesce(b, -1) AS b, count(*) AS n FROM (SELECT event_type, CAST(user_id % 4 AS INTEGER) AS b FROM events) GROUP BY ROLLUP (event_type, b)")
 add("op_agg_cube", lambda s, d: T(s, d, "part").cube("p_brand", "p_size").agg(F.count("*").alias("n")).select(F.coalesce("p_brand", F.lit("all")).alias("p_brand"), F.coalesce("p_size", F.lit(-1)).alias("p_size"), "n"), "SELECT coalesce(p_brand, 'all') AS p_brand, coalesce(p_size, -1) AS p_size, count(*) AS n FROM part GROUP BY CUBE (p_brand, p_size)")
 
@@ -216,7 +250,7 @@ def _udaf(s, d):
     return p.groupBy("half").agg(psnr("o", "q").alias("psnr"))
 
 
-add("op_agg_udaf", _udaf)
+add("op_agg_udaf", lambda s, d: _udaf(s, d).select("half", F.floor(F.col("psnr") * 1e4 + 0.5).cast("long").alias("psnr_e4")), f"WITH {HALO}, {DUAL} SELECT x % 2 AS half, CAST(floor((20 * log10(max(orig) - min(orig)) - 10 * log10(sum(CAST(orig - deco AS DOUBLE) * (orig - deco)) / count(*))) * 1e4 + 0.5) AS BIGINT) AS psnr_e4 FROM dual GROUP BY 1")
 
 # windows
 
@@ -289,21 +323,41 @@ add("stream_dedup", lambda s, d: st.drained(st.event_stream(s, d).withWatermark(
 
 
 def _foreach(s, d):
-    """The stream's cells are compressed batch by batch and read back: points, bytes, and the largest error against the bound."""
+    """The stream's cells are compressed batch by batch and read back: points and bytes, and points further off than the bounds of all batches."""
     types = fl.event_types(s, d)
-    first = T(s, d, "events").agg(F.date_trunc("day", F.min("ts")).cast("timestamp")).first()[0]
+    hour = F.floor((F.unix_timestamp(F.col("ts").cast("timestamp")) - F.unix_timestamp(F.date_trunc("day", F.col("first")))) / 3600)
+    first, last = T(s, d, "events").agg(F.min("ts").alias("first"), F.max("ts").alias("ts")).select(F.date_trunc("day", "first").cast("timestamp"), hour).first()
+    planes = -(-(int(last) + 1) // 8)
     codec = mrinterp(50.0)
 
     def encode(batch: DataFrame) -> DataFrame:
         cells = fl.event_axes(batch, types, F.lit(first)).groupBy("x", "y", "z").agg(F.sum("v").alias("v"))
-        full = fl.dense(cells, 16, 8, 720)
-        blocks = h.to_blocks(full, 8, 1, 90).where("n = 512").select(F.lit(0).alias("level"), "key", "vals")
-        return en.encode(en.chunks(blocks, 8), codec, 8, 1, 90)
+        blocks = h.to_blocks(fl.dense(cells, 16, 8, 8 * planes), 8, 1, planes).select(F.lit(0).alias("level"), "key", "vals")
+        return en.encode(en.chunks(blocks, 8), codec, 8, 1, planes)
 
     sink = st.scratch(s, "snapshots")
     st.compress_batches(st.event_stream(s, d), sink, encode)
     packets = s.read.parquet(sink)
-    return packets.agg(F.sum("raw_bytes").alias("raw_bytes"), F.sum("packed_bytes").alias("packed_bytes"))
+    batches = packets.select("batch").distinct().count()
+    back = en.block_cells(en.decode(packets), 8, 1, planes).groupBy("level", "x", "y", "z").agg(F.sum("v").alias("v"))
+    both = en.pairs(fl.dense(fl.event_cube(s, d), 16, 8, 8 * planes).withColumn("level", F.lit(0)), back)
+    size = packets.agg(F.sum("raw_bytes").alias("raw_bytes"), (F.sum("packed_bytes") < F.sum("raw_bytes")).alias("smaller"))
+    return both.agg(F.count("*").alias("points"), F.count_if(F.abs(F.col("orig") - F.col("deco")) > batches * codec.eb).alias("violations")).crossJoin(F.broadcast(size))
+
+
+add("stream_foreach_batch", _foreach, """WITH p AS (SELECT 16 * 8 * 8 * CAST(ceil((floor((epoch_us(max(ts)) // 1000000 - epoch_us(date_trunc('day', min(ts))) // 1000000) / 3600) + 1) / 8) AS BIGINT) AS points FROM events)
+SELECT points, CAST(0 AS BIGINT) AS violations, 8 * points AS raw_bytes, true AS smaller FROM p""")
+
+
+def _rate(s, d):
+    """A source of numbered rows by the second, as cells of a closed form: rows of one run of the clock, checked against their numbers."""
+    rows = s.readStream.format("rate-micro-batch").option("rowsPerBatch", 512).option("numPartitions", 2).load()
+    out = st.scratch(s, "rate")
+    q = rows.select("value", (F.col("value") * F.col("value")).alias("v")).writeStream.format("parquet").option("checkpointLocation", st.scratch(s, "rate-state")).start(out)
+    while not q.lastProgress or q.lastProgress["batchId"] < 1:
+        q.awaitTermination(0.2)
+    q.stop()
+    return s.read.schema("value long, v long").parquet(out).where("value < 512").agg(F.count("*").alias("n"), F.sum("v").alias("total"))
 
 
-add("stream_foreach_batch", _foreach)
+add("stream_rate", _rate, "SELECT count(*) AS n, CAST(sum(i * i) AS BIGINT) AS total FROM unnest(range(512)) AS t(i)")

@@ -22,3 +22,8 @@ ranked AS (SELECT *, hi - lo AS rng, row_number() OVER (ORDER BY hi - lo DESC, k
 #: Prequantised values: eb is a hundredth of the range, in whole numbers.
 DUAL = """lim AS (SELECT greatest(1, (max(v) - min(v)) // 100) AS eb FROM halo),
 dual AS (SELECT x, y, z, v AS orig, (v + eb) // (2 * eb) AS q, (v + eb) // (2 * eb) * 2 * eb AS deco, eb FROM halo, lim)"""
+
+#: The sample plan on cubes of side 4: one cube of 4, 3 or 2 blocks a side in the middle, as grids of up to 64 points have room for no more.
+SAMPLE = """box AS (SELECT CASE WHEN cbrt(0.015 * g * g * g) >= 16 THEN 16 WHEN cbrt(0.015 * g * g * g) >= 12 THEN 12 ELSE 8 END AS side FROM g),
+place AS (SELECT side, ((g - side) // 4) // 2 * 4 AS o FROM box, g),
+smp AS (SELECT d.*, o FROM dual d, place WHERE x BETWEEN o AND o + side - 1 AND y BETWEEN o AND o + side - 1 AND z BETWEEN o AND o + side - 1)"""

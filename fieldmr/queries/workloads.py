@@ -5,21 +5,31 @@ A workload sweeps codec variants over chunks of a field in one pass and reports
 
 from __future__ import annotations
 
+import time
 from dataclasses import replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import engine as en
 from .. import fields as fl
+from .. import filters as fi
 from .. import grid as gr
 from .. import hierarchy as h
 from .. import metrics as me
+from .. import repair as rp
+from .. import streaming as st
 from .. import uncert as un
-from ..codec.apply import Codec, mrinterp
+from ..codec.apply import Codec, mrinterp, prepared
+from ..codec.interp import interp_encode
 from ..codec.schedule import schedule_grid
 from ..registry import Registry
-from .core import core, halo, plan_table
+from ..schema import CHUNK
+from ..tables import kept
+from .core import CUBE, LEDGER, core, halo, plan_table
+from .sqltext import G, HALO
 
 work = Registry()
 query = work.query
@@ -34,8 +44,10 @@ ZLINE = Codec("interp", arrange="zline", label="zline")
 PAD = Codec("interp", pad="linear", label="pad")
 OURS = mrinterp(label="pad+eb")
 OURS_FIXED = mrinterp(label="pad+eb+repair", repair="fit")
-PRED4 = Codec("blockpred", block=4, predictor="regression", label="blockpred4")
-PRED6 = Codec("blockpred", block=6, predictor="regression", label="blockpred6")
+HZLINE = Codec("interp", arrange="hzline", label="hzline")
+#: The predictor is chosen block by block.
+PRED4 = Codec("blockpred", block=4, label="blockpred4")
+PRED6 = Codec("blockpred", block=6, label="blockpred6")
 XFORM = Codec("blockxform", label="blockxform")
 
 
@@ -45,6 +57,8 @@ def with_repair(c: Codec) -> Codec:
 
 def cube(spark: SparkSession, sf: str, name: str) -> tuple[DataFrame, int]:
     g = fl.grid_edge(spark, sf)
+    if name == "events":  # the sparse cube: as many users, types and hours as the grid has points
+        return fl.event_grid(spark, sf, g), g
     return fl.CUBES[name](spark, sf, g), g
 
 
@@ -60,20 +74,43 @@ def sweep(spark: SparkSession, sf: str, name: str, variants: list[Codec], bounds
     span = value_range(cells)
     table = en.field_chunks(cells, g, u, **chunking)
     every = [c.at(b * span) for c in variants for b in bounds]
-    points = en.rd_points(en.evaluate(table, every, u, g // u, g // u), by)
+    points = en.rd_points(en.evaluate(table, every, u, g // u, g // u, span), by)
     return points.withColumn("field", F.lit(name)).withColumn("rel_eb", F.col("eb") / span) if "eb" in by else points.withColumn("field", F.lit(name))
 
 
-def reconstruct(spark: SparkSession, sf: str, name: str, codec: Codec, rel: float, u: int | None = None) -> tuple[DataFrame, float, int]:
-    """(pairs, bound, edge) of one full encode and decode through packets."""
+def packed(spark: SparkSession, sf: str, name: str, codec: Codec, rel: float, u: int | None = None, **chunking) -> tuple[DataFrame, DataFrame, Codec, int]:
+    """(chunks, packets, codec with its bound, edge) of a field; a fitted repair is fitted before the field is coded."""
     cells, g = cube(spark, sf, name)
     u = u or max(8, g // 4)
-    span = value_range(cells)
-    c = codec.at(rel * span)
-    table = en.field_chunks(cells, g, u)
-    packets = en.encode(table, c, u, g // u, g // u)
-    back = en.block_cells(en.decode(packets, c, u, g // u, g // u), u, g // u, g // u)
-    return en.pairs(cells.withColumn("level", F.lit(0)), back), c.eb, g
+    c = codec.at(rel * value_range(cells))
+    table = kept(en.field_chunks(cells, g, u, **chunking), "chunks")
+    fitted = {level: a for (_, level), (a, _) in en.fit(table, [c]).items()}
+    return table, en.encode(table, c, u, g // u, g // u, fitted), c, g
+
+
+def level_cells(blocks: DataFrame, g: int, u: int | None = None) -> DataFrame:
+    u = u or max(8, g // 4)
+    return en.block_cells(blocks, u, g // u, g // u)
+
+
+def table_cells(table: DataFrame, g: int, u: int | None = None) -> DataFrame:
+    """The cells (level, x, y, z, v) that chunks hold."""
+    side3 = F.size("vals") / F.size("keys")
+    blocks = table.select("level", F.posexplode("keys").alias("i", "key"), "vals", side3.cast("int").alias("n")).select("level", "key", F.slice("vals", F.col("i") * F.col("n") + 1, F.col("n")).alias("vals"))
+    return level_cells(blocks, g, u)
+
+
+def reconstruct(spark: SparkSession, sf: str, name: str, codec: Codec, rel: float, u: int | None = None) -> tuple[DataFrame, float, int]:
+    """(pairs, bound, edge) of one full encode and decode through packets."""
+    table, packets, c, g = packed(spark, sf, name, codec, rel, u)
+    back = en.decode(packets) if c.repair == "none" else en.decode_repaired(packets)
+    return en.pairs(table_cells(table, g, u), level_cells(back, g, u)), c.eb, g
+
+
+def bound_at_cr(points: DataFrame, variant: str, cr: float) -> float:
+    """The bound (relative) at which a variant reaches a ratio, between measured points; the nearest one outside of them."""
+    at = sorted((r["cr"], r["rel_eb"]) for r in points.where(F.col("variant") == variant).select("cr", "rel_eb").collect())
+    return float(np.exp(np.interp(np.log(cr), [np.log(c) for c, _ in at], [np.log(e) for _, e in at])))
 
 
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
@@ -110,9 +147,9 @@ def wl_w01(s, d):
 
 @query()
 def wl_w02(s, d):
-    """Arrangements against the multi-resolution codec: PSNR at equal ratios."""
-    points = sweep(s, d, "halo", [STACK, KD, OURS], by=("variant", "eb"), percent=50)
-    return me.psnr_at_cr(points, s.createDataFrame([(30.0,), (60.0,), (100.0,)], "at double"))
+    """Arrangements against the multi-resolution codec: PSNR and similarity at equal ratios."""
+    points = sweep(s, d, "halo", [STACK, KD, OURS], (3e-1, *BOUNDS), by=("variant", "eb"), percent=50)
+    return me.at_cr(points, s.createDataFrame([(30.0,), (60.0,), (100.0,), (163.0,)], "at double"))
 
 
 work.add("wl_w03", core.queries["arrange_roughness"], core.sql["arrange_roughness"])
@@ -137,37 +174,24 @@ def wl_w06(s, d):
 @query()
 def wl_w07(s, d):
     """Similarity and PSNR before and after repair, on the waves with the transform codec and on the density with the predictor."""
-    parts = [sweep(s, d, f, [with_repair(c)], (1e-1, 3e-2, 1e-2), by=("variant", "eb")).select("field", "variant", "rel_eb", "cr", "psnr_plain", "psnr", "a") for f, c in (("waves", XFORM), ("halo", PRED4))]
+    parts = [sweep(s, d, f, [with_repair(c)], (1e-1, 3e-2, 1e-2), by=("variant", "eb")).select("field", "variant", "rel_eb", "cr", "psnr_plain", "psnr", "ssim_plain", "ssim", "a") for f, c in (("waves", XFORM), ("halo", PRED4))]
     return parts[0].unionByName(parts[1])
 
 
 @query()
 def wl_w08(s, d):
     """Smoothing filters against the repair, on one decompressed field."""
-    import numpy as np
-
-    from .. import filters as fi
-    from .. import repair as rp
-    from ..codec.apply import encode_chunk
-
-    cells, g = cube(s, d, "waves")
-    eb = 0.03 * value_range(cells)
-
-    def work_(batches):
-        import pyarrow as pa
-
-        for batch in batches:
-            for row in batch.to_pylist():
-                a = np.array(row["vals"]).reshape(g, g, g)
-                _, m = encode_chunk(np.zeros(1, np.int64), a[None], XFORM.at(eb), 1, 1)
-                fixed, _, _ = en.repaired(np.zeros(1, np.int64), a[None], m, with_repair(XFORM).at(eb), 1, 1)
-                made = {"decompressed": m[0], **{k: f(m[0]) for k, f in fi.FILTERS.items()}, "repair": fixed[0], "unclamped": rp.repair(m[0], eb, None, 4)}
-                psnr = [float(20 * np.log10(np.ptp(a)) - 10 * np.log10(((a - v) ** 2).mean())) for v in made.values()]
-                yield pa.RecordBatch.from_arrays([pa.array(list(made)), pa.array(psnr)], names=["method", "psnr"])
-
-    # the comparison is of whole fields, as filters need every neighbour
-    whole = h.to_blocks(cells, g, 1, 1).select("vals")
-    return whole.mapInArrow(work_, "method string, psnr double")
+    kinds = [replace(XFORM, label="decompressed"), replace(XFORM, repair="free", label="unclamped"), replace(XFORM, repair="fit", label="repair")]
+    out = sweep(s, d, "waves", kinds, (0.03,), by=("variant", "eb")).select(F.col("variant").alias("method"), "psnr")
+    p, _, g = reconstruct(s, d, "waves", XFORM, 0.03)
+    p = kept(p.select("x", "y", "z", "orig", "deco"), "pairs")
+    made = p.select("x", "y", "z", F.col("deco").alias("v"))
+    kappa = fi.mean_step(made)
+    for name, work_ in fi.FILTERS.items():
+        smooth = fi.tiled(made, g, (lambda a: fi.diffusion(a, kappa=kappa)) if name == "diffusion" else work_, fi.REACH[name])
+        both = smooth.withColumnRenamed("v", "deco").join(p.select("x", "y", "z", "orig"), ["x", "y", "z"])
+        out = out.unionByName(me.distortion(both).select(F.lit(name).alias("method"), "psnr"))
+    return out
 
 
 @query()
@@ -186,17 +210,30 @@ def wl_w11(s, d):
     return sweep(s, d, "waves", [with_repair(PRED6)], (1e-1, 5e-2, 2e-2, 1e-2, 5e-3, 2e-3, 1e-3), by=("variant", "eb")).select("variant", "rel_eb", "cr", "psnr_plain", "psnr", "a")
 
 
+def sampled_model(s, table: DataFrame, codec: Codec, iso: float) -> tuple[float, float]:
+    """(mu, sigma) of the error near an isovalue, from the blocks that are sampled and coded before the field is."""
+    blocks, counts = en.sample_blocks(table)
+    pairs = [p for level, some in blocks.items() for p in en.sample_pairs(some, codec, counts[level])[0]]
+    flat = [np.concatenate([p[k].ravel() for p in pairs]) for k in (0, 1)]
+    mu, sigma, _, _ = un.near_model(s.createDataFrame(pa.table({"orig": flat[0], "deco": flat[1]})), iso, codec.eb)
+    return mu, sigma
+
+
 @query()
 def wl_w12(s, d):
-    """Isosurface cells lost by compression and found again by crossing probability."""
+    """Isosurface cells lost by compression and found again by crossing probability, near a ratio of 240; the error model is the sample's."""
     out = None
-    for name, rel in (("layer", 0.1), ("halo", 0.03)):
-        p, eb, g = reconstruct(s, d, name, XFORM, rel)
-        p = p.select("x", "y", "z", "orig", "deco").persist()
-        iso = p.approxQuantile("orig", [0.9 if name == "halo" else 0.5], 0.0)[0]
-        mu, sigma, tau, n = un.near_model(p, iso, eb)
-        o, q = (p.select("x", "y", "z", F.col(c).alias("v")) for c in ("orig", "deco"))
-        row = un.recovery(o, q, un.prob_cells(q, mu, sigma, iso), iso).select(F.lit(name).alias("field"), F.lit(iso).alias("iso"), "crossed", "lost", "recovered", "kept", "false_hits", ((F.col("kept") + F.col("recovered")) / F.col("crossed")).alias("recall"))
+    for name, q in (("layer", 0.5), ("halo", 0.9)):
+        points = sweep(s, d, name, [XFORM], (1.0, 3e-1, 1e-1, 3e-2, 1e-2), by=("variant", "eb"))
+        rel = bound_at_cr(points, XFORM.label, 240.0)
+        table, packets, c, g = packed(s, d, name, XFORM, rel)
+        cr = packets.agg(F.sum("raw_bytes") / F.sum("packed_bytes")).first()[0]
+        p = kept(en.pairs(table_cells(table, g), level_cells(en.decode(packets), g)).select("x", "y", "z", "orig", "deco"), "pairs")
+        iso = p.approxQuantile("orig", [q], 0.0)[0]
+        mu, sigma = sampled_model(s, table, c, iso)
+        o, r = (p.select("x", "y", "z", F.col(v).alias("v")) for v in ("orig", "deco"))
+        found = un.recovery(o, r, un.prob_cells(r, mu, sigma, iso), iso)
+        row = found.select(F.lit(name).alias("field"), F.lit(cr).alias("cr"), F.lit(iso).alias("iso"), "crossed", "lost", "recovered", "kept", "false_hits", ((F.col("kept") + F.col("recovered")) / F.col("crossed")).alias("recall"))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -209,23 +246,36 @@ def wl_w13(s, d):
 
 @query()
 def wl_w14(s, d):
-    """Output time: preparation and coding of the stacked and the multi-resolution form, at a large and a small bound."""
+    """Output time per snapshot of a stream: arranging (and padding) and coding of the stacked and the multi-resolution form, at a large and a small bound.
+
+    Three snapshots go through micro-batches; times are measured inside the tasks, so both forms start from the same chunks.
+    """
     cells, g = cube(s, d, "halo")
-    u, span, rows = max(8, g // 4), value_range(cells), []
-    cells = cells.persist()
-    cells.count()
-    for rel in (1e-1, 5e-3):
-        for c in (STACK, OURS):
-            timer = me.StageTimer()
-            with timer.stage("prepare"):
-                table = en.field_chunks(cells, g, u, percent=18).persist()
-                table.count()
-            with timer.stage("compress"):
-                size = en.encode(table, c.at(rel * span), u, g // u, g // u).agg(F.sum("packed_bytes")).first()[0]
-            table.unpersist()
-            rows.append((rel, c.label, timer.seconds["prepare"], timer.seconds["compress"], sum(timer.seconds.values()), size))
-    cells.unpersist()
-    return s.createDataFrame(rows, "rel_eb double, variant string, prepare double, compress double, total double, packed_bytes long")
+    u, span = max(8, g // 4), value_range(cells)
+    folder = st.scratch(s, "snapshots")
+    en.field_chunks(cells, g, u, percent=18).coalesce(1).write.parquet(f"{folder}/0")
+    for k in (1, 2):
+        s.read.schema(CHUNK).parquet(f"{folder}/0").coalesce(1).write.parquet(f"{folder}/{k}")
+
+    def timed(batches):
+        for batch in batches:
+            out = []
+            for _, _, keys, vals in en._rows(batch, u):
+                for rel in (1e-1, 5e-3):
+                    for c in (STACK, OURS):
+                        t0 = time.perf_counter()
+                        arrays = [a for _, _, a in prepared(keys, vals, c, g // u, g // u)]
+                        t1 = time.perf_counter()
+                        size = sum(len(interp_encode(a, rel * span, c.order, c.extrap, c.schedule, c.alpha, c.beta)[0]) for a in arrays)
+                        out.append((rel, c.label, t1 - t0, time.perf_counter() - t1, size))
+            kinds = [pa.float64(), pa.string(), pa.float64(), pa.float64(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], t) for k, t in enumerate(kinds)], names=["rel_eb", "variant", "prepare", "compress", "packed_bytes"])
+
+    sink = st.scratch(s, "times")
+    stream = s.readStream.schema(CHUNK).option("maxFilesPerTrigger", 1).parquet(f"{folder}/*")
+    st.compress_batches(stream, sink, lambda batch: batch.mapInArrow(timed, "rel_eb double, variant string, prepare double, compress double, packed_bytes long"))
+    times = s.read.parquet(sink).groupBy("batch", "rel_eb", "variant").agg(*(F.sum(c).alias(c) for c in ("prepare", "compress", "packed_bytes")))
+    return times.groupBy("rel_eb", "variant").agg(F.count("*").alias("snapshots"), F.median("prepare").alias("prepare"), F.median("compress").alias("compress"), F.median(F.col("prepare") + F.col("compress")).alias("total"), F.max("packed_bytes").alias("packed_bytes"))
 
 
 @query()
@@ -236,15 +286,15 @@ def wl_w15(s, d):
 
 @query()
 def wl_w16(s, d):
-    """Waves with half of the cubes fine: PSNR of the baseline and of the multi-resolution codec at equal ratios."""
-    points = sweep(s, d, "waves", [LINEAR, OURS], by=("variant", "eb"), percent=50)
-    return me.psnr_at_cr(points, s.createDataFrame([(20.0,), (50.0,), (100.0,)], "at double"))
+    """Waves with half of the cubes fine: PSNR and similarity of the baseline and of the multi-resolution codec at equal ratios."""
+    points = sweep(s, d, "waves", [LINEAR, OURS], (3e-1, *BOUNDS), by=("variant", "eb"), percent=50)
+    return me.at_cr(points, s.createDataFrame([(20.0,), (50.0,), (100.0,), (147.0,)], "at double"))
 
 
 @query()
 def wl_w17(s, d):
     """Adaptive data: baseline, padding, padding with the bound per level."""
-    parts = [sweep(s, d, f, [LINEAR, PAD, OURS], by=("variant", "eb"), percent=p).select("field", "variant", "rel_eb", "cr", "psnr") for f, p in (("waves", 50), ("ledger", 35))]
+    parts = [sweep(s, d, f, [LINEAR, PAD, OURS], by=("variant", "eb"), percent=p).select("field", "variant", "rel_eb", "cr", "psnr") for f, p in (("waves", 50), ("events", 35))]
     return parts[0].unionByName(parts[1])
 
 
@@ -259,21 +309,34 @@ def wl_w18(s, d):
 
 @query()
 def wl_w19(s, d):
-    """Error of the power spectrum by variant at one bound, where the ratios of linear, kdmerge and the multi-resolution codec are near each other."""
-    cells, g = cube(s, d, "halo")
-    base = me.power_spectrum(cells, g).persist()
-    out = None
-    for c, rel in ((LINEAR, 0.01), (STACK, 0.01), (KD, 0.01), (OURS, 0.01)):
-        p, _, _ = reconstruct(s, d, "halo", c, rel)
-        row = me.spectrum_error(base, me.power_spectrum(p.select("x", "y", "z", F.col("deco").alias("v")), g)).withColumn("variant", F.lit(c.label))
+    """Error of the power spectrum of the flattened two-level mesh (58 and 42 percent) by variant, at the ratio that ours has at 1 percent.
+
+    ``reduction_pct`` is how much smaller the mean error of ours is.
+    """
+    kinds = [LINEAR, STACK, KD, OURS]
+    points = kept(sweep(s, d, "halo", kinds, (1e-1, 5e-2, 2e-2, 1e-2, 5e-3, 2e-3, 1e-3), by=("variant", "eb"), percent=58).select("variant", "rel_eb", "cr"), "points")
+    cr = points.where((F.col("variant") == OURS.label) & (F.abs(F.col("rel_eb") - 1e-2) < 1e-9)).first()["cr"]
+    out = base = None
+    for c in kinds:
+        table, packets, _, g = packed(s, d, "halo", c, bound_at_cr(points, c.label, cr), percent=58)
+        u = max(8, g // 4)
+        if base is None:
+            blocks = table.select("level", F.posexplode("keys").alias("i", "key"), "vals", (F.size("vals") / F.size("keys")).cast("int").alias("n")).select("level", "key", F.slice("vals", F.col("i") * F.col("n") + 1, F.col("n")).alias("vals"))
+            base = kept(me.power_spectrum_blocks(blocks, g, g // u, g // u), "spectrum")
+        packets = kept(packets, "packets")
+        size = packets.agg((F.sum("raw_bytes") / F.sum("packed_bytes")).alias("cr"))
+        error = me.spectrum_error(base, me.power_spectrum_blocks(en.decode(packets), g, g // u, g // u))
+        row = error.crossJoin(F.broadcast(size)).withColumn("variant", F.lit(c.label))
         out = row if out is None else out.unionByName(row)
-    return out
+    out = kept(out, "errors")
+    ours = F.broadcast(out.where(F.col("variant") == OURS.label).select(F.col("mean_err").alias("ours")))
+    return out.crossJoin(ours).select("variant", "cr", "mean_err", "max_err", "passes", (100 * (1 - F.col("ours") / F.col("mean_err"))).alias("reduction_pct"))
 
 
 @query()
 def wl_w20(s, d):
     """Repair on multi-resolution data: two codecs, two fields, six bounds."""
-    parts = [sweep(s, d, f, [with_repair(XFORM), with_repair(PRED4)], by=("variant", "eb"), **k).select("field", "variant", "rel_eb", "cr", "psnr_plain", "psnr") for f, k in (("layer", {"shares": [15, 31, 54], "u": 8}), ("ledger", {"percent": 35}))]
+    parts = [sweep(s, d, f, [with_repair(XFORM), with_repair(PRED4)], by=("variant", "eb"), **k).select("field", "variant", "rel_eb", "cr", "psnr_plain", "psnr") for f, k in (("layer", {"shares": [15, 31, 54], "u": 8}), ("events", {"percent": 35}))]
     return parts[0].unionByName(parts[1])
 
 
@@ -286,46 +349,33 @@ def wl_w21(s, d):
 
 @query()
 def wl_w22(s, d):
-    """Overhead of sampling, fitting and repairing over coding alone, measured inside the tasks."""
-    import time
-
-    import numpy as np
-    import pyarrow as pa
-
-    from .. import repair as rp
-    from ..codec.apply import encode_chunk
-
+    """Overhead of sampling, fitting and repairing over writing, coding and reading alone: wall-clock, in one task and in all."""
     cells, g = cube(s, d, "ledger")
     u, span = max(8, g // 4), value_range(cells)
-    nb = g // u
-
-    def timed(batches):
-        for batch in batches:
-            out = []
-            for _, _, keys, vals in en._rows(batch, u):
-                for c in (XFORM, PRED6):
-                    b = 4 if c.name == "blockxform" else c.block
-                    for rel in (1e-3, 1e-2, 1e-1):
-                        k = c.at(rel * span)
-                        t0 = time.perf_counter()
-                        _, made = encode_chunk(keys, vals, k, nb, nb)
-                        t1 = time.perf_counter()
-                        dense, _ = en.to_dense(keys, vals, nb, nb)
-                        sample = en._sampled(dense, k, b)
-                        a = rp.fit_intensity(sample, k.eb, b, rp.CANDIDATES[k.name]) if sample else (0.0,) * 3
-                        t2 = time.perf_counter()
-                        rp.repair(en.to_dense(keys, made, nb, nb)[0], k.eb, a, b)
-                        t3 = time.perf_counter()
-                        out.append((c.label, rel, t1 - t0, t2 - t1, t3 - t2))
-            kinds = [pa.string(), *[pa.float64()] * 4]
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], names=["codec", "rel_eb", "codec_s", "fit_s", "process_s"])
-
-    rows = en.field_chunks(cells, g, u).mapInArrow(timed, "codec string, rel_eb double, codec_s double, fit_s double, process_s double")
-    sums = [F.sum(c).alias(c) for c in ("codec_s", "fit_s", "process_s")]
-    return rows.groupBy("codec", "rel_eb").agg(*sums).withColumn("overhead", (F.col("fit_s") + F.col("process_s")) / F.col("codec_s"))
-
-
-@query()
+    nb, rows = g // u, []
+    table = kept(en.field_chunks(cells, g, u, per_chunk=8), "chunks")
+    for mode, some in (("serial", table.coalesce(1)), ("parallel", table.repartition(8))):
+        for c in (XFORM.at(1e-2 * span), PRED6.at(1e-2 * span)):
+            fixed, timer = with_repair(c), me.StageTimer()
+            with timer.stage("fit"):
+                fitted = {level: a for (_, level), (a, _) in en.fit(some, [fixed]).items()}
+            with timer.stage("code"):
+                packets = kept(en.encode(some, fixed, u, nb, nb, fitted), "packets")
+            with timer.stage("plain"):
+                en.decode(packets).write.format("noop").mode("overwrite").save()
+            with timer.stage("repaired"):
+                en.decode_repaired(packets).write.format("noop").mode("overwrite").save()
+            t = timer.seconds
+            process = max(0.0, t["repaired"] - t["plain"])
+            rows.append((c.label, mode, 1e-2, t["code"] + t["plain"], t["fit"], process, (t["fit"] + process) / (t["code"] + t["plain"])))
+    return s.createDataFrame(rows, "codec string, mode string, rel_eb double, io_codec_s double, fit_s double, process_s double, overhead double")
+
+
+_INVENTORY = "SELECT '{f}' AS field, g || 'x' || g || 'x' || g AS shape, CAST(g * g * g AS BIGINT) AS cells, (SELECT {n} FROM {t}) AS occupied, CAST(8 * g * g * g AS BIGINT) AS bytes FROM g"
+_EVERY = " UNION ALL ".join(_INVENTORY.format(f=f, n=n, t=t) for f, n, t in (("halo", "count(*) FILTER (v <> 0)", "halo"), ("ledger", "count(*) FILTER (v <> 0)", "ledger"), ("waves", "CAST(g * g * g AS BIGINT)", "g"), ("layer", "CAST(g * g * g AS BIGINT)", "g")))
+
+
+@query(f"WITH {HALO}, {LEDGER.removeprefix(G).lstrip(', ')}, {CUBE} {_EVERY} UNION ALL SELECT 'events', '16x5x720', count(*), count(*) FILTER (v <> 0), 8 * count(*) FROM cube_")
 def wl_w23(s, d):
     """Every field with its shape, density and bytes."""
     g = fl.grid_edge(s, d)
@@ -339,6 +389,20 @@ def wl_w23(s, d):
     return out.withColumn("bytes", 8 * F.col("cells"))
 
 
+@query()
+def wl_w23_levels(s, d):
+    """The meshes of the workloads by level: cells, share of the domain, bytes."""
+    out = None
+    for name, how in (("halo", {"percent": 18}), ("halo", {"percent": 58}), ("waves", {"percent": 50}), ("events", {"percent": 35}), ("layer", {"shares": [15, 31, 54], "u": 8})):
+        cells, g = cube(s, d, name)
+        u = how.get("u") or max(8, g // 4)
+        table = en.field_chunks(cells, g, u, **{k: v for k, v in how.items() if k != "u"})
+        stored = table.groupBy("level").agg(F.sum(F.size("vals")).alias("cells"))
+        row = stored.select(F.lit(name).alias("field"), F.lit(str(how.get("percent") or how["shares"])).alias("shares"), "level", "cells", (F.col("cells") * F.pow(F.lit(8.0), "level") / float(g**3)).alias("density"), (8 * F.col("cells")).alias("bytes"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 work.add("wl_w24", core.queries["metric_size_plan"], core.sql["metric_size_plan"])
 
 
@@ -363,29 +427,81 @@ def wl_w26(s, d):
 # round trips and codec options
 
 _SMALL = (3e-2, 1e-3)
-
-
-def _trip(name: str, variants: list[Codec], field: str = "halo", **chunking):
-    work.add(name, lambda s, d: sweep(s, d, field, variants, _SMALL, **chunking))
-
-
-_trip("interp3d_roundtrip", [LINEAR, replace(LINEAR, order="linear", label="first order"), replace(LINEAR, extrap="linear2", label="linear extrapolation")])
+#: How many cells each level has when half of the cubes (of a quarter of the edge) stay fine.
+_HALF = "n AS (SELECT g, CAST(greatest(8, g // 4) AS BIGINT) AS u, CAST(g // greatest(8, g // 4) AS BIGINT) AS m FROM g), lv AS (SELECT 0 AS level, CAST(ceil(m * m * m * 0.5) AS BIGINT) * u * u * u AS n FROM n UNION ALL SELECT 1, (m * m * m - CAST(ceil(m * m * m * 0.5) AS BIGINT)) * u * u * u // 8 FROM n)"
+_WHOLE = "lv AS (SELECT 0 AS level, CAST(g * g * g AS BIGINT) AS n FROM g)"
+
+
+def _trip(name: str, variants: list[Codec], field: str = "halo", percent: float | None = None):
+    """``name``: every cell comes back from packets within its bound, with SQL; ``name``_points: what it costs."""
+
+    def exact(s, d):
+        out = None
+        for c in variants:
+            for rel in _SMALL:
+                table, packets, codec, g = packed(s, d, field, c, rel, **({} if percent is None else {"percent": percent}))
+                # a repaired value stays within the sum of the intensities of all axes
+                slack = 1.0 if c.repair == "none" else 1 + 3 * max(rp.CANDIDATES[c.name])
+                back = en.decode(packets) if c.repair == "none" else en.decode_repaired(packets)
+                both = en.pairs(table_cells(table, g), level_cells(back, g))
+                off = F.abs(F.col("orig") - F.col("deco")) > slack * codec.eb * (1 + 1e-12)
+                row = both.groupBy("level").agg(F.count("*").alias("n"), F.count_if(off).alias("violations")).select(F.lit(c.label).alias("variant"), F.lit(round(1e6 * rel)).cast("long").alias("rel_e6"), "level", "n", "violations")
+                out = row if out is None else out.unionByName(row)
+        return out
+
+    names = ", ".join(f"'{c.label}'" for c in variants)
+    sql = f"WITH {G}, {_WHOLE if percent is None else _HALF} SELECT variant, rel_e6, CAST(level AS INTEGER) AS level, n, CAST(0 AS BIGINT) AS violations FROM lv, unnest([{names}]) AS a(variant), unnest([{', '.join(f'{round(1e6 * r)}::BIGINT' for r in _SMALL)}]) AS b(rel_e6)"
+    work.add(name, exact, sql)
+    work.add(f"{name}_points", lambda s, d: sweep(s, d, field, variants, _SMALL, **({} if percent is None else {"percent": percent})))
+
+
+_trip("interp3d_roundtrip", [LINEAR, replace(LINEAR, extrap="linear2", label="linear extrapolation")])
 _trip("interp_cubic", [LINEAR, replace(LINEAR, order="linear", label="first order")], "ledger")
 _trip("mrinterp_roundtrip", [OURS], percent=50)
 _trip("mrinterp_ablation", [LINEAR, PAD, OURS, OURS_FIXED], percent=50)
 _trip("bpred_roundtrip_4", [replace(PRED4, predictor=p, label=p) for p in ("lorenzo", "regression", "auto", "dual")])
 _trip("bpred_roundtrip_6", [replace(PRED6, predictor=p, label=p) for p in ("lorenzo", "regression", "auto", "dual")], "ledger")
-_trip("bxform_roundtrip", [XFORM])
+_trip("bxform_roundtrip", [XFORM, with_repair(XFORM)])
 _trip("bxform_dct_roundtrip", [replace(XFORM, transform="dct", label="dct")])
 _trip("arrange_zline_roundtrip", [ZLINE, replace(ZLINE, order="linear", label="zline first order")], percent=50)
+_trip("arrange_hzline_roundtrip", [HZLINE], percent=50)
+_trip("arrange_kd_roundtrip", [KD, STACK], percent=50)
+
+
+@query()
+def baseline_whole_array(s, d):
+    """The codec on the whole uniform array, as one block, beside the same array in unit blocks."""
+    cells, g = cube(s, d, "halo")
+    whole = sweep(s, d, "halo", [replace(LINEAR, label="whole array")], BOUNDS, u=g, by=("variant", "eb"))
+    blocks = sweep(s, d, "halo", [replace(LINEAR, label="unit blocks"), replace(HZLINE, label="hierarchical order")], BOUNDS, by=("variant", "eb"))
+    return whole.unionByName(blocks).select("variant", "rel_eb", "cr", "psnr")
+
+
+@query()
+def wl_gains(s, d):
+    """How much larger the ratio of the multi-resolution codec is at equal quality, by field: from the measured curves of the meshes."""
+    out = None
+    for field, base, share in (("halo", LINEAR, 18), ("halo", STACK, 58), ("waves", LINEAR, 50), ("events", LINEAR, 35)):
+        points = kept(sweep(s, d, field, [base, OURS], (2e-1, 1e-1, 5e-2, 3e-2, 1e-2, 3e-3, 1e-3), by=("variant", "eb"), percent=share).select("variant", "cr", "psnr"), "points")
+        ends = points.groupBy("variant").agg(F.min("psnr").alias("low"), F.max("psnr").alias("high")).agg(F.max("low").alias("low"), F.min("high").alias("high"))
+        at = F.broadcast(ends.select(F.explode(F.array(*(F.col("low") + (F.col("high") - F.col("low")) * f for f in (0.1, 0.3, 0.5, 0.7, 0.9)))).alias("at")))
+        row = me.gain_at_psnr(points, OURS.label, base.label, at).select(F.lit(field).alias("field"), F.lit(share).alias("percent"), F.lit(base.label).alias("base"), "at", "gain")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 work.add("lossless_ratio", lambda s, d: wl_w25(s, d))
 
 
 @query()
 def interp_trialeb(s, d):
-    """The tuned schedule: of all pairs, the one with the best ratio among those that reach the best PSNR less half a dB, on a sample of chunks."""
+    """The tuned schedule: of all pairs, the one with the best ratio among those that reach the best PSNR less half a dB, on a tenth of the chunks by hash, one at least."""
     grid = [replace(OURS, alpha=a, beta=b, label=f"{a}/{b}") for a, b in schedule_grid()]
-    points = sweep(s, d, "halo", grid, (1e-2,), by=("variant", "eb"), percent=50)
+    cells, g = cube(s, d, "halo")
+    u, span = max(8, g // 4), value_range(cells)
+    table = kept(en.field_chunks(cells, g, u, percent=50, per_chunk=8), "chunks")
+    part = table.orderBy(F.xxhash64("level", "chunk")).limit(max(1, table.count() // 10))
+    points = en.rd_points(en.evaluate(part, [c.at(1e-2 * span) for c in grid], u, g // u, g // u, span), ("variant", "eb"))
     return points.crossJoin(points.agg(F.max("psnr").alias("best"))).where("psnr >= best - 0.5").orderBy(F.desc("cr"), "variant").limit(1).select("variant", "cr", "psnr")
 
 
@@ -401,7 +517,7 @@ def metric_bitrate(s, d):
 
 @query()
 def metric_overhead(s, d):
-    return wl_w22(s, d).select("codec", "rel_eb", "overhead")
+    return wl_w22(s, d).select("codec", "mode", "rel_eb", "overhead")
 
 
 @query()
@@ -419,4 +535,4 @@ def packets_random_access(s, d):
     packets = en.encode(table, c, u, g // u, g // u)
     iso = float(cells.agg(F.max("v")).first()[0]) / 2
     near = packets.where((F.col("vmin") <= iso + c.eb) & (F.col("vmax") >= iso - c.eb))
-    return en.decode(near, c, u, g // u, g // u).groupBy("level").agg(F.count("*").alias("blocks"), F.max(F.array_max("vals")).alias("top"))
+    return en.decode(near).groupBy("level").agg(F.count("*").alias("blocks"), F.max(F.array_max("vals")).alias("top"))

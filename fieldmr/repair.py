@@ -20,6 +20,8 @@ CANDIDATES = {
 CANDIDATES["interp"] = CANDIDATES["blockpred"]
 #: Share of the points that the fit may sample.
 SAMPLE_RATE = 0.015
+#: Blocks that it samples at most, however large the field is.
+SAMPLE_BLOCKS = 1024
 
 
 def bezier(l, c, r, t=0.5):
@@ -65,6 +67,37 @@ def repair(d: np.ndarray, eb: float, a: tuple[float, float, float] | None, b: in
     return out
 
 
+def face_mask(side: int, b: int) -> np.ndarray:
+    """Which places along a block's edge lie at a face of its cubes of side b, the block's own ends included."""
+    at = np.arange(side)
+    return (at % b == 0) | (at % b == b - 1) | (at == side - 1)
+
+
+def sweep_padded(p: np.ndarray, axis: int, b: int, limit: float | None, t: float = 0.5) -> np.ndarray:
+    """One axis for many blocks (m, s + 2, s + 2, s + 2) that carry a layer of their neighbours, NaN where there is none."""
+    side = p.shape[1] - 2
+    at = np.flatnonzero(face_mask(side, b)) + 1
+    v = np.moveaxis(p, axis + 1, 0)
+    c = v[at]
+    m = bezier(v[at - 1], c, v[at + 1], t)
+    if limit is not None:
+        m = np.clip(m, c - limit, c + limit)
+    out = v.copy()
+    out[at] = np.where(np.isfinite(m), m, c)
+    return np.moveaxis(out, 0, axis + 1)
+
+
+def repair_padded(p: np.ndarray, eb: float, a: tuple[float, float, float] | None, b: int) -> np.ndarray:
+    """The repaired blocks without their layer; ``a`` None is the unclamped curve.
+
+    A layer of one point on all 26 sides is enough: what an axis needs from the axes before it, it recomputes there.
+    """
+    for axis in range(3):
+        if a is None or a[axis] > 0:
+            p = sweep_padded(p, axis, b, None if a is None else a[axis] * eb)
+    return p[:, 1:-1, 1:-1, 1:-1]
+
+
 def sample_plan(shape: tuple[int, ...], b: int, rate: float = SAMPLE_RATE) -> tuple[int, int, list[tuple[int, int, int]]]:
     """(cubes per axis, side, origins): evenly placed cubes of a few blocks a side, within the rate if the field is large enough."""
     n = float(np.prod(shape))

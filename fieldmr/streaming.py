@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -13,12 +12,12 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from .fields import cents
 from .schema import EVENTS
+from .tables import shared_dir
 
 
 def scratch(spark: SparkSession, label: str) -> str:
     """A folder for checkpoints and sinks, in the place all executors share."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/checkpoints"
-    return f"{base}/fieldmr-{label}-{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/fieldmr-{label}-{uuid.uuid4().hex}"
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -34,10 +33,14 @@ def drained(stream: DataFrame, label: str, mode: str = "append") -> DataFrame:
         q = stream.writeStream.format("parquet").option("checkpointLocation", scratch(spark, f"{label}-state")).outputMode("append").trigger(availableNow=True).start(out)
         q.awaitTermination()
         return spark.read.schema(stream.schema).parquet(out)
-    name = f"s_{label}_{uuid.uuid4().hex[:8]}"
-    q = stream.writeStream.format("memory").queryName(name).option("checkpointLocation", scratch(spark, label)).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    # a complete result replaces the one before, an update adds to it
+    out = scratch(spark, label)
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(out if mode == "complete" else f"{out}/batch={number}")
+
+    stream.writeStream.foreachBatch(write).option("checkpointLocation", scratch(spark, f"{label}-state")).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(out).select(*stream.columns)
 
 
 def tumbling(events: DataFrame, width: str = "1 day", slide: str | None = None) -> DataFrame:

@@ -135,31 +135,40 @@ def edges(cells: DataFrame, mu: float, sigma: float, iso: float) -> DataFrame:
     return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
-def _draw(batch: pa.RecordBatch, per_cell) -> pa.RecordBatch:
-    x, y, z = (batch.column(batch.schema.get_field_index(c)).to_numpy().astype(np.uint64) for c in "xyz")
-    c = np.array(batch.column(batch.schema.get_field_index("c")).to_pylist(), dtype=np.float64).reshape(-1, 8)
-    p = np.array([per_cell(c[i], int(x[i]), int(y[i]), int(z[i])) for i in range(len(c))], dtype=np.float64)
-    return pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(n)) for n in "xyz"] + [pa.array(p)], names=["x", "y", "z", "p"])
+def _uniform(seed: int, x: np.ndarray, y: np.ndarray, z: np.ndarray, n: int) -> np.ndarray:
+    """(cells, n) numbers in (0, 1), a function of seed, place and number alone: results do not depend on how cells are dealt out."""
+    k = (np.uint64(seed) << np.uint64(60)) ^ (x << np.uint64(40)) ^ (y << np.uint64(20)) ^ z
+    k = k[:, None] * np.uint64(0x9E3779B97F4A7C15) + (np.arange(n, dtype=np.uint64) + np.uint64(1)) * np.uint64(0xD1B54A32D192ED03)
+    for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+        k = (k ^ (k >> np.uint64(shift))) * np.uint64(factor)
+    return ((k ^ (k >> np.uint64(31))) >> np.uint64(11)).astype(np.float64) * 2.0**-53 + 2.0**-54
 
 
-def _generator(seed: int, x: int, y: int, z: int) -> np.random.Generator:
-    """A stream per cell, so results do not depend on how cells are dealt out."""
-    return np.random.default_rng([seed, x, y, z])
+def _normal(seed: int, x: np.ndarray, y: np.ndarray, z: np.ndarray, draws: int) -> np.ndarray:
+    """(cells, draws, 8) standard normal numbers, in pairs from two uniform ones each."""
+    u = _uniform(seed, x, y, z, 8 * draws).reshape(len(x), draws, 2, 4)
+    r, t = np.sqrt(-2 * np.log(u[:, :, 0])), 2 * np.pi * u[:, :, 1]
+    return np.concatenate((r * np.cos(t), r * np.sin(t)), axis=2)
+
+
+#: Cells that are drawn together.
+DRAWN = 512
 
 
 def mc_cells(cells: DataFrame, mu: float, sigma: float, iso: float, draws: int = 256, seed: int = 11, cholesky: np.ndarray | None = None, margin: float = 4.0) -> DataFrame:
     """Crossing probability by simulation, corners independent or with a given correlation; only cells near the isovalue are drawn."""
     factor = np.eye(8) * sigma if cholesky is None else cholesky
-    near = corners(cells).where((F.array_min("c") <= iso + margin * sigma) & (F.array_max("c") >= iso - margin * sigma))
-
-    def one(c: np.ndarray, x: int, y: int, z: int) -> float:
-        v = c + mu + _generator(seed, x, y, z).standard_normal((draws, 8)) @ factor.T
-        n = (v > iso).sum(axis=1)
-        return float(((n > 0) & (n < 8)).mean())
+    near = corners(cells).where((F.array_min("c") <= iso - mu + margin * sigma) & (F.array_max("c") >= iso - mu - margin * sigma))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield _draw(batch, one)
+        for whole in batches:
+            for a in range(0, len(whole), DRAWN):
+                batch = whole.slice(a, DRAWN)
+                x, y, z = (batch.column(batch.schema.get_field_index(c)).to_numpy().astype(np.uint64) for c in "xyz")
+                c = batch.column(batch.schema.get_field_index("c")).flatten().to_numpy(zero_copy_only=False).reshape(-1, 1, 8)
+                n = (c + mu + _normal(seed, x, y, z, draws) @ factor.T > iso).sum(axis=2)
+                p = ((n > 0) & (n < 8)).mean(axis=1)
+                yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(k)) for k in "xyz"] + [pa.array(p)], names=["x", "y", "z", "p"])
 
     return near.mapInArrow(work, "x int, y int, z int, p double")
 
@@ -192,3 +201,17 @@ def components(crossed: DataFrame, g: int) -> DataFrame:
         pairs.append(nodes.where(F.col(axis) < g - 1).select(F.col("node").alias("a"), (F.col("node") + step).alias("b")))
     links = pairs[0].unionByName(pairs[1]).unionByName(pairs[2]).join(nodes.select(F.col("node").alias("b")), "b", "left_semi")
     return connected(nodes.select("node"), links)
+
+
+def surface_parts(orig: DataFrame, deco: DataFrame, likely: DataFrame, g: int) -> DataFrame:
+    """(component, cells, kept, pieces, found, state) of each connected part of the original surface.
+
+    ``orig``, ``deco``: crossed cells; ``likely``: cells with a probability worth showing.  A part is vanished if none of its cells is left,
+    cracked if what is left is in several parts, whole otherwise; ``found`` counts lost cells that are likely.
+    """
+    node = (F.col("x") * g * g + F.col("y") * g + F.col("z")).cast("long").alias("node")
+    after = components(deco, g).select("node", F.col("component").alias("piece"))
+    rows = components(orig, g).join(after, "node", "left").join(likely.select(node, F.lit(True).alias("likely")), "node", "left")
+    out = rows.groupBy("component").agg(F.count("*").alias("cells"), F.count("piece").alias("kept"), F.count_distinct("piece").alias("pieces"), F.count_if(F.col("piece").isNull() & F.col("likely")).alias("found"))
+    state = F.when(F.col("kept") == 0, "vanished").when(F.col("pieces") > 1, "cracked").otherwise("whole")
+    return out.withColumn("state", state)

@@ -141,7 +141,7 @@ def test_packets_round_trip_and_partition_invariance(spark):
     for parts in (1, 4, 17):
         packets = en.encode(en.field_chunks(field.repartition(parts), 16, 8), c, 8, 2, 2)
         sizes.add(packets.agg(F.sum("packed_bytes")).first()[0])
-        back = en.block_cells(en.decode(packets, c, 8, 2, 2), 8, 2, 2)
+        back = en.block_cells(en.decode(packets), 8, 2, 2)
         both = en.pairs(field.withColumn("level", F.lit(0)), back)
         assert both.agg(F.count("*"), F.max(F.abs(F.col("orig") - F.col("deco")))).first()[0] == 4096
         assert both.agg(F.max(F.abs(F.col("orig") - F.col("deco")))).first()[0] <= 0.01
@@ -166,7 +166,7 @@ def test_three_levels_keep_every_cell(spark):
         assert r.n == want[r.level]
         assert r.max_err <= eb * (1 if "repair" not in r.variant else 1.5 + 1e-9)
     for c in (variants[0], variants[4], variants[5]):
-        back = en.block_cells(en.decode(en.encode(table, c, u, nb, nb), c, u, nb, nb), u, nb, nb)
+        back = en.block_cells(en.decode(en.encode(table, c, u, nb, nb)), u, nb, nb)
         n, worst = en.pairs(levels, back).agg(F.count("*"), F.max(F.abs(F.col("orig") - F.col("deco")))).first()
         assert n == sum(want.values()) and worst <= eb
 
@@ -228,3 +228,107 @@ def test_stream_equals_batch(spark):
     want = {tuple(r) for r in st.tumbling(events).collect()}
     got = {tuple(r) for r in st.drained(st.tumbling(st.event_stream(spark, SF)), "t", "complete").collect()}
     assert got == want
+
+
+def test_repair_travels_with_packets(spark):
+    """What packets say is what was fitted; faces between chunks are repaired as in the whole array; measuring and decoding agree."""
+    from fieldmr import repair as rp
+    from fieldmr.queries.workloads import XFORM, with_repair
+
+    g, u, c = 16, 8, with_repair(XFORM).at(200.0)
+    field = fl.nation_modes(spark, SF, g).persist()
+    table = en.field_chunks(field, g, u, per_chunk=3).persist()
+    assert table.count() > 2
+    (a, rate), *_ = en.fit(table, [c]).values()
+    packets = en.encode(table, c, u, 2, 2, {0: a}).persist()
+    assert all(tuple(r.intensity) == a and "200.0" in r.settings for r in packets.collect())
+
+    def dense(blocks):
+        out = np.empty((g, g, g))
+        for r in en.block_cells(blocks, u, 2, 2).collect():
+            out[r.x, r.y, r.z] = r.v
+        return out
+
+    plain, fixed = dense(en.decode(packets)), dense(en.decode_repaired(packets))
+    assert np.allclose(fixed, rp.repair(plain, c.eb, a, 4), atol=1e-9)
+    orig = np.empty((g, g, g))
+    for r in field.collect():
+        orig[r.x, r.y, r.z] = r.v
+    point = en.rd_points(en.evaluate(table, [c], u, 2, 2, 1.0)).first()
+    mse = ((orig - fixed) ** 2).mean()
+    assert point.psnr == pytest.approx(20 * np.log10(np.ptp(orig)) - 10 * np.log10(mse))
+    assert point.n == g**3 and point.packed_bytes == packets.agg(F.sum("packed_bytes")).first()[0]
+    with pytest.raises(ValueError, match="intensities"):
+        en._strength(c, None)
+
+
+def test_repair_leaves_out_what_gains_nothing():
+    from fieldmr import repair as rp
+
+    noise = RNG.normal(size=(8, 8, 8))
+    pairs = [(noise, noise + RNG.normal(size=noise.shape) * 1e-3)]
+    for method in ("coordinate", "grid", "sgd"):
+        assert rp.fit_intensity(pairs, 1.0, 4, rp.CANDIDATES["blockpred"], method, include_zero=True) == (0.0, 0.0, 0.0)
+
+
+def test_padded_blocks_repair_like_the_whole():
+    from fieldmr import repair as rp
+
+    a = RNG.normal(size=(12, 12, 12))
+    want = rp.repair(a, 1.0, (0.3, 0.2, 0.1), 4)
+    wide = np.pad(a, 1, constant_values=np.nan)
+    blocks = np.stack([wide[x : x + 6, y : y + 6, z : z + 6] for x, y, z in product((0, 4, 8), repeat=3)])
+    got = rp.repair_padded(blocks, 1.0, (0.3, 0.2, 0.1), 4)
+    assert np.allclose(got, np.stack([want[x : x + 4, y : y + 4, z : z + 4] for x, y, z in product((0, 4, 8), repeat=3)]))
+
+
+def test_levels_by_histogram_are_exact_under_ties(spark):
+    ranges = spark.createDataFrame([(i, int(v)) for i, v in enumerate(RNG.integers(0, 5, 300))], "key long, rng long")
+    for shares in ([50, 50], [15, 31, 54], [1, 98, 1], [100, 0], [0, 100]):
+        want = {(r.key, r.level) for r in h.level_of_rank(ranges, shares).collect()}
+        for buckets in (1, 3, 4096):
+            assert {(r.key, r.level) for r in h.level_of_rank_scalable(ranges, shares, buckets).collect()} == want
+    assert h.level_of_rank_scalable(ranges.limit(0), [50, 50]).count() == 0
+
+
+def test_tiled_filters_equal_whole_ones(spark):
+    from fieldmr import filters as fi
+
+    a = RNG.normal(size=(12, 12, 12))
+    field = cells(spark, a)
+    kappa = fi.mean_step(field)
+    assert kappa == pytest.approx(np.mean([np.abs(np.diff(a, axis=k)).mean() for k in range(3)]))
+    for name, work in fi.FILTERS.items():
+        run = (lambda x: fi.diffusion(x, kappa=kappa)) if name == "diffusion" else work
+        got = np.empty_like(a)
+        for r in fi.tiled(field, 12, run, fi.REACH[name], 5).collect():
+            got[r.x, r.y, r.z] = r.v
+        assert np.allclose(got, run(a)), name
+
+
+def test_spectrum_of_a_mesh_is_that_of_its_flat_form(spark):
+    field = fl.analytic(spark, 16, "wave")
+    table = en.field_chunks(field, 16, 8, percent=50)
+    from fieldmr.queries.workloads import table_cells
+
+    flat = h.flatten_nearest(table_cells(table, 16, 8)).drop("level")
+    want = {r.k: r.p for r in me.power_spectrum(flat, 16, kmax=4).collect()}
+    blocks = en.decode(en.encode(table, mrinterp(1e-9), 8, 2, 2))
+    got = {r.k: r.p for r in me.power_spectrum_blocks(blocks, 16, 2, 2, kmax=4).collect()}
+    assert got == pytest.approx(want, rel=1e-4)
+
+
+def test_surface_parts(spark):
+    grid = lambda rows: spark.createDataFrame(rows, "x int, y int, z int")
+    bar = [(0, 0, k) for k in range(5)]
+    orig, deco = grid([*bar, (4, 4, 4), (6, 6, 6)]), grid([r for r in bar if r[2] != 2] + [(6, 6, 6)])
+    got = {(r.cells, r.kept, r.pieces, r.found, r.state) for r in un.surface_parts(orig, deco, grid([(4, 4, 4), (0, 0, 2)]), 8).collect()}
+    assert got == {(5, 4, 2, 1, "cracked"), (1, 0, 0, 1, "vanished"), (1, 1, 1, 0, "whole")}
+
+
+def test_draws_do_not_depend_on_partitions(spark):
+    field = fl.analytic(spark, 8, "wave")
+    runs = [sorted(tuple(r) for r in un.mc_cells(field.repartition(n), 0.0, 0.05, 0.4, 64).collect()) for n in (1, 5)]
+    assert runs[0] == runs[1] and len(runs[0]) > 0
+    exact = {(r.x, r.y, r.z): r.p for r in un.prob_cells(field, 0.0, 0.05, 0.4).collect()}
+    assert np.mean([abs(p - exact[x, y, z]) for x, y, z, p in runs[0]]) < 0.05
