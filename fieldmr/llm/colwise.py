@@ -1,101 +1,261 @@
 """Column-wise construction of the Burrows-Wheeler transform and common prefixes of a string collection.
 
-All strings grow together from their right ends: round j inserts the suffix of length j of every
-string.  A suffix is a symbol put before the suffix inserted for the same string a round earlier, so its place
-follows from the stable order of the transform's symbols, and its common prefix with a neighbour is
-one more than the least common prefix between their predecessors.  The transform and the common
-prefixes are read and rewritten front to back once a round, as in the published
-external-memory form; here each collection is one bucket of bounded size, so both arrays stay in memory.
+All strings grow together from their right ends: round j inserts one symbol per string, that is the suffix of
+length j.  A suffix is a symbol put before the suffix inserted for the same string a round earlier, so its place
+follows from the symbols before that one in the transform, and its common prefix with a neighbour is
+one more than the least common prefix between their predecessors.
+
+Transform and common prefixes are files.  A round reads both front to back, merges the new suffixes in and
+writes both anew; each block that is written is scanned at once for the places of the next round.  Memory holds one block,
+and a few numbers per string, however large the collection is.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from pathlib import Path
+
 import numpy as np
 
+#: Suffixes that are read, merged and written together.
+BLOCK = 1 << 17
+#: Above every common prefix.
+_NONE = np.uint8(255)
+
+
+class Files:
+    """The transform and the common prefixes, one byte a suffix each, on disk."""
+
+    def __init__(self, folder: Path, name: int):
+        self.symbols, self.prefixes, self.size = open(folder / f"symbols.{name}", "w+b"), open(folder / f"prefixes.{name}", "w+b"), 0
+
+    def read(self, block: int = BLOCK) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        self.symbols.seek(0), self.prefixes.seek(0)
+        for a in range(0, self.size, block):
+            n = min(block, self.size - a)
+            yield np.frombuffer(self.symbols.read(n), np.uint8), np.frombuffer(self.prefixes.read(n), np.uint8)
+
+    def write(self, blocks: Iterator[tuple[np.ndarray, np.ndarray]]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Write the blocks over what was there, and hand them on."""
+        self.symbols.seek(0), self.prefixes.seek(0)
+        self.size = 0
+        for bwt, lcp in blocks:
+            self.symbols.write(bwt), self.prefixes.write(lcp)
+            self.size += len(bwt)
+            yield bwt, lcp
+
+    def close(self) -> None:
+        self.symbols.close(), self.prefixes.close()
+
+
+class Runs:
+    """Runs of equal symbols in a block, and their order by symbol."""
+
+    def __init__(self, bwt: np.ndarray):
+        edge = np.flatnonzero(bwt[1:] != bwt[:-1])
+        self.start = np.empty(len(edge) + 1, dtype=np.int64)
+        self.start[0] = 0
+        np.add(edge, 1, out=self.start[1:])
+        self.tail = np.append(edge, len(bwt) - 1)
+        self.symbol = bwt[self.start]
+        self.order = np.argsort(self.symbol, kind="stable")
+        many = np.bincount(self.symbol, minlength=256)
+        #: symbols that occur, where their runs begin and end in the order, and how often each symbol occurs
+        self.here = np.flatnonzero(many)
+        self.stop = np.cumsum(many)[self.here]
+        self.begin = self.stop - many[self.here]
+        until = np.zeros(len(self.start) + 1, dtype=np.int64)
+        np.cumsum((self.tail - self.start + 1)[self.order], out=until[1:])
+        self.count = np.zeros(256, dtype=np.int64)
+        self.count[self.here] = until[self.stop] - until[self.begin]
+        #: by symbol, occurrences in the order before its own
+        self.before = np.zeros(256, dtype=np.int64)
+        self.before[self.here] = until[self.begin]
+        #: occurrences before each run, those of smaller symbols included, less where the run begins
+        self.shift = np.empty(len(self.start), dtype=np.int64)
+        self.shift[self.order] = until[:-1]
+        self.shift -= self.start
+
+
+def _least_before(values: np.ndarray, stops: np.ndarray) -> np.ndarray:
+    """The least of values[:stop] for each stop, for few stops."""
+    order = np.argsort(stops)
+    edges = np.concatenate(([0], stops[order]))
+    parts = np.minimum.reduceat(np.append(values[: edges[-1]], _NONE), edges[:-1])
+    parts[edges[:-1] == edges[1:]] = _NONE
+    out = np.empty(len(stops), dtype=np.uint8)
+    out[order] = np.minimum.accumulate(parts)
+    return out
+
 
-def build(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
-    """(bwt, lcp, n) of the strings data[starts : starts + lengths], of 1 to 254 bytes each.
+def _scan(blocks: Iterator[tuple[np.ndarray, np.ndarray]], at: np.ndarray, base: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Where the suffixes of the next round go, from one reading of the files.
 
-    Symbols are byte ranks from 1, 0 marks a string's start.  lcp[p] is the common prefix of the suffixes
-    at p - 1 and p.  The first n suffixes are the empty ones, in the order of the strings.
+    ``at``: ascending places of the suffixes that grow; ``base``: by symbol, the place of its first suffix.
+    Returns place, common prefix and the number in ``at`` (-1: an old suffix right after a new one), by place.
+    """
+    following = base.copy()  # by symbol, the place of its next occurrence
+    reach = np.full(256, _NONE)  # least common prefix since the last occurrence
+    awaited = np.zeros(256, dtype=bool)  # the last occurrence grows, so the next one has a new neighbour
+    found: list[tuple[np.ndarray, ...]] = []
+    start = first = 0
+    for bwt, lcp in blocks:
+        last = int(np.searchsorted(at, start + len(bwt)))
+        own = at[first:last] - start
+        runs = Runs(bwt)
+        order, begin, stop, here = runs.order, runs.begin, runs.stop, runs.here
+        number = np.full(len(bwt) + 1, -2, dtype=np.int32)  # -2: neither new nor touched
+        number[own + 1] = -1  # right after one that grows; at the head of another symbol's run it is taken back
+        number[runs.start] = -2
+        number[own] = np.arange(first, last, dtype=np.int32)
+        # heads of runs: touched if they grow, or if the run before with the same symbol ends in one that grows
+        tail = number[runs.tail] >= 0
+        after = np.empty(len(order), dtype=bool)
+        after[1:] = tail[order[:-1]]
+        after[begin] = awaited[here]
+        head_number = number[runs.start]
+        heads = np.flatnonzero(after | (head_number[order] >= 0))  # in the order by symbol
+        run = order[heads]
+        heads = heads[runs.symbol[run] > 0]
+        run = order[heads]
+        lead = np.zeros(len(order) + 1, dtype=bool)
+        lead[begin] = True
+        lead = lead[heads]
+        # they reach back to the occurrence before, or to earlier blocks
+        least = lcp[runs.start[run]]
+        low = runs.tail[order[heads - 1]] + 1
+        far = np.flatnonzero((low < runs.start[run]) & ~lead)
+        if len(far):
+            by = far[np.argsort(low[far])[::-1]]
+            cuts = np.empty(2 * len(by), dtype=np.int64)
+            cuts[::2], cuts[1::2] = low[by], runs.start[run[by]]
+            least[by] = np.minimum(least[by], np.minimum.reduceat(lcp, cuts)[::2])
+        lead_at = np.flatnonzero(lead)
+        symbol = runs.symbol[run[lead_at]]
+        least[lead_at] = np.minimum(np.minimum(least[lead_at], _least_before(lcp, runs.start[order[begin]])[np.searchsorted(here, symbol)]), reach[symbol])
+        prefix = least + np.uint8(1)
+        prefix[lead_at[following[symbol] == base[symbol]]] = 0
+        to = following - runs.before  # what turns the rank among all occurrences of the block into a place
+        found.append((runs.shift[run] + runs.start[run] + to[runs.symbol[run]], prefix, head_number[run]))
+        # the others: their own common prefix tells
+        number[runs.start] = -2
+        number[-1] = -2
+        inner = np.flatnonzero(number > -2)
+        symbol = bwt[inner]
+        proper = symbol > 0
+        inner, symbol = inner[proper], symbol[proper]
+        run = np.searchsorted(runs.start, inner, side="right") - 1
+        found.append((runs.shift[run] + inner + to[symbol], lcp[inner] + np.uint8(1), number[inner]))
+        reach = np.minimum(reach, lcp.min())
+        reach[here] = _least_before(lcp[::-1], len(lcp) - 1 - runs.tail[order[stop - 1]])
+        awaited[here] = tail[order[stop - 1]]
+        following += runs.count
+        start, first = start + len(bwt), last
+    place, prefix, number = (np.concatenate(x) for x in zip(*found, strict=True))
+    order = np.argsort(place)
+    return place[order], prefix[order], number[order]
+
+
+def _merge(blocks: Iterator[tuple[np.ndarray, np.ndarray]], size: int, place: np.ndarray, prefix: np.ndarray, fresh: np.ndarray, symbols: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """The files with the new suffixes put in; ``size``: how many there were."""
+    into = place[fresh]
+    before = into - np.arange(len(into))  # old suffixes before each new one
+    start, put, told = 0, 0, 0
+    for bwt, lcp in blocks:
+        stop = start + len(bwt)
+        upto = len(into) if stop == size else int(np.searchsorted(before, stop))
+        first, more = start + put, upto - put
+        new_bwt, new_lcp = np.empty(len(bwt) + more, dtype=np.uint8), np.empty(len(bwt) + more, dtype=np.uint8)
+        old = np.ones(len(new_bwt), dtype=bool)
+        own = into[put:upto] - first
+        old[own] = False
+        new_bwt[old], new_lcp[old] = bwt, lcp
+        new_bwt[own] = symbols[put:upto]
+        to = int(np.searchsorted(place, first + len(new_bwt)))
+        new_lcp[place[told:to] - first] = prefix[told:to]
+        yield new_bwt, new_lcp
+        start, put, told = stop, upto, to
+
+
+def build(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray, folder: Path, block: int = BLOCK) -> Files:
+    """Files of the strings data[starts : starts + lengths], of 1 to 254 bytes each and of at most 255 different bytes.
+
+    Symbols are byte ranks from 1, 0 marks a string's start.  The common prefix at p is that of the suffixes
+    at p - 1 and p.  The first suffixes are the empty ones, in the order of the strings.
     """
     n = len(starts)
     used = np.zeros(256, dtype=bool)
     used[data] = True
-    code = np.cumsum(used).astype(np.uint8)
-    if n == 0:
-        return np.empty(0, np.uint8), np.empty(0, np.uint8), 0
-    text = code[data]
+    text = np.cumsum(used).astype(np.uint8)[data]
     ends = starts + lengths
-    bwt = text[ends - 1]
-    lcp = np.zeros(n, dtype=np.uint8)
-    at = np.arange(n)  # place of each growing string's last inserted suffix, ascending
-    who = np.arange(n)  # the strings at those places
-    for j in range(1, int(lengths.max()) + 1):
-        order = np.argsort(bwt, kind="stable")
-        done = int(np.count_nonzero(bwt == 0))
-        order = order[done:]
-        grows = np.zeros(len(bwt), dtype=bool)
-        grows[at] = True
-        fresh = grows[order]
-        places = np.flatnonzero(fresh)
-        parents = order[places]
-        strings = who[np.searchsorted(at, parents)]
+    at, who = np.arange(n), np.arange(n)  # place and string of the suffixes that grow
+    fresh, place, prefix = np.ones(n, dtype=bool), at, np.zeros(n, dtype=np.uint8)
+    symbols = text[ends - 1]
+    counts = np.bincount(symbols, minlength=256)
+    files, other, size = Files(folder, 0), Files(folder, 1), 0
+    for j in range(1, int(lengths.max(initial=0)) + 2):
+        old = files.read(block) if size else iter([(symbols[:0], symbols[:0])])
+        files, other = other, files
+        rewritten = files.write(_merge(old, size, place, prefix, fresh, symbols))
+        size += len(symbols)
+        if not len(at):
+            for _ in rewritten:
+                pass
+            break
+        proper = np.where(np.arange(256) > 0, counts, 0)
+        place, prefix, number = _scan(rewritten, at, n + np.cumsum(proper) - proper)
+        fresh = number >= 0
+        strings = who[number[fresh]]
         left = lengths[strings] > j
         symbols = np.zeros(len(strings), dtype=np.uint8)
         symbols[left] = text[ends[strings[left]] - 1 - j]
-        # common prefixes of the new suffixes and of those right after them
-        touched = fresh.copy()
-        touched[1:] |= fresh[:-1]
-        rows = np.flatnonzero(touched)
-        rows = rows[rows > 0]
-        rows = rows[bwt[order[rows]] == bwt[order[rows - 1]]]
-        low, high = order[rows - 1] + 1, order[rows] + 1
-        by = np.argsort(-low, kind="stable")
-        cuts = np.empty(2 * len(rows), dtype=np.int64)
-        cuts[::2], cuts[1::2] = low[by], high[by]
-        least = np.minimum.reduceat(np.append(lcp, np.uint8(255)), cuts)[::2] if len(rows) else np.empty(0, np.uint8)
-        new_bwt = np.empty(n + len(order), dtype=np.uint8)
-        new_lcp = np.empty(n + len(order), dtype=np.uint8)
-        new_bwt[:n], new_lcp[:n] = bwt[:n], lcp[:n]
-        body, prefix = new_bwt[n:], new_lcp[n:]
-        kept = ~fresh
-        body[kept], prefix[kept] = bwt[n:], lcp[n:]
-        body[places], prefix[places] = symbols, 0
-        after = np.flatnonzero(touched)
-        prefix[after] = 0
-        prefix[rows[by]] = least + np.uint8(1)
-        bwt, lcp = new_bwt, new_lcp
-        at, who = places[left] + n, strings[left]
-        if not len(at):
-            break
-    return bwt, lcp, n
+        counts = counts + np.bincount(symbols, minlength=256)
+        at, who = place[fresh][left], strings[left]
+    other.close()
+    return files
+
 
+def windows_at(files: Files, n: int, lengths: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray]:
+    """(place of every window of ``span`` symbols, string after string; group of every place).
 
-def places(bwt: np.ndarray, n: int, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(string, start offset) of the suffix at each place of the transform, by walking from the empty suffixes."""
-    order = np.argsort(bwt, kind="stable")[int(np.count_nonzero(bwt == 0)) :]
-    to = np.full(len(bwt), -1, dtype=np.int64)
-    to[order] = np.arange(len(order)) + n
-    string, offset = np.empty(len(bwt), dtype=np.int64), np.empty(len(bwt), dtype=np.int64)
-    at, who, step = np.arange(n), np.arange(n), 0
+    Suffixes of one group are neighbours with common prefixes of at least the span.  The places follow from
+    a walk along the transform from the empty suffixes; it takes four bytes a suffix.
+    """
+    counts = np.zeros(256, dtype=np.int64)
+    for bwt, _ in files.read():
+        counts += np.bincount(bwt, minlength=256)
+    counts[0] = 0
+    to, group = np.full(files.size, -1, dtype=np.int32), np.empty(files.size, dtype=np.int32)
+    following, start, groups = n + np.cumsum(counts) - counts, 0, 0
+    for bwt, lcp in files.read():
+        runs, stop = Runs(bwt), start + len(bwt)
+        shift = runs.shift + (following - runs.before)[runs.symbol]
+        to[start:stop] = np.where(bwt > 0, np.repeat(shift, runs.tail - runs.start + 1) + np.arange(len(bwt)), -1)
+        following += runs.count
+        group[start:stop] = groups + np.cumsum(lcp < span)
+        start, groups = stop, int(group[stop - 1])
+    windows = np.maximum(lengths - span + 1, 0)
+    end = np.cumsum(windows)
+    where = np.empty(int(windows.sum()), dtype=np.int32)
+    at, who, length = np.arange(n), np.arange(n), 0
     while len(at):
-        string[at], offset[at] = who, lengths[who] - step
+        if length >= span:
+            where[end[who] - 1 - (length - span)] = at
         at = to[at]
         alive = at >= 0
-        at, who, step = at[alive], who[alive], step + 1
-    return string, offset
-
-
-def shared_least(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray, owner: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(string, offset, least owner) of every run of ``span`` bytes: the least ``owner`` of a string that holds the same run."""
-    bwt, lcp, n = build(data, starts, lengths)
-    string, offset = places(bwt, n, lengths)
-    full = np.flatnonzero(lengths[string] - offset >= span)
-    if not len(full):
-        return string[full], offset[full], owner[string[full]]
-    # suffixes with equal runs are neighbours with common prefixes of at least the span
-    group = np.cumsum(lcp < span)[full]
-    first = np.flatnonzero(np.concatenate(([True], group[1:] != group[:-1])))
-    least = np.minimum.reduceat(owner[string[full]], first)
-    return string[full], offset[full], np.repeat(least, np.diff(np.append(first, len(full))))
+        at, who, length = at[alive], who[alive], length + 1
+    return where, group
+
+
+def shared_least(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray, owner: np.ndarray, span: int, folder: Path, block: int = BLOCK) -> np.ndarray:
+    """For every run of ``span`` bytes, string after string: the least ``owner`` of a string that holds the same run."""
+    windows = np.maximum(lengths - span + 1, 0)
+    if not windows.any():
+        return owner[:0]
+    files = build(data, starts, lengths, folder, block)
+    where, group = windows_at(files, len(starts), lengths, span)
+    files.close()
+    own = group[where]
+    least = np.full(int(own.max()) + 1, np.iinfo(owner.dtype).max, dtype=owner.dtype)
+    np.minimum.at(least, own, np.repeat(owner, windows))
+    return least[own]

@@ -1,20 +1,25 @@
 """Removal of byte strings that repeat across documents, by column-wise transforms of anchored pieces.
 
-Every run of ``SPAN`` bytes has an anchor, the least hash of its grams; equal runs have equal anchors.
+Every run of ``SPAN`` bytes has an anchor, its gram of least hash, the leftmost of equal ones; equal runs have equal anchors at the same place.
 Consecutive runs with one anchor make a piece of text.  Anchors that only one document has
 need no further look.  Pieces of the others are dealt into buckets by anchor, and in each bucket a column-wise
-construction (``colwise``) sorts all suffixes of its distinct pieces with their common prefixes.  Neighbours
-that share ``SPAN`` bytes form a group; the least document of a group keeps the run, all others lose it.
+construction (``colwise``) sorts all suffixes of its distinct pieces with their common prefixes, in files that are read and
+rewritten front to back.  Neighbours that share ``SPAN`` bytes form a group; the least document of a group keeps the
+run, all others lose it.
 
-Documents travel in packs of a few MB.  A pack sends each distinct value or piece once, however many of its
+Documents travel in packs of a few MB.  A pack sends each distinct anchor or piece once, however many of its
 documents hold it, so what a bucket gathers from a text that a third of all documents share is one piece per pack.
-A pack is one compressed row of a written table, so no step sorts or deals out single documents.
+An anchor that very many documents have, each in a text of its own, does not go to one bucket: its runs are dealt one by one, by
+a hash of all their bytes.  A pack is one compressed row of a written table, so no step sorts or deals out single documents.
 """
 
 from __future__ import annotations
 
 import hashlib
+import os
+import tempfile
 from collections.abc import Iterator
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -25,76 +30,135 @@ from pyspark.sql import functions as F
 
 from . import textbytes as tb
 from .colwise import shared_least
-from .runtime import broadcast_if_small, materialise
+from .runtime import broadcast_if_small, drop_table, materialise
 
 SPAN = 50
-GRAM = 20
-#: Runs that one piece holds at most; it bounds the rounds of a construction.
-RUNS = 48
+GRAM = 28
+#: Runs that one piece holds at most, as a gram at one place is in no more; it bounds the rounds of a construction.
+RUNS = SPAN - GRAM + 1
 #: Bytes of text per pack and per bucket, about.
 PACK, BUCKET = 4 << 20, 4 << 20
-#: Strings that are sorted together, about; few enough for a processor's cache.
-COLLECTION = 3000
-MOST_BUCKETS = 1 << 16
+#: Documents from which on the runs of an anchor are dealt one by one.
+HOT = 20_000
+#: Runs that are hashed together, and pieces that are; few enough for a processor's cache.
+STRETCH, BATCH = 1 << 15, 1 << 12
 
 _BASE = 0x9E3779B97F4A7C15
-_POWERS: dict[int, np.ndarray] = {}
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse, for at least n places."""
-    if not _POWERS or len(_POWERS[0]) < n:
-        size = 1 << max(16, (n - 1).bit_length())
-        for key, base in ((0, _BASE), (1, pow(_BASE, -1, 1 << 64))):
-            out = np.ones(size, dtype=np.uint64)
-            have = 1
-            while have < size:
-                out[have : 2 * have] = out[:have] * np.uint64(pow(base, have, 1 << 64))
-                have *= 2
-            _POWERS[key] = out
-    return _POWERS[0], _POWERS[1]
-
-
-def anchored(raw: np.ndarray, span: int = SPAN, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(first run, number of runs, anchor) of the pieces of one document's bytes."""
-    if len(raw) < span:
-        return np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.uint64)
-    up, down = _powers(len(raw))
-    terms = up[: len(raw)] * (raw.astype(np.uint64) + np.uint64(1))
-    sums = np.empty(len(raw) + 1, dtype=np.uint64)
-    sums[0] = 0
-    np.cumsum(terms, out=sums[1:])
-    grams = tb.mix64((sums[gram:] - sums[:-gram]) * down[: len(raw) - gram + 1])
-    least = tb.sliding_min(grams, span - gram + 1)
-    edge = np.empty(len(least), dtype=bool)
-    edge[0] = True
-    np.not_equal(least[1:], least[:-1], out=edge[1:])
-    first = np.flatnonzero(edge)
-    runs = np.diff(np.append(first, len(least)))
-    anchor = least[first]
-    if runs.max() > RUNS:  # periodic text
-        parts = -(-runs // RUNS)
-        which = np.repeat(np.arange(len(first)), parts)
-        step = np.arange(len(which)) - np.repeat(np.cumsum(parts) - parts, parts)
-        first, left, anchor = first[which] + step * RUNS, runs[which] - step * RUNS, anchor[which]
-        runs = np.minimum(left, RUNS)
-    return first, runs, anchor
-
-
-_PACK = pa.schema([("pack", pa.int64()), ("ids", pa.binary()), ("body", pa.binary())])
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    return np.array([pow(base, k, 1 << 64) for k in range(n)], dtype=np.uint64)
+
+
+_UP, _DOWN = _powers(_BASE, STRETCH + SPAN), _powers(pow(_BASE, -1, 1 << 64), STRETCH + SPAN)
+#: The low bits of a gram's hash, which hold its place in a stretch while anchors are sought: of equal grams the leftmost is the anchor.
+_PLACE = np.uint64(0xFFFF)
+
+
+def _hashed(sums: np.ndarray) -> np.ndarray:
+    return tb.mix64(sums) | _PLACE
+
+
+def anchored(data: np.ndarray, offsets: np.ndarray, span: int = SPAN, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(document, number of runs, distance of the anchor from the first run) of the pieces of all documents.
+
+    The pieces of a document lie one after another, from its first run to its last.
+    """
+    found: list[tuple[np.ndarray, ...]] = []
+    width = span - gram + 1
+    ends = offsets[1:] - span  # a document's last run
+    for a in range(0, len(data) - span + 1, STRETCH):
+        raw = data[a : a + STRETCH + span - 1]
+        sums = np.zeros(len(raw) + 1, dtype=np.uint64)
+        np.cumsum(_UP[: len(raw)] * (raw.astype(np.uint64) + np.uint64(1)), out=sums[1:])
+        grams = _hashed((sums[gram:] - sums[:-gram]) * _DOWN[: len(raw) - gram + 1])
+        grams -= _PLACE - np.arange(len(grams), dtype=np.uint64)
+        least = tb.sliding_min(grams, width)
+        edge = np.empty(len(least), dtype=bool)
+        edge[0] = True
+        np.not_equal(least[1:], least[:-1], out=edge[1:])
+        # documents begin new pieces, and runs end with them
+        d, e = np.searchsorted(offsets, (a, a + len(least)))
+        edge[offsets[d:e] - a] = True
+        first = np.flatnonzero(edge)
+        doc = np.searchsorted(offsets, a + first, side="right") - 1
+        until = np.minimum(np.append(first[1:], len(least)), ends[doc] + 1 - a)
+        runs = until - first
+        real = runs > 0
+        first, doc, runs = first[real], doc[real], runs[real]
+        found.append((doc, runs.astype(np.uint8), ((least[first] & _PLACE).astype(np.int64) - first).astype(np.uint8)))
+    if not found:
+        return np.empty(0, np.int64), np.empty(0, np.uint8), np.empty(0, np.uint8)
+    return tuple(np.concatenate(x) for x in zip(*found, strict=True))
+
+
+def _anchor_hashes(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Hashes of the grams at some places, the same as those that anchors are chosen by."""
+    out = np.empty(len(at), dtype=np.uint64)
+    if len(at):
+        grams = np.lib.stride_tricks.sliding_window_view(data, GRAM)
+        for a in range(0, len(at), BATCH):
+            out[a : a + BATCH] = _hashed(((grams[at[a : a + BATCH]].astype(np.uint64) + np.uint64(1)) * _UP[:GRAM]).sum(axis=1, dtype=np.uint64))
+    return out
+
+
+def _spread(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """All places of some strings, one string after another."""
+    return np.repeat(starts - (np.cumsum(lengths) - lengths), lengths) + np.arange(int(lengths.sum()))
+
+
+def _string_hashes(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    out = np.empty(len(starts), dtype=np.uint64)
+    for a in range(0, len(starts), BATCH):
+        n = lengths[a : a + BATCH]
+        begin = np.cumsum(n) - n
+        terms = (data[_spread(starts[a : a + BATCH], n)].astype(np.uint64) + np.uint64(1)) * _UP[_spread(np.zeros_like(n), n)]
+        out[a : a + BATCH] = tb.mix64(np.add.reduceat(terms, begin) + n.astype(np.uint64))
+    return out
+
+
+def _alike(data: np.ndarray, starts: np.ndarray, to: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Which strings equal byte for byte those of the same length that start at ``to``."""
+    out = np.ones(len(starts), dtype=bool)
+    look = np.flatnonzero(starts != to)
+    for a in range(0, len(look), BATCH):
+        own = look[a : a + BATCH]
+        n = lengths[own]
+        same = data[_spread(starts[own], n)] == data[_spread(to[own], n)]
+        out[own] = np.logical_and.reduceat(same, np.cumsum(n) - n)
+    return out
+
+
+def distinct(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(number of its distinct string for each string, one string of each number); strings are of one byte or more.
+
+    Equal hashes only propose; bytes decide.
+    """
+    if not len(starts):
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    _, first, of = np.unique(_string_hashes(data, starts, lengths), return_index=True, return_inverse=True)
+    same = lengths[first[of]] == lengths
+    same[same] = _alike(data, starts[same], starts[first[of]][same], lengths[same])
+    other = np.flatnonzero(~same)
+    of[other] = len(first) + np.arange(len(other))
+    return of, np.append(first, other)
+
+
+_PACK = pa.schema([("pack", pa.int64()), ("body", pa.binary())])
 
 
 def _packs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Documents as rows of about ``PACK`` bytes of text, numbered apart from those of all other tasks."""
+    """Documents and their pieces as rows of about ``PACK`` bytes of text, numbered apart from those of all other tasks."""
     task, number = TaskContext.get().partitionId(), 0
     ids: list[np.ndarray] = []
     texts: list[tuple[np.ndarray, np.ndarray]] = []
     held = 0
 
     def row() -> pa.RecordBatch:
-        lens = np.concatenate([t[1] for t in texts])
-        body = _pack_z(lens, np.concatenate([t[0] for t in texts]))
-        return pa.RecordBatch.from_arrays([pa.array([(task << 32) | number]), pa.array([np.concatenate(ids).tobytes()], pa.binary()), pa.array([body], pa.binary())], schema=_PACK)
+        data, sizes = np.concatenate([t[0] for t in texts]), np.concatenate([t[1] for t in texts])
+        doc, runs, distance = anchored(data, np.concatenate(([0], np.cumsum(sizes))))
+        body = _pack_z(np.concatenate(ids), sizes, data, np.bincount(doc, minlength=len(sizes)), runs, distance)
+        return pa.RecordBatch.from_arrays([pa.array([(task << 32) | number]), pa.array([body], pa.binary())], schema=_PACK)
 
     for batch in batches:
         own = batch.column(batch.schema.get_field_index("doc_id"))
@@ -112,51 +176,41 @@ def _packs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 class Pack:
     """Documents of one pack and their pieces."""
 
-    def __init__(self, number: int, ids: bytes, body: bytes):
-        self.number, self.ids = number, np.frombuffer(ids, np.int64)
-        lens, self.data = _unpack_z(body, np.int64, np.uint8)
-        self.offsets = np.concatenate(([0], np.cumsum(lens)))
-        pieces = [anchored(self.raw(d)) for d in range(len(self.ids))]
-        self.counts = np.array([len(p[0]) for p in pieces], dtype=np.int64)
-        join = lambda k, t: np.concatenate([p[k] for p in pieces]) if pieces else np.empty(0, t)
-        self.first, self.runs, self.anchor = join(0, np.int64), join(1, np.int64), join(2, np.uint64)
-        self.doc = np.repeat(np.arange(len(self.ids)), self.counts)
+    def __init__(self, number: int, body: bytes, pieces: bool = True):
+        self.number = number
+        self.ids, sizes, self.data, counts, runs, distance = _unpack_z(body, np.int64, np.int64, np.uint8, np.int64, np.uint8, np.uint8)
+        self.offsets = np.concatenate(([0], np.cumsum(sizes)))
+        if not pieces:
+            return
+        self.doc = np.repeat(np.arange(len(self.ids)), counts)
+        self.runs = runs.astype(np.int64)
+        before = np.cumsum(self.runs) - self.runs
+        lead = np.cumsum(counts) - counts
+        own = counts > 0
+        self.start = before + np.repeat(self.offsets[:-1][own] - before[lead[own]], counts[own])
+        self.anchor = self.start + distance
 
     @staticmethod
-    def of(table: pa.Table) -> Pack:
-        return Pack(*(table.column(c)[0].as_py() for c in ("pack", "ids", "body")))
+    def of(table: pa.Table, pieces: bool = True) -> Pack:
+        return Pack(*(table.column(c)[0].as_py() for c in ("pack", "body")), pieces)
 
     def raw(self, d: int) -> np.ndarray:
         return self.data[self.offsets[d] : self.offsets[d + 1]]
 
-    def distinct(self, known: np.ndarray) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
-        """Pieces with an anchor in ``known`` (sorted): their numbers, their distinct text's number, and those texts."""
-        at = np.flatnonzero(_within(self.anchor, known))
-        start = self.offsets[self.doc[at]] + self.first[at]
-        stop = start + self.runs[at] + SPAN - 1
-        view, seen, of = memoryview(self.data.tobytes()), {}, np.empty(len(at), dtype=np.int64)
-        for i, (a, b) in enumerate(zip(start.tolist(), stop.tolist(), strict=True)):
-            of[i] = seen.setdefault(bytes(view[a:b]), len(seen))
-        return at, of, list(seen)
-
-
-def _within(x: np.ndarray, ordered: np.ndarray) -> np.ndarray:
-    if not len(ordered) or not len(x):
-        return np.zeros(len(x), dtype=bool)
-    at = np.searchsorted(ordered, x)
-    at[at == len(ordered)] = 0
-    return ordered[at] == x
+    def keys(self, bits: int) -> np.ndarray:
+        return _keys(_anchor_hashes(self.data, self.anchor), bits)
 
 
 def _keys(anchor: np.ndarray, bits: int) -> np.ndarray:
-    """Bucket (the first bits of an anchor) and the next 32 bits; collisions only cost a needless look."""
+    """Bucket (the first bits) and the next 32 bits of a second hash, as least hashes are small ones; collisions only cost a needless look."""
+    anchor = tb.mix64(anchor + np.uint64(_BASE))
     return ((anchor >> np.uint64(64 - bits)) << np.uint64(32)) | (anchor >> np.uint64(32 - bits)) & np.uint64(0xFFFFFFFF)
 
 
 def _cut(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Begin and end of the runs of equal values."""
     begin = np.flatnonzero(np.concatenate(([True], values[1:] != values[:-1]))) if len(values) else np.empty(0, np.int64)
-    return begin, np.append(begin[1:], len(values))
+    return begin, np.append(begin[1:], len(values))[: len(begin)]
 
 
 _PACKED = "bucket int, pack long, body binary"
@@ -171,7 +225,7 @@ def _unpack_z(body: bytes, *kinds) -> list[np.ndarray]:
     raw = zstandard.ZstdDecompressor().decompress(body)
     sizes, at, out = np.frombuffer(raw, np.int64, len(kinds)), 8 * len(kinds), []
     for size, kind in zip(sizes.tolist(), kinds, strict=True):
-        out.append(np.frombuffer(raw[at : at + size], dtype=kind))
+        out.append(np.frombuffer(raw, dtype=kind, offset=at, count=size // np.dtype(kind).itemsize))
         at += size
     return out
 
@@ -181,154 +235,145 @@ def _rows(rows: list[tuple[int, int, bytes]]) -> pa.Table:
 
 
 def _offer(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.RecordBatch]:
-    """A pack's distinct anchors by bucket, and which of them two of its documents have."""
+    """A pack's distinct anchors by bucket, and how many of its documents have each (65535: that or more)."""
     for batch in batches:
         for row in batch.to_pylist():
-            pack = Pack(**{"number": row["pack"], "ids": row["ids"], "body": row["body"]})
-            key, doc = _keys(pack.anchor, bits), pack.doc
+            pack = Pack(row["pack"], row["body"])
+            key, doc = pack.keys(bits), pack.doc
             order = np.argsort(key, kind="stable")  # documents stay ascending
             key, doc = key[order], doc[order]
-            begin, end = _cut(key)
-            many = doc[begin] != doc[end - 1]
+            begin, _ = _cut(key)
+            fresh = np.concatenate(([True], (doc[1:] != doc[:-1]) | (key[1:] != key[:-1]))) if len(key) else np.empty(0, bool)
+            many = np.minimum(np.add.reduceat(fresh, begin, dtype=np.int64), 65535).astype(np.uint16) if len(key) else np.empty(0, np.uint16)
             bucket, short = (key[begin] >> np.uint64(32)).astype(np.int64), key[begin].astype(np.uint32)
-            rows = [(int(bucket[a]), pack.number, _pack_z(short[a:b], many[a:b])) for a, b in zip(*_cut(bucket), strict=True)]
-            yield from _rows(rows).to_batches()
+            yield from _rows([(int(bucket[a]), pack.number, _pack_z(short[a:b], many[a:b])) for a, b in zip(*_cut(bucket), strict=True)]).to_batches()
 
 
-def _answer(table: pa.Table) -> pa.Table:
-    """Of one bucket: to each pack those of its anchors that more than one document has."""
+def _answer(table: pa.Table, hot: int = HOT) -> pa.Table:
+    """Of one bucket: to each pack those of its anchors that more than one document has, and which very many have."""
     packs = table.column("pack").to_pylist()
-    bodies = [_unpack_z(b, np.uint32, np.bool_) for b in table.column("body").to_pylist()]
-    every = np.sort(np.concatenate([b[0] for b in bodies]))
-    again = np.unique(np.concatenate([every[1:][every[1:] == every[:-1]], *(short[many] for short, many in bodies)]))
-    bucket = table.column("bucket")[0].as_py()
-    rows = [(bucket, p, short[_within(short, again)]) for p, (short, _) in zip(packs, bodies, strict=True)]
-    return _rows([(b, p, _pack_z(s)) for b, p, s in rows if len(s)])
-
-
-def _known(replies: pa.Table) -> np.ndarray:
-    parts = [(np.uint64(b) << np.uint64(32)) | _unpack_z(body, np.uint32)[0].astype(np.uint64) for b, body in zip(replies.column("bucket").to_pylist(), replies.column("body").to_pylist(), strict=True)]
-    return np.sort(np.concatenate(parts)) if parts else np.empty(0, np.uint64)
+    bodies = [_unpack_z(b, np.uint32, np.uint16) for b in table.column("body").to_pylist()]
+    key, of = np.unique(np.concatenate([b[0] for b in bodies]), return_inverse=True)
+    total = np.bincount(of, weights=np.concatenate([b[1] for b in bodies]))
+    bucket, rows = table.column("bucket")[0].as_py(), []
+    for pack, (short, _) in zip(packs, bodies, strict=True):
+        n = total[np.searchsorted(key, short)]
+        again = n > 1
+        if again.any():
+            rows.append((bucket, pack, _pack_z(short[again], n[again] > hot)))
+    return _rows(rows)
 
 
-def _shared_pieces(table: pa.Table, replies: pa.Table, bits: int) -> tuple[Pack, np.ndarray, np.ndarray, list[bytes], np.ndarray, np.ndarray]:
-    """The pack, its pieces to look at, their distinct texts, and each text's key and least document."""
-    pack = Pack.of(table)
-    pack.anchor = _keys(pack.anchor, bits)
-    at, of, texts = pack.distinct(_known(replies))
-    key = np.zeros(len(texts), dtype=np.uint64)
-    key[of] = pack.anchor[at]
-    least = np.full(len(texts), np.iinfo(np.int64).max)
-    np.minimum.at(least, of, pack.ids[pack.doc[at]])
-    return pack, at, of, texts, key, least
+class Sent:
+    """The distinct strings that a pack asks about, bucket after bucket; the answers come in this order."""
+
+    def __init__(self, table: pa.Table, replies: pa.Table, bits: int):
+        self.pack = pack = Pack.of(table)
+        key, known, hot = pack.keys(bits), [], []
+        for bucket, body in zip(replies.column("bucket").to_pylist(), replies.column("body").to_pylist(), strict=True):
+            short, often = _unpack_z(body, np.uint32, np.bool_)
+            known.append((np.uint64(bucket) << np.uint64(32)) | short.astype(np.uint64)), hot.append(often)
+        known, hot = (np.concatenate(x) for x in (known, hot))
+        order = np.argsort(known)
+        known, hot = known[order], hot[order]
+        to = np.minimum(np.searchsorted(known, key), len(known) - 1)
+        shared = known[to] == key
+        often = shared & hot[to]
+        at, one = np.flatnonzero(shared & ~often), np.flatnonzero(often)
+        # pieces as they are; of hot anchors each run by itself, by a hash of its own
+        runs = pack.runs[one]
+        run = _spread(pack.start[one], runs)
+        self.start = np.concatenate([pack.start[at], run])
+        self.runs = np.concatenate([pack.runs[at], np.ones(len(run), dtype=np.int64)])
+        self.doc = np.concatenate([pack.doc[at], np.repeat(pack.doc[one], runs)])
+        own = _string_hashes(pack.data, run, np.full(len(run), SPAN, dtype=np.int64))
+        key = np.concatenate([key[at], _keys(own, bits)])
+        of, first = distinct(pack.data, self.start, self.runs + SPAN - 1)
+        order = np.argsort(key[first], kind="stable")
+        number = np.empty(len(first), dtype=np.int64)
+        number[order] = np.arange(len(first))
+        self.of, self.first, self.key = number[of], first[order], key[first[order]]
+
+    def buckets(self) -> Iterator[tuple[int, slice]]:
+        bucket = (self.key >> np.uint64(32)).astype(np.int64)
+        for a, b in zip(*_cut(bucket), strict=True):
+            yield int(bucket[a]), slice(a, b)
 
 
 def _send(table: pa.Table, replies: pa.Table, bits: int) -> pa.Table:
     if not len(table) or not len(replies):
         return _rows([])
-    pack, _, _, texts, key, least = _shared_pieces(table, replies, bits)
-    bucket = (key >> np.uint64(32)).astype(np.int64)
-    order, rows = np.argsort(bucket, kind="stable"), []
-    for a, b in zip(*_cut(bucket[order]), strict=True):
-        own = order[a:b]
-        mine = [texts[i] for i in own.tolist()]
-        rows.append((int(bucket[own[0]]), pack.number, _pack_z(least[own], key[own].astype(np.uint32), np.array([len(t) for t in mine], np.uint16), np.frombuffer(b"".join(mine), np.uint8))))
+    sent = Sent(table, replies, bits)
+    least = np.full(len(sent.first), np.iinfo(np.int64).max)
+    np.minimum.at(least, sent.of, sent.pack.ids[sent.doc])
+    # to itself a pack sends where its strings stand, under a negative bucket of its own
+    steps = np.diff(sent.start, prepend=0)
+    rows = [(-1 - (sent.pack.number * _BASE % (1 << 64) >> 33), sent.pack.number, _pack_z(steps, sent.runs.astype(np.uint8), sent.of.astype(np.int32), sent.runs[sent.first].astype(np.uint8)))]
+    for bucket, own in sent.buckets():
+        first = sent.first[own]
+        lengths = sent.runs[first] + SPAN - 1
+        text = sent.pack.data[_spread(sent.start[first], lengths)]
+        rows.append((bucket, sent.pack.number, _pack_z(least[own], lengths.astype(np.uint8), text)))
     return _rows(rows)
 
 
-def _limits(texts: list[bytes], keys: np.ndarray, least: np.ndarray, base: np.ndarray, windows: np.ndarray) -> np.ndarray:
-    """The least document of every window of distinct pieces, window after window.
-
-    Only pieces with one anchor can share a window, so the collections of a construction are whole
-    anchors.  An anchor with a single distinct piece is a collection of one string and needs no construction.
-    """
-    limit = np.repeat(least, windows)
-    order = np.argsort(keys, kind="stable")
-    begin, end = _cut(keys[order])
-    batch: list[np.ndarray] = []
-    held = 0
-
-    def settle() -> None:
-        own = np.concatenate(batch)
-        mine = [texts[i] for i in own.tolist()]
-        lengths = windows[own] + SPAN - 1
-        string, offset, winner = shared_least(np.frombuffer(b"".join(mine), np.uint8), np.cumsum(lengths) - lengths, lengths, least[own], SPAN)
-        limit[base[own[string]] + offset] = winner
-
-    for a, b in zip(begin.tolist(), end.tolist(), strict=True):
-        if b - a > 1:
-            batch.append(order[a:b])
-            held += b - a
-            if held >= COLLECTION:
-                settle()
-                batch, held = [], 0
-    if batch:
-        settle()
-    return limit
+def _scratch() -> Path:
+    """A folder for the files of one task: where this executor's block manager keeps its own spills, gone with the task."""
+    return Path(os.environ["SPARK_LOCAL_DIRS"].split(",")[0])
 
 
 def _judge(table: pa.Table) -> pa.Table:
-    """Of one bucket: for each piece that a pack sent, runs of equal least documents over its windows."""
-    number: dict[bytes, int] = {}
-    texts: list[bytes] = []
-    first: list[int] = []
-    keys: list[int] = []
-    sent: list[tuple[int, np.ndarray]] = []
-    for pack, body in zip(table.column("pack").to_pylist(), table.column("body").to_pylist(), strict=True):
-        docs, short, lens, data = _unpack_z(body, np.int64, np.uint32, np.uint16, np.uint8)
-        raw, stop = data.tobytes(), np.cumsum(lens.astype(np.int64)).tolist()
-        own, a = np.empty(len(lens), dtype=np.int64), 0
-        for i, (b, doc, key) in enumerate(zip(stop, docs.tolist(), short.tolist(), strict=True)):
-            piece = raw[a:b]
-            k = number.setdefault(piece, len(texts))
-            if k == len(texts):
-                texts.append(piece), first.append(doc), keys.append(key)
-            elif doc < first[k]:
-                first[k] = doc
-            own[i], a = k, b
-        sent.append((pack, own))
-    windows = np.array([len(t) - SPAN + 1 for t in texts], dtype=np.int64)
+    """Of one bucket: for each string that a pack sent, runs of equal least documents over its windows; what packs send to themselves goes on."""
+    if table.column("bucket")[0].as_py() < 0:
+        return table
+    packs, parts = table.column("pack").to_pylist(), [_unpack_z(b, np.int64, np.uint8, np.uint8) for b in table.column("body").to_pylist()]
+    docs, lengths, data = (np.concatenate([p[k] for p in parts]) for k in range(3))
+    counts = [len(p[0]) for p in parts]
+    del parts
+    lengths = lengths.astype(np.int64)
+    starts = np.cumsum(lengths) - lengths
+    of, first = distinct(data, starts, lengths)
+    least = np.full(len(first), np.iinfo(np.int64).max)
+    np.minimum.at(least, of, docs)
+    windows = lengths[first] - SPAN + 1
     base = np.cumsum(windows) - windows
-    limit = _limits(texts, np.array(keys, dtype=np.uint32), np.array(first, dtype=np.int64), base, windows)
-    bucket = table.column("bucket")[0].as_py()
-    rows = []
-    for pack, own in sent:
-        n = windows[own]
-        piece = np.repeat(np.arange(len(own)), n)
-        values = limit[np.repeat(base[own], n) + np.arange(len(piece)) - np.repeat(np.cumsum(n) - n, n)]
-        begin = np.flatnonzero(np.concatenate(([True], (values[1:] != values[:-1]) | (piece[1:] != piece[:-1]))))
+    with tempfile.TemporaryDirectory(dir=_scratch()) as folder:
+        limit = shared_least(data, starts[first], lengths[first], least, SPAN, Path(folder))
+    bucket, rows, done = table.column("bucket")[0].as_py(), [], 0
+    for pack, n in zip(packs, counts, strict=True):
+        mine = of[done : done + n]
+        values, string = limit[_spread(base[mine], windows[mine])], np.repeat(np.arange(n), windows[mine])
+        begin = np.flatnonzero(np.concatenate(([True], (values[1:] != values[:-1]) | (string[1:] != string[:-1]))))
         rows.append((bucket, pack, _pack_z(values[begin], np.diff(np.append(begin, len(values))).astype(np.uint8))))
+        done += n
     return _rows(rows)
 
 
 _VERDICT = pa.schema([("doc_id", pa.int64()), ("text_key", pa.string()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("spans", pa.list_(pa.int64()))])
 
 
-def _apply(table: pa.Table, replies: pa.Table, verdicts: pa.Table, bits: int) -> pa.Table:
+def _apply(table: pa.Table, told: pa.Table) -> pa.Table:
     """Mark the windows whose least document is a smaller one, and cut their bytes out."""
-    if len(replies) and len(verdicts):
-        pack, at, of, texts, key, _ = _shared_pieces(table, replies, bits)
-        bucket = (key >> np.uint64(32)).astype(np.int64)
-        said = {b: _unpack_z(body, np.int64, np.uint8) for b, body in zip(verdicts.column("bucket").to_pylist(), verdicts.column("body").to_pylist(), strict=True)}
-        order = np.argsort(bucket, kind="stable")
-        limits, base = [], np.zeros(len(texts), dtype=np.int64)
-        size = np.array([len(t) - SPAN + 1 for t in texts], dtype=np.int64)
-        base[order] = np.cumsum(size[order]) - size[order]
-        for b in np.unique(bucket).tolist():
-            values, n = said[b]
+    if not len(table):
+        return _VERDICT.empty_table()
+    pack, place = Pack.of(table, pieces=False), np.empty(0, np.int64)
+    if len(told):
+        said = sorted(zip(told.column("bucket").to_pylist(), told.column("body").to_pylist(), strict=True))
+        steps, runs, of, size = _unpack_z(said[0][1], np.int64, np.uint8, np.int32, np.uint8)
+        limits = []
+        for _, body in said[1:]:
+            values, n = _unpack_z(body, np.int64, np.uint8)
             limits.append(np.repeat(values, n.astype(np.int64)))
-        limit = np.concatenate(limits) if limits else np.empty(0, np.int64)
-        runs = pack.runs[at]
-        row = np.repeat(np.arange(len(at)), runs)
-        step = np.arange(len(row)) - np.repeat(np.cumsum(runs) - runs, runs)
-        lost = limit[base[of][row] + step] < pack.ids[pack.doc[at]][row]
-        place = (pack.offsets[pack.doc[at]] + pack.first[at])[row][lost] + step[lost]
-    else:
-        pack, place = Pack.of(table), np.empty(0, np.int64)
-    cover = np.zeros(len(pack.data) + 1, dtype=np.int32)
-    np.add.at(cover, place, 1)
-    np.add.at(cover, place + SPAN, -1)
-    gone = np.cumsum(cover[:-1]) > 0
+        limit, start = np.concatenate(limits), np.cumsum(steps)
+        runs, size = runs.astype(np.int64), size.astype(np.int64)
+        doc = np.searchsorted(pack.offsets, start, side="right") - 1
+        lost = limit[_spread((np.cumsum(size) - size)[of], runs)] < np.repeat(pack.ids[doc], runs)
+        place = _spread(start, runs)[lost]
+    # a byte goes if one of the last runs that begin before its end does
+    begun = np.zeros(len(pack.data) + SPAN, dtype=np.int32)
+    begun[place + SPAN] = 1
+    np.cumsum(begun, out=begun)
+    gone = begun[SPAN:] > begun[: len(pack.data)]
     out: list[tuple] = []
     for d, doc in enumerate(pack.ids.tolist()):
         raw, lose = pack.raw(d), gone[pack.offsets[d] : pack.offsets[d + 1]]
@@ -339,7 +384,7 @@ def _apply(table: pa.Table, replies: pa.Table, verdicts: pa.Table, bits: int) ->
     return pa.Table.from_arrays([pa.array([r[k] for r in out], f.type) for k, f in enumerate(_VERDICT)], schema=_VERDICT)
 
 
-def repeated_spans(docs: DataFrame) -> DataFrame:
+def repeated_spans(docs: DataFrame, hot: int = HOT) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans) for each row of ``docs`` (doc_id, text, ...).
 
     A byte goes when a run of ``SPAN`` bytes over it also starts in a document with a smaller doc_id; ``spans``
@@ -347,7 +392,7 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     with the least doc_id stands for them, the others lose all they have if it is ``SPAN`` bytes or more.
     Null text counts as empty.  A null doc_id is neither smaller nor larger than any: such rows lose nothing and
     cost nobody anything.  Rows that repeat a doc_id are judged each by its own text; extra columns are
-    not read; no documents give no rows.
+    not read; no documents give no rows.  ``hot``: from how many documents on the runs of an anchor are dealt one by one; it changes no row.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     keys = materialise(docs.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("text_key")), "keys")
@@ -355,21 +400,21 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     placed = materialise(keys.join(firsts, "text_key", "left"), "placed")
     own = placed.where(f"doc_id = first and n_bytes >= {SPAN}")
     total = own.agg(F.coalesce(F.sum("n_bytes"), F.lit(0))).first()[0]
-    bits = max(4, min(MOST_BUCKETS, total // BUCKET + 1).bit_length())
+    bits = max(4, int(total // BUCKET + 1).bit_length())
     heads = materialise(own.select("doc_id").distinct(), "heads")
     texts = docs.where(F.octet_length("text") >= SPAN).join(broadcast_if_small(heads), "doc_id", "left_semi")
-    packs = materialise(texts.mapInArrow(_packs, "pack long, ids binary, body binary"), "packs", compression="none")
+    packs = materialise(texts.mapInArrow(_packs, "pack long, body binary"), "packs", compression="none")
     offers = packs.mapInArrow(lambda it: _offer(it, bits), _PACKED)
     # a bucket's work outweighs its bytes, so its exchange has a number of partitions of its own
     tasks = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1 << (bits - 1))
-    replies = materialise(offers.groupBy("bucket").applyInArrow(_answer, _PACKED), "replies")
+    replies = materialise(offers.groupBy("bucket").applyInArrow(lambda t: _answer(t, hot), _PACKED), "replies")
     by_pack = packs.groupBy("pack")
     sent = by_pack.cogroup(replies.groupBy("pack")).applyInArrow(lambda t, r: _send(t, r, bits), _PACKED)
     judged = materialise(sent.repartition(tasks, "bucket").groupBy("bucket").applyInArrow(_judge, _PACKED), "judged")
-    # replies and verdicts of a pack come together, told apart by their kind
-    back = replies.withColumn("kind", F.lit(0)).unionByName(judged.withColumn("kind", F.lit(1)))
-    told = by_pack.cogroup(back.groupBy("pack")).applyInArrow(lambda t, r: _apply_told(t, r, bits), "doc_id long, text_key string, n_removed long, n_spans long, kept_sha256 string, spans array<long>")
-    found = told.dropDuplicates(["doc_id", "text_key"])
+    told = by_pack.cogroup(judged.groupBy("pack")).applyInArrow(_apply, "doc_id long, text_key string, n_removed long, n_spans long, kept_sha256 string, spans array<long>")
+    found = materialise(told.dropDuplicates(["doc_id", "text_key"]), "found")
+    for done in (packs, replies, judged, heads, keys):
+        drop_table(done)
     out = placed.join(found, ["doc_id", "text_key"], "left")
     copy = F.col("doc_id").isNotNull() & (F.col("doc_id") > F.col("first")) & (F.col("n_bytes") >= SPAN)
     pick = lambda whole, name, none: F.when(copy, whole).otherwise(F.coalesce(name, none)).alias(name)
@@ -379,13 +424,6 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     )
 
 
-def _apply_told(table: pa.Table, told: pa.Table, bits: int) -> pa.Table:
-    if not len(table):
-        return _VERDICT.empty_table()
-    kind = np.array(told.column("kind").to_pylist(), dtype=np.int64)
-    return _apply(table, told.filter(pa.array(kind == 0)), told.filter(pa.array(kind == 1)), bits)
-
-
 def without_spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(doc_id, text, spans) to (doc_id, text) with the spans' bytes cut out; a character cut in two is dropped whole."""
     for batch in batches:

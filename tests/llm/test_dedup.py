@@ -81,24 +81,33 @@ def test_components(spark):
     assert got == components_of({n for p in real for n in p}, real)
 
 
-def test_transform_and_prefixes():
-    rng = np.random.default_rng(0)
-    for _ in range(40):
+@pytest.mark.parametrize("block", [1, 5, 1 << 16])
+def test_transform_and_prefixes(tmp_path, block):
+    """Whatever the blocks that the files are read in, they hold the sorted suffixes of all strings."""
+    rng = np.random.default_rng(block)
+    for _ in range(20):
         n = int(rng.integers(1, 12))
         lengths = rng.integers(1, 14, n)
         starts = np.cumsum(lengths) - lengths
         data = rng.integers(97, 97 + int(rng.integers(1, 4)), lengths.sum()).astype(np.uint8)
-        bwt, lcp, _ = colwise.build(data, starts, lengths)
+        files = colwise.build(data, starts, lengths, tmp_path, block)
+        bwt, lcp = (np.concatenate(x) for x in zip(*files.read(block), strict=True))
         texts = [bytes(data[a : a + k]) for a, k in zip(starts, lengths, strict=True)]
         want = sorted(([*texts[i][o:], i - 1000], i, o) for i in range(n) for o in range(len(texts[i]) + 1))
-        string, offset = colwise.places(bwt, n, lengths)
-        assert [(int(a), int(b)) for a, b in zip(string, offset, strict=True)] == [(i, o) for _, i, o in want]
+        code = {c: k + 1 for k, c in enumerate(sorted(set(data.tolist())))}
+        assert bwt.tolist() == [code[texts[i][o - 1]] if o else 0 for _, i, o in want]
         for p in range(1, len(want)):
             a, b = want[p - 1][0][:-1], want[p][0][:-1]
             k = 0
             while k < min(len(a), len(b)) and a[k] == b[k]:
                 k += 1
             assert lcp[p] == k
+        owner, least = rng.integers(0, 100, n), {}
+        for t, o in zip(texts, owner.tolist(), strict=True):
+            for k in range(len(t) - 2):
+                least[t[k : k + 3]] = min(o, least.get(t[k : k + 3], o))
+        got = colwise.shared_least(data, starts, lengths, owner, 3, tmp_path, block)
+        assert got.tolist() == [least[t[k : k + 3]] for t in texts for k in range(len(t) - 2)]
 
 
 def brute_spans(rows, span=50):
@@ -141,8 +150,47 @@ def test_spans_can_be_cut_out(spark):
     assert got == {1: passage, 2: "before  after"}
 
 
-@pytest.mark.parametrize("raw", [b"", b"a" * 49, b"a" * 50, b"ab" * 400, bytes(range(256)) * 4])
-def test_pieces_hold_every_run_once(raw):
-    first, runs, anchor = sd.anchored(np.frombuffer(raw, np.uint8))
-    covered = [k for f, n in zip(first, runs, strict=True) for k in range(f, f + n)]
-    assert covered == list(range(max(0, len(raw) - 49))) and (runs <= sd.RUNS).all()
+def test_hot_anchors(spark):
+    """One boilerplate line in very many texts of their own: its runs are dealt one by one, with the same rows."""
+    rng = random.Random(7)
+    line = "all rights reserved; see the terms of use for what may be done with this text, "
+    rows = [(i, f"{rng.random()} {line * (1 + i % 2)}{rng.random()} " * (1 + i % 3)) for i in range(120)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    for hot in (2, sd.HOT):
+        got = sorted(((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in sd.repeated_spans(docs, hot=hot).collect()), key=repr)
+        assert got == brute_spans(rows)
+
+
+def test_distinct_strings():
+    data = np.frombuffer(b"abcabcabdab", np.uint8)
+    starts, lengths = np.array([0, 3, 6, 0, 9]), np.array([3, 3, 3, 2, 2])
+    of, first = sd.distinct(data, starts, lengths)
+    texts = [bytes(data[a : a + n]) for a, n in zip(starts, lengths, strict=True)]
+    assert [texts[first[k]] for k in of] == texts and len(first) == 3
+
+
+@pytest.mark.parametrize("raws", [[], [b""], [b"a" * 49], [b"a" * 50], [b"ab" * 400, b"", b"b" * 50, b"ba" * 99], [bytes(range(256)) * 4] * 3, [b"xy" * 40000, b"y" * 60]])
+def test_pieces_hold_every_run_once(raws):
+    data, sizes = np.frombuffer(b"".join(raws), np.uint8), np.array([len(r) for r in raws], dtype=np.int64)
+    offsets = np.concatenate(([0], np.cumsum(sizes)))
+    doc, runs, distance = sd.anchored(data, offsets)
+    counts = np.bincount(doc, minlength=len(raws))
+    pack = sd.Pack(0, sd._pack_z(np.arange(len(raws)), sizes, data, counts, runs, distance))
+    covered = [k for f, n in zip(pack.start.tolist(), pack.runs.tolist(), strict=True) for k in range(f, f + n)]
+    assert covered == [offsets[d] + k for d, r in enumerate(raws) for k in range(len(r) - 49)] and (pack.runs <= sd.RUNS).all()
+    assert all(f <= a <= f + sd.SPAN - sd.GRAM for f, a in zip(pack.start.tolist(), pack.anchor.tolist(), strict=True))
+    # equal runs have equal anchors
+    keys = {}
+    for f, n, key in zip(pack.start.tolist(), pack.runs.tolist(), pack.keys(8).tolist(), strict=True):
+        for k in range(f, f + n):
+            assert keys.setdefault(bytes(data[k : k + sd.SPAN]), key) == key
+
+
+def test_periodic_texts(spark):
+    """Runs that hold their anchor's gram more than once, and texts of two letters, are matched wherever they stand."""
+    rng = random.Random(11)
+    bits = ["".join(rng.choice("ab") for _ in range(300)) for _ in range(3)]
+    rows = [(i, rng.choice(bits)[k : k + 90] + rng.choice(["", "x", "yz"]) + "ab" * rng.randrange(60) + "abc" * rng.randrange(30)) for i, k in enumerate(rng.randrange(200) for _ in range(60))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in sd.repeated_spans(docs).collect()), key=repr)
+    assert got == brute_spans(rows)
