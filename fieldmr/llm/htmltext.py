@@ -8,6 +8,8 @@ and pads table cells to columns.  Nothing visible is dropped as boilerplate.
 from __future__ import annotations
 
 import re
+import sys
+from collections import Counter
 from collections.abc import Iterator
 from html import unescape
 
@@ -15,12 +17,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Elements nested deeper are taken as siblings, so that hostile pages cannot exhaust the stack.
-MOST_DEPTH = 150
+#: Calls of Python code take no room on the machine's stack, so trees of any depth that a page can hold may be walked.
+FRAMES = 1 << 28
 
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _RAW = frozenset("script style xmp iframe noembed noframes textarea title".split())
-_UNSEEN = frozenset("head script style template noscript iframe noembed noframes title object audio video canvas datalist svg math select".split())
+_UNSEEN = frozenset("head script style template noscript iframe noembed noframes title object audio video canvas datalist".split())
+#: Parts of drawings and formulas that are not drawn.
+_METADATA = frozenset("annotation annotation-xml defs desc metadata symbol".split())
 _BLOCK = frozenset(
     "address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html "
     "legend li main menu nav ol optgroup option p pre search section summary table ul".split()
@@ -31,6 +35,7 @@ _ENDS_P = frozenset(
     "address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre search section summary table ul li dd dt".split()
 )
 _HEAD_PARTS = frozenset("base link meta title style script template noscript head".split())
+_HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 _SECTIONS = frozenset("thead tbody tfoot".split())
 #: A start tag ends open elements of the first set, looking no further than the second.
 _IMPLIED = {
@@ -52,7 +57,9 @@ _SCOPE = frozenset("html table td th caption template".split())
 _TOKEN = re.compile(r"<!--(?:.*?-->|>|->|.*\Z)|<!\[CDATA\[.*?\]\]>|<(?P<end>/?)(?P<name>[a-zA-Z][^\s/>]*)|<[!?/][^>]*>", re.S)
 #: The rest of a tag with quoted values in it; without one in reach, a tag ends at the next angle.
 _TAG_END = re.compile(r"(?:[^>\"']+|\"[^\"]*\"|'[^']*')*+>")
-_REACH = 8 << 10
+_REACH = 64 << 10
+#: The standard's limits on how many columns and rows a cell spans (fixed values).
+_SPANS = {"colspan": 1000, "rowspan": 65534}
 _ATTR = re.compile(r"([^\s=>/\"']+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
 _RULE = re.compile(r"([^{}]+)\{([^{}]*)\}")
 _HIDING = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse))\b", re.I)
@@ -75,7 +82,7 @@ class Builder:
         self.body: Node | None = None
         self.stack = [self.root]
         self.hidden: set[str] = set()
-        self.owed: dict[str, int] = {}
+        self.open: Counter[str] = Counter()
         at, n = 0, len(html)
         while at < n:
             m = _TOKEN.search(html, at)
@@ -133,28 +140,33 @@ class Builder:
     def into_body(self) -> None:
         """Text or flow content outside a body opens one, or goes back into the one there was."""
         while len(self.stack) > 1 and self.stack[-1].name in ("head", "html"):
-            self.stack.pop()
+            self.cut(len(self.stack) - 1)
         if self.stack[-1].name == "html":
             if self.body is None:
                 self.body = self.push("body", {})
             else:
                 self.stack.append(self.body)
+                self.open["body"] += 1
+
+    def cut(self, i: int) -> None:
+        """End the open elements from the i-th on."""
+        self.open.subtract(node.name for node in self.stack[i:])
+        del self.stack[i:]
 
     def push(self, name: str, attrs: dict[str, str]) -> Node:
         top = self.stack[-1]
         node = Node(name, attrs, top.depth + 1)
         top.children.append(node)
-        if node.depth <= MOST_DEPTH:
-            self.stack.append(node)
-        elif name not in _VOID:
-            # too deep: the element stays as an empty mark, its content joins the parent, and its end tag is owed
-            self.owed[name] = self.owed.get(name, 0) + 1
+        self.stack.append(node)
+        self.open[name] += 1
         return node
 
     def close(self, names: frozenset[str], until: frozenset[str]) -> None:
+        if not any(self.open[name] > 0 for name in names):
+            return
         for i in range(len(self.stack) - 1, 0, -1):
             if self.stack[i].name in names:
-                del self.stack[i:]
+                self.cut(i)
                 return
             if self.stack[i].name in until:
                 return
@@ -165,8 +177,7 @@ class Builder:
             return
         if name == "body":
             if self.body is None:
-                while len(self.stack) > 1:
-                    self.stack.pop()
+                self.cut(1)
                 self.body = self.push("body", attrs)
             return
         if name == "head":
@@ -181,8 +192,8 @@ class Builder:
             self.close(*_IMPLIED[name])
         if name in _ENDS_P:
             self.close(frozenset(["p"]), _SCOPE | frozenset(["button"]))
-        if name[0] == "h" and name in ("h1", "h2", "h3", "h4", "h5", "h6") and self.stack[-1].name in ("h1", "h2", "h3", "h4", "h5", "h6"):
-            self.stack.pop()
+        if name in _HEADINGS and self.stack[-1].name in _HEADINGS:
+            self.cut(len(self.stack) - 1)
         if name in ("td", "th") and self.stack[-1].name in ("table", *_SECTIONS):
             self.push("tr", {})
         if name in _VOID:
@@ -196,14 +207,12 @@ class Builder:
         if name == "br":
             self.start("br", {})
             return
-        if self.owed.get(name):
-            self.owed[name] -= 1
-            return
         barrier = frozenset(["table"]) if name in ("tr", "td", "th", *_SECTIONS) else frozenset() if name == "table" else _SCOPE - {name}
-        for i in range(len(self.stack) - 1, 0, -1):
+        alike = _HEADINGS if name in _HEADINGS else frozenset([name])
+        for i in range(len(self.stack) - 1, 0, -1) if any(self.open[a] > 0 for a in alike) else ():
             node = self.stack[i]
-            if node.name == name or (name in ("h1", "h2", "h3", "h4", "h5", "h6") and node.name in ("h1", "h2", "h3", "h4", "h5", "h6")):
-                del self.stack[i:]
+            if node.name in alike:
+                self.cut(i)
                 return
             if node.name in barrier:
                 break
@@ -218,7 +227,7 @@ class Renderer:
         self.n_tables = self.n_lists = 0
 
     def visible(self, node: Node) -> bool:
-        if node.name in _UNSEEN:
+        if node.name in _UNSEEN or node.name in _METADATA:
             return False
         attrs = node.attrs
         if not attrs:
@@ -275,6 +284,17 @@ class Renderer:
                 elif name == "input":
                     if child.attrs.get("type", "text").lower() in ("text", "submit", "button", "reset") and child.attrs.get("value"):
                         inline.append(child.attrs["value"])
+                elif name == "select":
+                    shown, boxed = self.choices(child)
+                    if boxed:
+                        flush()
+                        out.extend(shown)
+                    else:
+                        inline.extend(shown)
+                elif name == "text":  # a label in a drawing
+                    inline.append(" ")
+                    walk(child.children)
+                    inline.append(" ")
                 elif name == "table":
                     flush(), gap()
                     out.extend(self.table(child))
@@ -313,6 +333,24 @@ class Renderer:
             out.pop(0)
         return out
 
+    def choices(self, node: Node) -> tuple[list[str], bool]:
+        """What a choice shows: the selected option or else the first; a list box shows all, a line each."""
+        options: list[tuple[Node, list[str]]] = []
+        look = [child for child in reversed(node.children) if isinstance(child, Node)]
+        while look:
+            child = look.pop()
+            if not self.visible(child):
+                continue
+            if child.name == "option":
+                options.append((child, self.lines(child)))
+            else:
+                look.extend(c for c in reversed(child.children) if isinstance(c, Node))
+        size = node.attrs.get("size", "")
+        if "multiple" in node.attrs or (size.isascii() and size.isdigit() and int(size[:9]) > 1):
+            return [line for _, lines in options for line in lines], True
+        marked = [lines for option, lines in options if "selected" in option.attrs]
+        return (marked[-1:] or [lines for _, lines in options][:1] or [[]])[0], False
+
     def items(self, node: Node) -> list[str]:
         self.n_lists += 1
         out: list[str] = []
@@ -341,25 +379,26 @@ class Renderer:
         self.n_tables += 1
         before: list[str] = []
         grid: list[list[list[str]]] = []
-        taken: dict[tuple[int, int], bool] = {}
-
-        def rows(parent: Node) -> Iterator[Node]:
-            for child in parent.children:
-                if isinstance(child, str):
-                    if child.strip():
-                        before.append(_BLANKS.sub(" ", child).strip())
-                elif not self.visible(child):
-                    continue
-                elif child.name == "tr":
-                    yield child
-                elif child.name in _SECTIONS:
-                    yield from rows(child)
-                elif child.name not in ("col", "colgroup"):
-                    holder = Node("div", {}, child.depth)
-                    holder.children = [child]
-                    before.extend(self.lines(holder))
-
-        for r, row in enumerate(rows(node)):
+        taken: dict[int, int] = {}  # by column, the row below the cell that reaches down furthest
+        rows: list[Node] = []
+        look = list(reversed(node.children))
+        while look:
+            child = look.pop()
+            if isinstance(child, str):
+                if child.strip():
+                    before.append(_BLANKS.sub(" ", child).strip())
+            elif not self.visible(child):
+                continue
+            elif child.name == "tr":
+                rows.append(child)
+            elif child.name in _SECTIONS:
+                look.extend(reversed(child.children))
+            elif child.name not in ("col", "colgroup"):
+                holder = Node("div", {}, child.depth)
+                holder.children = [child]
+                before.extend(self.lines(holder))
+
+        for r, row in enumerate(rows):
             cells: list[list[str]] = []
             for child in row.children:
                 if isinstance(child, str):
@@ -368,15 +407,14 @@ class Renderer:
                     continue
                 if not self.visible(child):
                     continue
-                while taken.pop((r, len(cells)), False):
+                while taken.get(len(cells), 0) > r:
                     cells.append([])
-                span = [min(100, int(v)) if (v := child.attrs.get(k, "1")).isascii() and v.isdigit() else 1 for k in ("colspan", "rowspan")]
+                over, down = (max(1, min(most, int(v[:9]))) if (v := child.attrs.get(k, "1")).isascii() and v.isdigit() else 1 for k, most in _SPANS.items())
                 c = len(cells)
                 cells.append(self.lines(child))
-                cells.extend([] for _ in range(span[0] - 1))
-                for down in range(1, span[1]):
-                    for over in range(max(1, span[0])):
-                        taken[r + down, c + over] = True
+                cells.extend([] for _ in range(over - 1))
+                if down > 1:
+                    taken.update((column, r + down) for column in range(c, c + over))
             grid.append(cells)
         width: dict[int, int] = {}
         for cells in grid:
@@ -395,6 +433,7 @@ def render(html: str | None) -> tuple[str, int, int]:
     """(text, number of tables, number of lists)."""
     if not html:
         return "", 0, 0
+    sys.setrecursionlimit(max(sys.getrecursionlimit(), FRAMES))
     tree = Builder(html)
     renderer = Renderer(tree.hidden)
     return "\n".join(renderer.lines(tree.root)), renderer.n_tables, renderer.n_lists
@@ -411,7 +450,7 @@ def page_text(pages: DataFrame) -> DataFrame:
     """(page_id, text, n_chars, n_lines, n_tables, n_lists) for each row of ``pages`` (page_id, html, ...).
 
     Null and empty pages give empty text and no lines.  Null ids and repeated rows give a row each.  Pages of any length and
-    nesting are read whole, broken markup included; extra columns are not read; no pages give no rows.
+    nesting are read whole, broken markup included (a tag ends at the first angle outside quotes within 64 KiB, else at the next angle); extra columns are not read; no pages give no rows.
     """
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("html").cast("string").alias("html"))
     out = rows.mapInArrow(_render, "page_id long, text string, n_tables long, n_lists long")
