@@ -26,34 +26,35 @@ from .runtime import materialise
 N_WORDS = 10
 GRAM = 5
 #: Characters of item texts that are sent to executors at a time.
-BLOCK_CHARS = 16 << 20
+BLOCK_CHARS = 4 << 20
 
 HITS = "row long, doc_id long, n_words long, spans array<struct<first:long,last:long>>, items array<string>"
 
 
 class Index:
-    """Windows of test items by length: sorted fingerprints, sorted window hashes, and the windows behind a hash."""
+    """Windows of test items by length, as sorted arrays: fingerprints, window hashes and where in the items each window begins."""
 
     def __init__(self, items: list[tuple[str | None, str]], n: int, k: int):
-        self.n, self.k = n, k
-        found: dict[int, dict[int, dict[bytes, set]]] = defaultdict(lambda: defaultdict(lambda: defaultdict(set)))
-        prints: dict[int, set[int]] = defaultdict(set)
-        for item_id, text in items:
-            raw = np.frombuffer(text.encode(), dtype=np.uint8)
-            words = tb.Words(raw, np.array([0, len(raw)]), tb.ALNUM)
-            if not len(words):
-                continue
-            size = min(n, len(words))
-            _, least, full = _windows(words, size, k)
-            prints[size].update(least.tolist())
-            for i, h in enumerate(full.tolist()):
-                found[size][h][words.text(i, i + size)].add(item_id)
-        self.by_size = {size: (_sieve(prints[size]), np.array(sorted(found[size]), dtype=np.uint64), {h: dict(w) for h, w in found[size].items()}) for size in sorted(found)}
-
-
-def _sieve(prints: set[int]) -> tuple[np.ndarray, np.ndarray]:
+        self.k, self.ids = k, [item_id for item_id, _ in items]
+        raws = [text.encode() for _, text in items]
+        offsets = np.concatenate(([0], np.cumsum([len(r) for r in raws], dtype=np.int64)))
+        self.words = tb.Words(np.frombuffer(b"".join(raws), dtype=np.uint8), offsets, tb.ALNUM)
+        sizes = np.minimum(n, self.words.per_doc)
+        self.by_size: dict[int, tuple] = {}
+        for size in np.unique(sizes[sizes > 0]).tolist():
+            at, least, full = _windows(self.words, size, k)
+            own = sizes[self.words.doc[at]] == size
+            order = np.argsort(full[own], kind="stable")
+            self.by_size[size] = (_sieve(least[own]), full[own][order], at[own][order])
+
+    def found(self, text: bytes, places: np.ndarray, size: int) -> set:
+        """Ids of the items that have these words at one of some places."""
+        return {self.ids[self.words.doc[p]] for p in places.tolist() if self.words.text(p, p + size) == text}
+
+
+def _sieve(prints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Sorted fingerprints and a bit table that rules most others out."""
-    least = np.array(sorted(prints), dtype=np.uint64)
+    least = np.unique(prints)
     table = np.zeros(1 << 20, dtype=bool)
     table[(least & np.uint64(0xFFFFF)).astype(np.int64)] = True
     return least, table
@@ -79,7 +80,7 @@ def _hits(words: tb.Words, index: Index) -> tuple[np.ndarray, dict[int, set]]:
     """Which words are hit, and the items found in each document."""
     hit = np.zeros(len(words) + 1, dtype=np.int32)
     items: dict[int, set] = defaultdict(set)
-    for size, ((least, table), full, texts) in index.by_size.items():
+    for size, ((least, table), full, places) in index.by_size.items():
         k = min(index.k, size)
         if len(words) < size:
             continue
@@ -94,9 +95,10 @@ def _hits(words: tb.Words, index: Index) -> tuple[np.ndarray, dict[int, set]]:
         for t in range(size):
             h += words.hashes[at + t] * tb.gram_power(t)
         h = tb.mix64(h)
-        ok = _member(h, full)
-        for i, v in zip(at[ok].tolist(), h[ok].tolist(), strict=True):
-            ids = texts[v].get(words.text(i, i + size))
+        low, high = np.searchsorted(full, h, side="left"), np.searchsorted(full, h, side="right")
+        ok = high > low
+        for i, a, b in zip(at[ok].tolist(), low[ok].tolist(), high[ok].tolist(), strict=True):
+            ids = index.found(words.text(i, i + size), places[a:b], size)
             if ids:
                 hit[i] += 1
                 hit[i + size] -= 1
