@@ -12,8 +12,10 @@ from pyspark.sql import functions as F
 
 from .runtime import BROADCAST_ROWS, let, materialise
 
-#: A line is frequent if more distinct texts of its host have it than both of these say.
-LEAST_TEXTS, LARGEST_SHARE = 20, 0.10
+#: A line is frequent if more distinct texts of its host have it than the first says, and than the share or the fixed number, whichever is less.
+LEAST_TEXTS, LARGEST_SHARE, MOST_TEXTS = 20, 0.10, 200
+#: Frequent lines of a host that each of its rows may be compared with; beyond it, rows are joined with their own lines.
+HOST_LINES = 2_000
 #: A document is depleted if more than this share of its words is in frequent lines.
 DEPLETED = 0.5
 
@@ -88,17 +90,17 @@ def hashed_lines(rows: DataFrame) -> DataFrame:
     return rows.select("host", F.md5("text").alias("text_key"), F.array_compact(F.array_distinct(_lines(F.col("text")))).alias("lines"))
 
 
-def frequent_lines(texts: DataFrame, least: int = LEAST_TEXTS, share: float = LARGEST_SHARE) -> DataFrame:
-    """(host, h): lines in more than ``least`` texts and more than ``share`` of the texts of their host.
+def frequent_lines(texts: DataFrame, least: int = LEAST_TEXTS, share: float = LARGEST_SHARE, most: int = MOST_TEXTS) -> DataFrame:
+    """(host, h): lines in more than ``least`` texts of their host, and in more than ``share`` of them or more than ``most``.
 
     Counts combine before every shuffle; a hot host is dealt out by its lines.
     """
     hosts = texts.groupBy("host").agg(F.count("*").alias("texts"))
     counts = texts.select("host", F.explode("lines").alias("h")).groupBy("host", "h").agg(F.count("*").alias("n")).where(F.col("n") > least)
-    return counts.join(hosts, "host").where(F.col("n") > share * F.col("texts")).select("host", "h")
+    return counts.join(hosts, "host").where((F.col("n") > share * F.col("texts")) | (F.col("n") > most)).select("host", "h")
 
 
-def line_frequency(docs: DataFrame, least: int = LEAST_TEXTS, share: float = LARGEST_SHARE, depleted: float = DEPLETED) -> DataFrame:
+def line_frequency(docs: DataFrame, least: int = LEAST_TEXTS, share: float = LARGEST_SHARE, most: int = MOST_TEXTS, depleted: float = DEPLETED, host_lines: int = HOST_LINES) -> DataFrame:
     """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, n_removed_words, text) for each row.
 
     ``text`` is without its frequent lines, all others as they were; it is given for rejected documents (not ``kept``) too.
@@ -109,14 +111,18 @@ def line_frequency(docs: DataFrame, least: int = LEAST_TEXTS, share: float = LAR
     """
     rows = _rows(docs)
     texts = materialise(hashed_lines(rows), "lines").dropDuplicates(["host", "text_key"])
-    frequent = materialise(frequent_lines(texts, least, share), "frequent")
-    # a host has at most as many of them as its texts have lines, by 1 / share
-    of_host = frequent.groupBy("host").agg(F.collect_list("h").alias("frequent"))
-    of_host = F.broadcast(of_host) if frequent.count() <= BROADCAST_ROWS else of_host
+    frequent = materialise(frequent_lines(texts, least, share, most), "frequent")
+    n, largest = frequent.groupBy("host").count().agg(F.coalesce(F.sum("count"), F.lit(0)), F.coalesce(F.max("count"), F.lit(0))).first()
+    if n <= BROADCAST_ROWS and largest <= host_lines:
+        found = rows.join(F.broadcast(frequent.groupBy("host").agg(F.collect_list("h").alias("frequent"))), "host", "left")
+    else:
+        # each distinct text gets its own frequent lines; a hot host is dealt out by lines, then by texts
+        hits = texts.select("host", "text_key", F.explode("lines").alias("h")).join(frequent, ["host", "h"]).groupBy("host", "text_key").agg(F.collect_list("h").alias("frequent"))
+        found = rows.withColumn("text_key", F.md5("text")).join(hits, ["host", "text_key"], "left").drop("text_key")
     text = F.col("text")
     of_words = let(_words(text), lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.length(F.array_join(w, "")).cast("long").alias("word_chars"), _repeat_words(w).alias("n_repeat_words")))
     left = let(cleaned_text(text, F.col("frequent")), lambda t: F.struct(t.alias("text"), F.when(t != text, F.size(_words(t)).cast("long")).alias("n_left")))
-    out = rows.join(of_host, "host", "left").select(
+    out = found.select(
         "doc_id", of_words.alias("of_words"), F.regexp_count("text", F.lit("[#*$%&|<>]")).cast("long").alias("n_symbols"), _dup_lines(text).cast("long").alias("n_dup_lines"), left.alias("left"),
     ).select("doc_id", "of_words.*", "n_symbols", "n_dup_lines", "left.*")
     removed = F.coalesce(F.col("n_words") - F.col("n_left"), F.lit(0).cast("long"))

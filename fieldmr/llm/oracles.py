@@ -64,7 +64,7 @@ dup AS (SELECT k, count(*) - count(DISTINCT l) AS n_dup FROM raw WHERE regexp_ma
 texts AS (SELECT host, text, min(k) AS k FROM d GROUP BY ALL),
 hosts AS (SELECT host, count(*) AS texts FROM texts GROUP BY host),
 lines AS (SELECT host, texts.k, {_NORM_LINE} AS line FROM texts JOIN raw USING (k)),
-freq AS (SELECT host, line FROM (SELECT host, line, count(DISTINCT k) AS n FROM lines WHERE line <> '' GROUP BY ALL) JOIN hosts USING (host) WHERE n > 20 AND n > 0.10 * texts),
+freq AS (SELECT host, line FROM (SELECT host, line, count(DISTINCT k) AS n FROM lines WHERE line <> '' GROUP BY ALL) JOIN hosts USING (host) WHERE n > 20 AND (n > 0.10 * texts OR n > 200)),
 lost AS (SELECT host, k, sum(len(string_split(line, ' '))) AS lost FROM lines JOIN freq USING (host, line) GROUP BY ALL),
 m AS (SELECT d.k, doc_id, d.host, d.text, len(w) AS n_words, coalesce(list_sum([length(x) FOR x IN w]), 0) AS word_chars,
   length(regexp_replace(d.text, '[^#*$%&|<>]', '', 'g')) AS n_symbols, coalesce(n_dup, 0) AS n_dup_lines, coalesce(n_repeat, 0) AS n_repeat_words,

@@ -93,6 +93,17 @@ def test_frequent_lines_deplete(spark):
     assert got[200] == (True, 0)
 
 
+def test_frequent_lines_of_large_hosts(spark):
+    """Beyond a fixed number of texts a line is frequent whatever its share; joined rows give what compared ones give."""
+    name = lambda n: "".join(chr(97 + int(c)) for c in str(n))
+    own = lambda i: " ".join(f"o{name(i)}w{name(j)}" for j in range(70))
+    rows = [(i, f"{own(i)}\nshared by few of very many" if i % 20 == 0 else own(i), "big") for i in range(700)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    for most, removed in ((linefreq.MOST_TEXTS, 0), (30, 35 * 6)):
+        got = [sorted(tuple(r) for r in linefreq.line_frequency(docs, most=most, host_lines=n).collect()) for n in (linefreq.HOST_LINES, 0)]
+        assert got[0] == got[1] and sum(r[8] for r in got[0]) == removed and all(r[7] for r in got[0])
+
+
 def test_frequent_lines_are_removed_from_the_text(spark):
     """Documents with few words in frequent lines are kept without these; other lines, blank ones too, stay as they were and in order."""
     name = lambda n: "".join(chr(97 + int(c)) for c in str(n))
