@@ -203,11 +203,15 @@ def mix_rates(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 
 
 def mixed(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs``, with all their columns, as many times as their copies say."""
-    mix = fit_mix(feature_table(docs), labels, **options)
+    """The rows of ``docs``, with all their columns, as many times as their copies say.
+
+    Rows are written once with their features beside them, so no text is measured twice.
+    """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    # every step binds its input once, and no filter repeats the expression
-    rate = let(mix.posterior(features(text)["x"]), mix.rate)
-    repeats = F.array_repeat(F.lit(1), _copies(rate, F.col("doc_id").cast("long")).cast("int"))
     row = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
-    return docs.select(row.alias("row"), F.explode(repeats)).select("row.*")
+    rows = materialise(docs.select(row.alias("row"), F.col("doc_id").cast("long").alias("doc_id"), features(text).alias("f")), "measured")
+    mix = fit_mix(rows.select("doc_id", "f.n", "f.x"), labels, **options)
+    # the posterior is bound once, and no filter repeats the expression
+    rate = let(mix.posterior(F.col("f.x")), mix.rate)
+    repeats = F.array_repeat(F.lit(1), _copies(rate, F.col("doc_id")).cast("int"))
+    return rows.select("row", F.explode(repeats)).select("row.*")

@@ -13,12 +13,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textbytes as tb
-from .runtime import broadcast_if_small, materialise
+from .runtime import broadcast_if_small, drop_table, materialise
 
 #: Labelled rows per class that the fit may see.
 SAMPLE = 8_000
@@ -61,20 +62,18 @@ class Model:
         return np.diff(ends, axis=1)
 
 
-def select_words(owner: np.ndarray, word: np.ndarray, toxic: np.ndarray, weight: np.ndarray) -> np.ndarray:
-    """Words that are in more toxic texts than chance allows, by a likelihood-ratio test on weighted document counts."""
-    base = float((weight * toxic).sum() / weight.sum())
-    known, number = np.unique(word, return_inverse=True)
-    # the sample's own counts carry the evidence; its class shares are put back to the table's
-    bad = np.bincount(number, toxic[owner], len(known))
-    good = np.bincount(number, (1 - toxic)[owner], len(known))
-    rate = float(toxic.mean())
-    n = bad + good
-    with np.errstate(divide="ignore", invalid="ignore"):
-        g2 = 2 * (np.where(bad > 0, bad * np.log(bad / (n * rate)), 0) + np.where(good > 0, good * np.log(good / (n * (1 - rate))), 0))
-    keep = np.flatnonzero((g2 >= LEAST_G2) & (bad > n * max(rate, base)))
-    keep = keep[np.argsort(-g2[keep], kind="stable")[:MOST_WORDS]]
-    return np.sort(known[keep])
+def select_words(table: DataFrame, rate: float, base: float) -> np.ndarray:
+    """Hashes of words that are in more toxic texts than chance allows, by a likelihood-ratio test on document counts.
+
+    ``table``: (toxic, words).  Counts combine before their shuffle, and at most ``MOST_WORDS`` hashes reach the driver.  ``rate``: the
+    toxic share of the sample, whose counts carry the evidence; ``base``: that of the table.
+    """
+    counts = table.select("toxic", F.explode("words").alias("word")).groupBy("word").agg(F.sum("toxic").alias("bad"), F.count("*").alias("n"))
+    good = F.col("n") - F.col("bad")
+    part = lambda k, share: F.when(k > 0, k * F.log(k / (F.col("n") * share))).otherwise(0.0)
+    g2 = 2 * (part(F.col("bad"), rate) + part(good, 1 - rate))
+    best = counts.where((F.col("bad") > F.col("n") * max(rate, base)) & (g2 >= LEAST_G2)).select("word", g2.alias("g2")).orderBy(F.desc("g2"), "word").limit(MOST_WORDS)
+    return np.sort(np.array([r["word"] for r in best.collect()], dtype=np.int64).view(np.uint64))
 
 
 def fit_ordinal(row: np.ndarray, col: np.ndarray, n_words: int, grade: np.ndarray, weight: np.ndarray, grades: int, rounds: int = 800, rate: float = 0.05) -> tuple[np.ndarray, np.ndarray]:
@@ -110,8 +109,20 @@ def _distinct_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
         toxic, doc_id = (batch.column(batch.schema.get_field_index(c)) for c in ("toxic", "doc_id"))
         for i, j, data, offsets in tb.slices(tb.text_column(batch)):
             words = tb.Words(data, offsets, tb.ALNUM)
-            own = [np.unique(words.hashes[a:b]).tobytes() for a, b in zip(words.bounds[:-1], words.bounds[1:], strict=True)]
-            yield pa.RecordBatch.from_arrays([doc_id.slice(i, j - i), toxic.slice(i, j - i), pa.array(own, pa.binary())], names=["doc_id", "toxic", "words"])
+            own = [np.unique(words.hashes[a:b]).view(np.int64) for a, b in zip(words.bounds[:-1], words.bounds[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([doc_id.slice(i, j - i), toxic.slice(i, j - i), pa.array(own, pa.list_(pa.int64()))], names=["doc_id", "toxic", "words"])
+
+
+def _numbers(batches: Iterator[pa.RecordBatch], known: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """Words of each text that are among the selected ones, by their number."""
+    for batch in batches:
+        words = batch.column(batch.schema.get_field_index("words"))
+        flat = words.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
+        at = np.minimum(np.searchsorted(known, flat), len(known) - 1)
+        hit = known[at] == flat
+        ends = np.cumsum(np.concatenate(([0], hit)))[np.concatenate(([0], np.cumsum(pc.list_value_length(words).to_numpy(zero_copy_only=False))))]
+        own = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(at[hit], pa.int32()))
+        yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in ("doc_id", "toxic")] + [own], names=["doc_id", "toxic", "numbers"])
 
 
 def fit_model(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
@@ -125,26 +136,23 @@ def fit_model(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model
     drawn = known.where(uniform * F.when(F.col("toxic") == 1, totals[1]).otherwise(totals[0]) <= sample)
     drawn = materialise(drawn, "labelled")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(broadcast_if_small(drawn), "doc_id").select("doc_id", "toxic", "text")
-    table = rows.mapInArrow(_distinct_words, "doc_id long, toxic int, words binary").toArrow().sort_by([("doc_id", "ascending"), ("toxic", "ascending")])
-    if not len(table):
-        return none
-    toxic = table.column("toxic").to_numpy().astype(np.int64)
-    own = [np.frombuffer(w.as_buffer(), np.uint64) for w in table.column("words")]
-    owner = np.repeat(np.arange(len(own)), [len(w) for w in own])
-    word = np.concatenate(own)
-    seen = np.bincount(toxic, minlength=2)
-    if not seen.all():
+    table = materialise(rows.mapInArrow(_distinct_words, "doc_id long, toxic int, words array<long>"), "words")
+    counts = {r["toxic"]: r["count"] for r in table.groupBy("toxic").count().collect()}
+    if not counts.get(0) or not counts.get(1):
         return none
-    weight = np.array([totals[0] / seen[0], totals[1] / seen[1]])[toxic]
-    words = select_words(owner, word, toxic, weight)
+    words = select_words(table, counts[1] / (counts[0] + counts[1]), totals[1] / (totals[0] + totals[1]))
     if not len(words):
         return none
-    at = np.searchsorted(words, word)
-    at[at == len(words)] = 0
-    hit = words[at] == word
-    n_typical = np.bincount(owner[hit], minlength=len(own))
+    # a row per sampled text reaches the driver, with the numbers of its selected words only
+    sample_ = table.mapInArrow(lambda it: _numbers(it, words), "doc_id long, toxic int, numbers array<int>").toArrow().sort_by([("doc_id", "ascending"), ("toxic", "ascending")])
+    drop_table(table)
+    toxic = sample_.column("toxic").to_numpy().astype(np.int64)
+    own = sample_.column("numbers").combine_chunks()
+    n_typical = pc.list_value_length(own).to_numpy(zero_copy_only=False).astype(np.int64)
+    owner, at = np.repeat(np.arange(len(toxic)), n_typical), own.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
+    weight = np.array([totals[0] / counts[0], totals[1] / counts[1]])[toxic]
     grade = np.where(toxic == 1, 1 + (n_typical >= SEVERE_WORDS), 0)
-    weights, thresholds = fit_ordinal(owner[hit], at[hit], len(words), grade, weight, 3)
+    weights, thresholds = fit_ordinal(owner, at, len(words), grade, weight, 3)
     return Model(words, weights, thresholds)
 
 
