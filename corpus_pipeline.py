@@ -5,11 +5,12 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from fieldmr.llm.decontam import clean
 from fieldmr.llm.mixing import mixed
 from fieldmr.llm.neardup import near_duplicates
-from fieldmr.llm.runtime import broadcast_if_small, materialise, read_table, shared_dir
+from fieldmr.llm.runtime import broadcast_if_small, delete, materialise, read_table, scratch, shared_dir
 from fieldmr.llm.tokenfile import token_table
 from fieldmr.llm.toxicity import without_toxic
 from fieldmr.session import ship
@@ -21,10 +22,19 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays; rows without an id stay."""
-    verdict = near_duplicates(docs)
-    gone = materialise(verdict.where("not kept and doc_id is not null").select("doc_id").distinct(), "gone")
-    return docs.join(broadcast_if_small(gone), "doc_id", "left_anti").select(*docs.columns)
+    """One row of each group of near-duplicates stays, the one with the least doc_id; rows without an id give way to those with one.
+
+    Rows are told apart by a key of their own, written with them, so that repeated and absent ids decide nothing.
+    """
+    row = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
+    rows = materialise(docs.select(F.monotonically_increasing_id().alias("key"), row.alias("row")), "rows")
+    verdict = near_duplicates(rows.select(F.col("key").alias("doc_id"), F.col("row.text").alias("text")))
+    placed = rows.select("key", F.col("row.doc_id").cast("long").alias("id")).join(verdict.select(F.col("doc_id").alias("key"), "component_id"), "key")
+    order = F.struct(F.col("id").isNull(), "id", "key")
+    groups = materialise(placed.select("key", "component_id", order.alias("o")), "groups")
+    first = groups.groupBy("component_id").agg(F.min("o").alias("o"), F.count("*").alias("n")).where("n > 1").select("component_id", F.col("o.key").alias("first"))
+    gone = materialise(groups.join(first, "component_id").where("key <> first").select("key"), "gone")
+    return rows.join(broadcast_if_small(gone), "key", "left_anti").select("row.*")
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,6 +64,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     folder = f"{shared_dir(spark)}/fieldmr-pipeline-{uuid.uuid4().hex}"
     for k, (_, stage) in enumerate(STAGES):
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
+        with scratch(spark):
+            stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
+        if k:
+            delete(spark, f"{folder}/{k - 1}")
         docs = spark.read.parquet(f"{folder}/{k}")
     return docs
