@@ -839,7 +839,21 @@ core.add(
 w AS (SELECT avg(orig) AS mo, avg(deco) AS md, var_pop(orig) AS vo, var_pop(deco) AS vd, covar_pop(CAST(orig AS DOUBLE), CAST(deco AS DOUBLE)) AS cv FROM dual GROUP BY x // 8, y // 8, z // 8 HAVING count(*) = 512)
 SELECT CAST(floor(avg((2 * mo * md + c1) * (2 * cv + c2) / ((mo * mo + md * md + c1) * (vo + vd + c2))) * 1e5 + 0.5) AS BIGINT) AS ssim_e5, count(*) AS windows FROM w, r""",
 )
-core.add("metric_ssim_sliding", lambda s, d: me.ssim_sliding(dual(s, d)[0]))
+
+
+def _sliding_sql() -> str:
+    """Sums over 7 points along one axis after the other, then the index of every full window."""
+    cols = ("o", "d", "oo", "dd", "od", "n")
+    steps, src = ["t0 AS (SELECT x, y, z, o, d, o * o AS oo, d * d AS dd, o * d AS od, 1 AS n FROM (SELECT x, y, z, orig::DOUBLE AS o, deco::DOUBLE AS d FROM dual))"], "t0"
+    for k, (axis, others) in enumerate((("x", "y, z"), ("y", "x, z"), ("z", "x, y"))):
+        steps.append(f"t{k + 1} AS (SELECT x, y, z, {', '.join(f'sum({c}) OVER w AS {c}' for c in cols)} FROM {src} WINDOW w AS (PARTITION BY {others} ORDER BY {axis} ROWS BETWEEN CURRENT ROW AND 6 FOLLOWING))")
+        src = f"t{k + 1}"
+    return f"WITH {HALO}, {DUAL}, r AS (SELECT pow(0.01 * (max(orig) - min(orig)), 2) AS c1, pow(0.03 * (max(orig) - min(orig)), 2) AS c2 FROM dual), " + ", ".join(steps) + """,
+m AS (SELECT o / 343 AS mo, d / 343 AS md, oo / 343 AS oo, dd / 343 AS dd, od / 343 AS od FROM t3 WHERE n = 343)
+SELECT CAST(floor(avg((2 * mo * md + c1) * (2 * (od - mo * md) + c2) / ((mo * mo + md * md + c1) * (oo - mo * mo + dd - md * md + c2))) * 1e5 + 0.5) AS BIGINT) AS ssim_e5, count(*) AS windows FROM m, r"""
+
+
+core.add("metric_ssim_sliding", lambda s, d: me.ssim_sliding(dual(s, d)[0]).select(F.floor(F.col("ssim") * 1e5 + 0.5).cast("long").alias("ssim_e5"), "windows"), _sliding_sql())
 core.add(
     "metric_blockiness",
     lambda s, d: me.blockiness(deco(s, d)[0], 4),

@@ -29,7 +29,7 @@ from ..registry import Registry
 from ..schema import CHUNK
 from ..tables import kept
 from .core import CUBE, LEDGER, core, halo, plan_table
-from .sqltext import G, HALO
+from .sqltext import G, HALO, RANGES
 
 work = Registry()
 query = work.query
@@ -129,18 +129,29 @@ def flagship(spark: SparkSession, sf: str) -> DataFrame:
     return en.rd_points(en.evaluate(en.chunks(blocks, 8), variants, 8, 1, 1 << 20))
 
 
-@query()
+@query(f"""WITH {HALO}, {RANGES}, p AS (SELECT unnest([5, 15, 35, 50]) AS pct), high AS (SELECT CAST(max(v) AS BIGINT) // 4 AS least FROM halo),
+roi AS (SELECT pct, key, true AS fine FROM ranked, p WHERE place <= ceil(n_all * pct / 100)),
+k AS (SELECT pct, x, y, z, v, CAST((x // 8) * (g // 8) * (g // 8) + (y // 8) * (g // 8) + z // 8 AS BIGINT) AS key FROM halo, g, p),
+f AS (SELECT pct, x, y, z, v, fine, CASE WHEN fine THEN v::DOUBLE ELSE avg(v) OVER (PARTITION BY pct, x // 2, y // 2, z // 2) END AS d FROM k LEFT JOIN roi USING (pct, key)),
+r AS (SELECT pow(0.01 * (max(v) - min(v)), 2) AS c1, pow(0.03 * (max(v) - min(v)), 2) AS c2 FROM halo),
+w AS (SELECT pct, avg(v) AS mo, avg(d) AS md, var_pop(v) AS vo, var_pop(d) AS vd, covar_pop(v::DOUBLE, d) AS cv FROM f GROUP BY pct, x // 8, y // 8, z // 8),
+s AS (SELECT pct, avg((2 * mo * md + c1) * (2 * cv + c2) / ((mo * mo + md * md + c1) * (vo + vd + c2))) AS ssim FROM w, r GROUP BY pct),
+c AS (SELECT pct, count(*) FILTER (v >= least AND fine) / count(*) FILTER (v >= least) AS capture, sum(v) FILTER (fine) / sum(v) AS mass FROM f, high GROUP BY pct)
+SELECT pct, CAST(floor(ssim * 1e5 + 0.5) AS BIGINT) AS ssim_e5, CAST(floor(capture * 1e6 + 0.5) AS BIGINT) AS capture_e6, CAST(floor(mass * 1e6 + 0.5) AS BIGINT) AS mass_e6 FROM s JOIN c USING (pct)""")
 def wl_w01(s, d):
     """Share of the region of interest against similarity of the whole field and capture of dense cells."""
     cells, g = halo(s, d)
-    r = h.block_ranges(cells, 8, g // 8, g // 8)
+    r = kept(h.block_ranges(cells, 8, g // 8, g // 8), "ranges")
     least = cells.agg(F.max("v")).first()[0] // 4
+    scaled = lambda c, k: F.floor(c * 10.0**k + 0.5).cast("long")
     out = None
     for pct in (5, 15, 35, 50):
         roi = h.roi_top_scalable(r, pct)
         flat = h.flatten_nearest(h.split_levels(cells, roi, 8, g // 8, g // 8))
         both = en.pairs(cells.withColumn("level", F.lit(0)), flat.withColumn("level", F.lit(0)))
-        row = me.ssim_blocks(both).crossJoin(me.roi_capture(cells, roi, gr.block_key(8, g // 8, g // 8), least)).select(F.lit(pct).alias("pct"), "ssim", (F.col("high_inside") / F.col("high")).alias("capture"), (F.col("mass_inside") / F.col("mass")).alias("mass_share"))
+        row = me.ssim_blocks(both).crossJoin(me.roi_capture(cells, roi, gr.block_key(8, g // 8, g // 8), least)).select(
+            F.lit(pct).alias("pct"), scaled(F.col("ssim"), 5).alias("ssim_e5"), scaled(F.col("high_inside") / F.col("high"), 6).alias("capture_e6"), scaled(F.col("mass_inside") / F.col("mass"), 6).alias("mass_e6"),
+        )
         out = row if out is None else out.unionByName(row)
     return out
 
