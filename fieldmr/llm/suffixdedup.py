@@ -40,6 +40,8 @@ RUNS = SPAN - GRAM + 1
 PACK, BUCKET = 4 << 20, 4 << 20
 #: Documents from which on the runs of an anchor are dealt one by one.
 HOT = 20_000
+#: Compression of texts, which are written once and moved several times.
+TEXT_LEVEL = 3
 #: Runs that are hashed together, and pieces that are; few enough for a processor's cache.
 STRETCH, BATCH = 1 << 15, 1 << 12
 
@@ -157,7 +159,7 @@ def _packs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def row() -> pa.RecordBatch:
         data, sizes = np.concatenate([t[0] for t in texts]), np.concatenate([t[1] for t in texts])
         doc, runs, distance = anchored(data, np.concatenate(([0], np.cumsum(sizes))))
-        body = _pack_z(np.concatenate(ids), sizes, data, np.bincount(doc, minlength=len(sizes)), runs, distance)
+        body = _pack_z(np.concatenate(ids), sizes, data, np.bincount(doc, minlength=len(sizes)), runs, distance, level=TEXT_LEVEL)
         return pa.RecordBatch.from_arrays([pa.array([(task << 32) | number]), pa.array([body], pa.binary())], schema=_PACK)
 
     for batch in batches:
@@ -216,9 +218,9 @@ def _cut(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 _PACKED = "bucket int, pack long, body binary"
 
 
-def _pack_z(*arrays: np.ndarray) -> bytes:
+def _pack_z(*arrays: np.ndarray, level: int = 1) -> bytes:
     head = np.array([a.nbytes for a in arrays], dtype=np.int64).tobytes()
-    return zstandard.ZstdCompressor(level=1).compress(head + b"".join(a.tobytes() for a in arrays))
+    return zstandard.ZstdCompressor(level=level).compress(head + b"".join(a.tobytes() for a in arrays))
 
 
 def _unpack_z(body: bytes, *kinds) -> list[np.ndarray]:
@@ -313,7 +315,7 @@ def _send(table: pa.Table, replies: pa.Table, bits: int) -> pa.Table:
         first = sent.first[own]
         lengths = sent.runs[first] + SPAN - 1
         text = sent.pack.data[_spread(sent.start[first], lengths)]
-        rows.append((bucket, sent.pack.number, _pack_z(least[own], lengths.astype(np.uint8), text)))
+        rows.append((bucket, sent.pack.number, _pack_z(least[own], lengths.astype(np.uint8), text, level=TEXT_LEVEL)))
     return _rows(rows)
 
 
