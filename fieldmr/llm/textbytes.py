@@ -13,6 +13,8 @@ import pyarrow as pa
 
 #: Documents are taken together until their bytes pass this size; one longer document stands alone.
 SLICE_BYTES = 2 << 20
+#: Bytes of words that are hashed at a time; one longer word stands alone.
+HASH_BYTES = 256 << 10
 
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -131,12 +133,19 @@ class Words:
                     _WORD_POWERS = powers
             else:
                 powers = _WORD_POWERS
-            begin = np.concatenate(([0], np.cumsum(lens)[:-1]))
-            at = np.arange(int(lens.sum()), dtype=np.int64) - np.repeat(begin, lens)
-            where = at + np.repeat(self.starts, lens)
-            terms = powers[at]
-            terms *= self.data[where].astype(np.uint64) + np.uint64(1)
-            self._hashes = mix64(np.add.reduceat(terms, begin) + lens.astype(np.uint64))
+            upto = np.concatenate(([0], np.cumsum(lens)))
+            out = np.empty(len(lens), dtype=np.uint64)
+            i = 0
+            while i < len(lens):  # some arrays of 8 bytes a byte of text live at once
+                j = max(i + 1, int(np.searchsorted(upto, upto[i] + HASH_BYTES, side="right")) - 1)
+                begin = upto[i:j] - upto[i]
+                at = np.arange(int(upto[j] - upto[i]), dtype=np.int64) - np.repeat(begin, lens[i:j])
+                where = at + np.repeat(self.starts[i:j], lens[i:j])
+                terms = powers[at]
+                terms *= self.data[where].astype(np.uint64) + np.uint64(1)
+                out[i:j] = np.add.reduceat(terms, begin)
+                i = j
+            self._hashes = mix64(out + lens.astype(np.uint64))
         return self._hashes
 
     def grams(self, k: int) -> tuple[np.ndarray, np.ndarray]:

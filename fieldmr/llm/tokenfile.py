@@ -25,7 +25,7 @@ TASK_CHARS = 16 << 20
 #: Distinct short words a worker remembers the ids of.
 CACHE_WORDS = 1_500_000
 #: Bytes of text whose words are looked up together.
-LOOKUP_BYTES = 6 << 20
+LOOKUP_BYTES = 3 << 20
 
 _loaded: dict[str, WordIds] = {}
 
@@ -190,9 +190,9 @@ def _read(batches: Iterator[pa.RecordBatch], with_ids: bool) -> Iterator[pa.Reco
     for batch in batches:
         for row in batch.to_pylist():
             segment = Segment(row["payload"])
-            ids, lengths = segment.tokens().astype("<u4"), segment.doc_lengths
+            ids, lengths = segment.tokens().astype("<u4", copy=False), segment.doc_lengths
             stop = np.cumsum(lengths)
-            raw, n = memoryview(ids.tobytes()), len(lengths)
+            raw, n = ids.view(np.uint8), len(lengths)
             begin = stop - lengths
             crc = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(begin.tolist(), stop.tolist(), strict=True)]
             doc_ids = pa.array(segment.doc_ids, mask=np.arange(n) < row["no_id"])

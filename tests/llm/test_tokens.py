@@ -124,3 +124,27 @@ def test_page_table(spark):
     rows = [(1, "<p>a</p><p>b</p>", "x"), (1, "<p>a</p><p>b</p>", "x"), (None, None, "x"), (2, "", "x")]
     got = sorted(map(tuple, htmltext.page_text(spark.createDataFrame(rows, "page_id long, html string, text string")).collect()), key=repr)
     assert got == sorted([(1, "a\n\nb", 4, 3, 0, 0)] * 2 + [(None, "", 0, 0, 0, 0), (2, "", 0, 0, 0, 0)], key=repr)
+
+
+def test_hashing_and_encoding_need_little_memory():
+    """Arrays of eight bytes a byte of text live for a block of words, not for a whole slice."""
+    import tracemalloc
+
+    from fieldmr.llm import textbytes as tb
+
+    text = np.frombuffer(b"some words of several lengths stand here again and again " * 70_000, np.uint8)
+    offsets = np.array([0, len(text)])
+    words = tb.Words(text, offsets, tb.NON_SPACE)
+    tracemalloc.start()
+    try:
+        whole = words.hashes
+        assert tracemalloc.get_traced_memory()[1] < 12 * len(text)
+    finally:
+        tracemalloc.stop()
+    assert len(whole) == len(words)
+    # blocks change no hash: a word's is the same wherever it stands, and so is that of a word longer than a block
+    assert np.array_equal(whole[:10], whole[-10:]) and len(np.unique(whole)) == 9
+    long = np.frombuffer(b"ab " + b"x" * (tb.HASH_BYTES + 5) + b" ab", np.uint8)
+    three = tb.Words(long, np.array([0, len(long)]), tb.NON_SPACE).hashes
+    alone = tb.Words(long[3:-3], np.array([0, len(long) - 6]), tb.NON_SPACE).hashes
+    assert three[0] == three[2] and three[1] == alone[0]
