@@ -33,3 +33,23 @@ def test_fit_grid_with_large_values(spark, rich):
 def test_range_join_broadcasts_nothing(spark):
     plan = catalog.queries()["op_join_range"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin" in plan and "Broadcast" not in plan
+
+
+@pytest.fixture(scope="module")
+def short(tmp_path_factory):
+    """Users of 1 to 35 events, values that are null or all alike, and events of no user."""
+    folder = tmp_path_factory.mktemp("short")
+    events = """SELECT * REPLACE (CASE WHEN u = 0 THEN NULL ELSE u END AS user_id, CASE WHEN u = 7 OR i = 3 THEN NULL WHEN u = 9 THEN 5.0 ELSE value END AS value), FROM
+(SELECT e.*, u, i FROM range(36) AS a(u), range(36) AS b(i), (SELECT * FROM '{0}/events.parquet') e WHERE i < greatest(u, 1) AND e.event_id = 36 * (u // 2) + i)"""
+    duckdb.sql(f"COPY (SELECT * EXCLUDE (u, i) FROM ({events.format(SF)})) TO '{folder}/events.parquet'")
+    return folder
+
+
+def reads(spark, name, file):
+    assert any(f.endswith(file) for f in catalog.queries()[name](spark, SF).inputFiles())
+
+
+@pytest.mark.parametrize("name", ["interp_plan_n"])
+def test_lines_come_from_events(spark, short, name):
+    reads(spark, name, "events.parquet")
+    same_as_sql(spark, short, name)
