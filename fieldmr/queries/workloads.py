@@ -28,7 +28,7 @@ from ..codec.schedule import schedule_grid
 from ..registry import Registry
 from ..schema import CHUNK
 from ..tables import kept
-from .core import CUBE, LEDGER, core, halo, plan_table
+from .core import _COUNTS, _PLAN, CUBE, LEDGER, core, halo, plan_table
 from .sqltext import G, HALO, RANGES
 
 work = Registry()
@@ -164,7 +164,7 @@ def wl_w02(s, d):
 
 
 work.add("wl_w03", core.queries["arrange_roughness"], core.sql["arrange_roughness"])
-work.add("wl_w04", lambda s, d: plan_table(s).where("n in (4, 5, 8, 9, 16, 17)").groupBy("n").agg(F.count_if(F.col("kind").isin("interpolated", "extrapolated")).alias("inner_points"), F.count_if(F.col("kind") == "extrapolated").alias("extrapolated")), core.sql["interp_extrapolated_count"].replace("GROUP BY n", "WHERE n IN (4, 5, 8, 9, 16, 17) GROUP BY n"))
+work.add("wl_w04", lambda s, d: plan_table(s).where("n in (4, 5, 8, 9, 16, 17)").groupBy("n").agg(F.count_if(F.col("kind").isin("interpolated", "extrapolated")).alias("inner_points"), F.count_if(F.col("kind") == "extrapolated").alias("extrapolated")), f"WITH {_PLAN} SELECT n, {_COUNTS} FROM plan WHERE n IN (4, 5, 8, 9, 16, 17) GROUP BY n")
 
 
 @query()
