@@ -49,7 +49,7 @@ def reads(spark, name, file):
     assert any(f.endswith(file) for f in catalog.queries()[name](spark, SF).inputFiles())
 
 
-@pytest.mark.parametrize("name", ["interp_plan_n", "interp_extrapolated_count", "interp_schedule_flat", "interp_schedule_coarse"])
+@pytest.mark.parametrize("name", ["interp_plan_n", "interp_extrapolated_count", "interp_schedule_paper", "interp_schedule_flat", "interp_schedule_coarse"])
 def test_lines_come_from_events(spark, short, name):
     reads(spark, name, "events.parquet")
     same_as_sql(spark, short, name)
