@@ -53,3 +53,7 @@ def reads(spark, name, file):
 def test_lines_come_from_events(spark, short, name):
     reads(spark, name, "events.parquet")
     same_as_sql(spark, short, name)
+
+
+def test_size_plan_comes_from_lineitem(spark):
+    reads(spark, "metric_size_plan", "lineitem.parquet")
