@@ -48,33 +48,21 @@ class Files:
         self.symbols.close(), self.prefixes.close()
 
 
-class Runs:
-    """Runs of equal symbols in a block, and their order by symbol."""
+#: All symbols.
+_SYMBOLS = np.arange(256, dtype=np.uint8)
+
+
+class Ranks:
+    """Places of a block by symbol, those of one symbol ascending."""
 
     def __init__(self, bwt: np.ndarray):
-        edge = np.flatnonzero(bwt[1:] != bwt[:-1])
-        self.start = np.empty(len(edge) + 1, dtype=np.int64)
-        self.start[0] = 0
-        np.add(edge, 1, out=self.start[1:])
-        self.tail = np.append(edge, len(bwt) - 1)
-        self.symbol = bwt[self.start]
-        self.order = np.argsort(self.symbol, kind="stable")
-        many = np.bincount(self.symbol, minlength=256)
-        #: symbols that occur, where their runs begin and end in the order, and how often each symbol occurs
-        self.here = np.flatnonzero(many)
-        self.stop = np.cumsum(many)[self.here]
-        self.begin = self.stop - many[self.here]
-        until = np.zeros(len(self.start) + 1, dtype=np.int64)
-        np.cumsum((self.tail - self.start + 1)[self.order], out=until[1:])
-        self.count = np.zeros(256, dtype=np.int64)
-        self.count[self.here] = until[self.stop] - until[self.begin]
-        #: by symbol, occurrences in the order before its own
-        self.before = np.zeros(256, dtype=np.int64)
-        self.before[self.here] = until[self.begin]
-        #: occurrences before each run, those of smaller symbols included, less where the run begins
-        self.shift = np.empty(len(self.start), dtype=np.int64)
-        self.shift[self.order] = until[:-1]
-        self.shift -= self.start
+        self.order = np.argsort(bwt, kind="stable")
+        #: by symbol, where its places end in the order, how many there are, and where they begin
+        self.stop = np.searchsorted(bwt, _SYMBOLS, side="right", sorter=self.order)
+        self.count = np.diff(self.stop, prepend=0)
+        self.begin = self.stop - self.count
+        #: symbols that occur
+        self.here = np.flatnonzero(self.count)
 
 
 def _least_before(values: np.ndarray, stops: np.ndarray) -> np.ndarray:
@@ -88,6 +76,15 @@ def _least_before(values: np.ndarray, stops: np.ndarray) -> np.ndarray:
     return out
 
 
+def _least_after(values: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """The least of values[start:] for each start, for few starts, all different."""
+    order = np.argsort(starts)
+    parts = np.minimum.reduceat(np.append(values, _NONE), starts[order])
+    out = np.empty(len(starts), dtype=np.uint8)
+    out[order] = np.minimum.accumulate(parts[::-1])[::-1]
+    return out
+
+
 def _scan(blocks: Iterator[tuple[np.ndarray, np.ndarray]], at: np.ndarray, base: np.ndarray) -> tuple[np.ndarray, ...]:
     """Where the suffixes of the next round go, from one reading of the files.
 
@@ -102,57 +99,44 @@ def _scan(blocks: Iterator[tuple[np.ndarray, np.ndarray]], at: np.ndarray, base:
     for bwt, lcp in blocks:
         last = int(np.searchsorted(at, start + len(bwt)))
         own = at[first:last] - start
-        runs = Runs(bwt)
-        order, begin, stop, here = runs.order, runs.begin, runs.stop, runs.here
-        number = np.full(len(bwt) + 1, -2, dtype=np.int32)  # -2: neither new nor touched
-        number[own + 1] = -1  # right after one that grows; at the head of another symbol's run it is taken back
-        number[runs.start] = -2
-        number[own] = np.arange(first, last, dtype=np.int32)
-        # heads of runs: touched if they grow, or if the run before with the same symbol ends in one that grows
-        tail = number[runs.tail] >= 0
-        after = np.empty(len(order), dtype=bool)
-        after[1:] = tail[order[:-1]]
-        after[begin] = awaited[here]
-        head_number = number[runs.start]
-        heads = np.flatnonzero(after | (head_number[order] >= 0))  # in the order by symbol
-        run = order[heads]
-        heads = heads[runs.symbol[run] > 0]
-        run = order[heads]
-        lead = np.zeros(len(order) + 1, dtype=bool)
-        lead[begin] = True
-        lead = lead[heads]
+        ranks = Ranks(bwt)
+        order, here = ranks.order, ranks.here
+        begin, tail = ranks.begin[here], ranks.stop[here] - 1
+        grows = np.zeros(len(bwt), dtype=bool)
+        grows[own] = True
+        grows = grows[order]
+        # touched if they grow, or if the occurrence before grows
+        touched = grows.copy()
+        touched[1:] |= grows[:-1]
+        touched[begin] = grows[begin] | awaited[here]
+        slot = np.flatnonzero(touched)
+        to = order[slot]
+        symbol, prefix = bwt[to], lcp[to]
         # they reach back to the occurrence before, or to earlier blocks
-        least = lcp[runs.start[run]]
-        low = runs.tail[order[heads - 1]] + 1
-        far = np.flatnonzero((low < runs.start[run]) & ~lead)
+        low = order[slot - 1] + 1
+        lead = np.flatnonzero(touched[begin])
+        lead_at, lead_symbol = np.searchsorted(slot, begin[lead]), here[lead]
+        low[lead_at] = to[lead_at]
+        far = np.flatnonzero(low != to)
         if len(far):
-            by = far[np.argsort(low[far])[::-1]]
+            by = far[np.argsort(low[far])[::-1]]  # descending, so that nothing between two of them is read
             cuts = np.empty(2 * len(by), dtype=np.int64)
-            cuts[::2], cuts[1::2] = low[by], runs.start[run[by]]
-            least[by] = np.minimum(least[by], np.minimum.reduceat(lcp, cuts)[::2])
-        lead_at = np.flatnonzero(lead)
-        symbol = runs.symbol[run[lead_at]]
-        least[lead_at] = np.minimum(np.minimum(least[lead_at], _least_before(lcp, runs.start[order[begin]])[np.searchsorted(here, symbol)]), reach[symbol])
-        prefix = least + np.uint8(1)
-        prefix[lead_at[following[symbol] == base[symbol]]] = 0
-        to = following - runs.before  # what turns the rank among all occurrences of the block into a place
-        found.append((runs.shift[run] + runs.start[run] + to[runs.symbol[run]], prefix, head_number[run]))
-        # the others: their own common prefix tells
-        number[runs.start] = -2
-        number[-1] = -2
-        inner = np.flatnonzero(number > -2)
-        symbol = bwt[inner]
-        proper = symbol > 0
-        inner, symbol = inner[proper], symbol[proper]
-        run = np.searchsorted(runs.start, inner, side="right") - 1
-        found.append((runs.shift[run] + inner + to[symbol], lcp[inner] + np.uint8(1), number[inner]))
+            cuts[::2], cuts[1::2] = low[by], to[by]
+            prefix[by] = np.minimum(prefix[by], np.minimum.reduceat(lcp, cuts)[::2])
+        if len(lead):
+            prefix[lead_at] = np.minimum(np.minimum(prefix[lead_at], _least_before(lcp, to[lead_at])), reach[lead_symbol])
+        prefix += np.uint8(1)
+        prefix[lead_at[following[lead_symbol] == base[lead_symbol]]] = 0
+        number = np.empty(len(bwt), dtype=np.int32)  # read where set only
+        number[own] = np.arange(first, last, dtype=np.int32)
+        found.append((symbol, slot + (following - ranks.begin)[symbol], prefix, np.where(grows[slot], number[to], np.int32(-1))))
         reach = np.minimum(reach, lcp.min())
-        reach[here] = _least_before(lcp[::-1], len(lcp) - 1 - runs.tail[order[stop - 1]])
-        awaited[here] = tail[order[stop - 1]]
-        following += runs.count
+        reach[here] = _least_after(lcp, order[tail] + 1)
+        awaited[here] = grows[tail]
+        following += ranks.count
         start, first = start + len(bwt), last
-    place, prefix, number = (np.concatenate(x) for x in zip(*found, strict=True))
-    order = np.argsort(place)
+    symbol, place, prefix, number = (np.concatenate(x) for x in zip(*found, strict=True))
+    order = np.argsort(symbol, kind="stable")  # within a symbol places ascend already
     return place[order], prefix[order], number[order]
 
 
@@ -228,10 +212,10 @@ def windows_at(files: Files, n: int, lengths: np.ndarray, span: int) -> tuple[np
     to, group = np.full(files.size, -1, dtype=np.int32), np.empty(files.size, dtype=np.int32)
     following, start, groups = n + np.cumsum(counts) - counts, 0, 0
     for bwt, lcp in files.read():
-        runs, stop = Runs(bwt), start + len(bwt)
-        shift = runs.shift + (following - runs.before)[runs.symbol]
-        to[start:stop] = np.where(bwt > 0, np.repeat(shift, runs.tail - runs.start + 1) + np.arange(len(bwt)), -1)
-        following += runs.count
+        ranks, stop = Ranks(bwt), start + len(bwt)
+        to[start + ranks.order] = np.arange(len(bwt)) + np.repeat(following - ranks.begin, ranks.count)
+        to[start + ranks.order[: ranks.count[0]]] = -1
+        following += ranks.count
         group[start:stop] = groups + np.cumsum(lcp < span)
         start, groups = stop, int(group[stop - 1])
     windows = np.maximum(lengths - span + 1, 0)
